@@ -3,9 +3,15 @@
 from __future__ import annotations
 
 from .bpe import op2_byte_bpe
+from .decontaminate import OP8_SQL, op8_decontamination
+from .toxicity import op5_toxicity
 
 QUERIES = {
     "op2_byte_bpe": op2_byte_bpe,
+    "op5_toxicity": op5_toxicity,
+    "op8_decontamination": op8_decontamination,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op8_decontamination": OP8_SQL,
+}
