@@ -4,14 +4,21 @@ from __future__ import annotations
 
 from .bpe import op2_byte_bpe
 from .decontaminate import OP8_SQL, op8_decontamination
+from .neardup import OP9_SQL, op9_neardup
+from .quality import op10_quality
+from .secrets import op7_secrets
 from .toxicity import op5_toxicity
 
 QUERIES = {
     "op2_byte_bpe": op2_byte_bpe,
     "op5_toxicity": op5_toxicity,
+    "op7_secrets": op7_secrets,
     "op8_decontamination": op8_decontamination,
+    "op9_neardup": op9_neardup,
+    "op10_quality": op10_quality,
 }
 
 ORACLES: dict[str, str] = {
     "op8_decontamination": OP8_SQL,
+    "op9_neardup": OP9_SQL,
 }
