@@ -231,10 +231,8 @@ def link_classes(docs: DataFrame, classes: DataFrame, percent: int, id_col: str,
     return labels
 
 
-def deduplicate(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """Adds n_shingles, component_id (smallest doc_id linked, directly or not) and kept (one document of each component)."""
-    new = {"n_shingles", "component_id", "kept"}
-    passed = [c for c in (docs.columns if keep is None else keep) if c.lower() not in new]
+def decisions(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """id, n_shingles, component_id (smallest id linked, directly or not) and kept (one document of each component), a row a document."""
     base = cut(sketched(docs, text_col, [id_col]))
     classes = base.where("node IS NOT NULL").groupBy("node").agg(F.min(id_col).alias("id"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands"))
     classes = cut(classes)
@@ -244,16 +242,27 @@ def deduplicate(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text
     by_node = cut(named.join(least, "label").select("node", "component_id"))
     plain = base.select(id_col, "n_shingles", "node").join(by_node, "node", "left")
     out = plain.select(id_col, "n_shingles", F.when(F.col("node").isNull(), F.col(id_col)).otherwise(F.col("component_id")).alias("component_id"))
-    out = out.withColumn("kept", F.col(id_col).eqNullSafe(F.col("component_id")))
-    if [c.lower() for c in passed] == [id_col.lower()]:
-        return out
-    # rows of one id may differ in text, so the class decides too: join on the id and the set's size
-    decisions = out.groupBy(F.col(id_col).alias("_id")).agg(F.min("n_shingles").alias("n_shingles"), F.min("component_id").alias("component_id"), F.max("kept").alias("kept"))
-    return docs.select(*passed).join(decisions, F.col(id_col).eqNullSafe(F.col("_id"))).drop("_id")
+    return out.withColumn("kept", F.col(id_col).eqNullSafe(F.col("component_id")))
+
+
+def deduplicate(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The documents with n_shingles, component_id and kept added. Rows that share an id share its least component and its best decision."""
+    new = ("n_shingles", "component_id", "kept")
+    by_id = decisions(docs, percent, id_col, text_col).groupBy(F.col(id_col).alias("_id")).agg(F.min(new[0]).alias(new[0]), F.min(new[1]).alias(new[1]), F.max(new[2]).alias(new[2]))
+    passed = [F.col(f"`{c}`") for c in docs.columns if c.lower() not in new]
+    return docs.select(*passed).join(by_id, F.col(id_col).eqNullSafe(F.col("_id"))).drop("_id")
+
+
+def survivors(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The documents that are kept, with their own columns. Texts are not shuffled while the ids that go fit a checked broadcast."""
+    gone = decisions(docs, percent, id_col, text_col).groupBy(F.col(id_col).alias("_id")).agg(F.max("kept").alias("kept")).where("NOT kept").select("_id")
+    gone = cut(gone)
+    gone = F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone
+    return docs.join(gone, F.col(id_col).eqNullSafe(F.col("_id")), "left_anti")
 
 
 def op9_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return deduplicate(load(spark, sf_dir, "documents"), keep=["doc_id"])
+    return decisions(load(spark, sf_dir, "documents"))
 
 
 OP9_SQL = r"""
