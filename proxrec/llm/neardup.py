@@ -5,9 +5,10 @@ lower-cased; a shorter text is one shingle). A sketch has BINS coordinates; in r
 hashed bin with value i + fraction, in round BINS + j bin j takes every element, so that all coordinates fill. Texts
 with equal sets form one class by their set's digest; only one sketch a class goes on.
 
-Candidates come from equal bands and are never all pairs of a bucket: each round pairs a bucket's smallest classes with the rest,
-verifies them on the full sets, joins components, drops those leaders (they have met everyone) and every bucket that
-lies within one component, until no bucket is left. So no link between components is lost, whatever a bucket's size.
+Candidates come from equal bands and all pairs of a bucket are never written out: first each bucket's smallest class meets the others, on the
+full sets, and components are joined; the leader has then met everyone and goes, as does every bucket that lies within one component. The rest of
+each bucket is compared inside tasks, block by block, and only links that join components leave a task. So no link between
+components is lost, whatever a bucket's size.
 
 Defined results: a null or empty text has an empty set, is linked with nothing and is kept; a class id is the smallest doc_id that
 is not null; rows that repeat a doc_id with an equal set share the class and its decision; a null doc_id is kept only if its
@@ -17,12 +18,13 @@ Two different sets count as equal if their 64-bit digests are (chance below 1e-7
 
 from __future__ import annotations
 
-from functools import reduce
+import re
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -33,8 +35,8 @@ BINS = 128
 ROWS = 4  # coordinates a band: at a similarity of 0.85 all 32 bands miss with a chance of 6e-11, at 0.8 of 5e-8
 #: Ids sent to every executor at most; beyond, the texts are found by a shuffled join.
 BROADCAST_IDS = 500_000
-#: Leaders of a bucket that meet the rest in one round, after the first round's single one.
-LEADERS = 16
+#: Shingles of a bucket's members that meet in one task as a block.
+BLOCK_SHINGLES = 400_000
 M1, M2, GOLD = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 _SPACE = {c: " " for c in range(9, 14)}
 #: str.split() also splits at these; they belong to words here, so they are replaced by private stand-ins first.
@@ -51,8 +53,6 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 def words_of(text: str) -> list[str]:
-    import re
-
     low = lower_ascii(text)
     return (low.translate(_ODD_TABLE) if re.search(_ODD_FIND, low) else low).split()
 
@@ -105,7 +105,7 @@ def sketch(sets: list[np.ndarray], bins: int = BINS) -> np.ndarray:
             place, value = place[order], value[order]
             first = np.concatenate([[True], place[1:] != place[:-1]]) if len(place) else np.zeros(0, bool)
             hit, low = place[first], value[first]
-        out.reshape(-1)[hit] = mix(low + np.uint64(i + 1) * GOLD)  # the round is part of the coordinate
+        out.reshape(-1)[hit] = mix(low ^ mix(np.full(1, i + 1, np.uint64) * M1))  # the round is part of the coordinate
         filled.reshape(-1)[hit] = True
         live = live[~filled[live].all(axis=1)]
         if not len(live):
@@ -145,25 +145,22 @@ def sketched(docs: DataFrame, text_col: str = "text", keep: list[str] | None = N
 
 
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
-    """(node, label): the smallest node reachable, for every node of a link. Smallest neighbour, then pointer jumping, in rounds."""
+    """(node, label): the smallest node reachable, for every node of a link. Least label of the neighbours, then pointer jumping, a job a round."""
     both = cut(links.select(F.col(a).alias("src"), F.col(b).alias("dst")).unionAll(links.select(F.col(b), F.col(a))).distinct())
-    labels = cut(both.groupBy(F.col("src").alias("node")).agg(F.min("dst").alias("m")).select("node", F.least("node", "m").alias("label")))
+    labels = both.groupBy(F.col("src").alias("node")).agg(F.min("dst").alias("m")).select("node", F.least("node", "m").alias("label"))
     while True:
         near = both.join(labels, both.dst == labels.node).groupBy("src").agg(F.min("label").alias("m"))
         better = labels.join(near, labels.node == near.src).select("node", F.col("label").alias("old"), F.least("label", "m").alias("label"))
-        better = cut(better)
-        point = better.select(F.col("node").alias("at"), F.col("label").alias("further"))
+        point = labels.select(F.col("node").alias("at"), F.col("label").alias("further"))
         fresh = cut(better.join(point, better.label == point["at"]).select("node", "old", F.least("label", "further").alias("label")))
-        done = fresh.where("label <> old").isEmpty()
         labels = fresh.select("node", "label")
-        if done:
+        if fresh.where("label <> old").isEmpty():
             return labels
 
 
 def full_sets(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(node, set) for the classes in ids(node, id): the packed sorted set of the row with that id."""
-    n = ids.count()
-    wanted = F.broadcast(ids) if n <= BROADCAST_IDS else ids
+    """(node, set) for the classes in ids(node, id): the packed sorted set of the row with that id. Texts are only shuffled beyond BROADCAST_IDS."""
+    wanted = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
     texts = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")).join(wanted, F.col("_id") == F.col("id"))
 
     def make():
@@ -176,7 +173,7 @@ def full_sets(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str) -> Da
         return work
 
     found = map_text(texts, make, [field("set", T.BinaryType()), field("own", T.LongType())], "_text", ["node"])
-    return cut(found.where("own = node").select("node", "set")).dropDuplicates(["node"])
+    return cut(found.where("own = node").select("node", "set").groupBy("node").agg(F.first("set").alias("set")))
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -196,39 +193,91 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return two.mapInArrow(run, "a long, b long")
 
 
+def block_links(rows: list[tuple[int, int, bytes]], percent: int) -> list[tuple[int, int]]:
+    """Links that join different components of (node, component, packed set); at most one fewer than there are components."""
+    sets = [np.frombuffer(r[2], np.uint64) for r in rows]
+    sizes = np.array([len(s) for s in sets])
+    if len(rows) <= 6:
+        both = np.array([[len(np.intersect1d(x, y, assume_unique=True)) if j > i else 0 for j, y in enumerate(sets)] for i, x in enumerate(sets)], np.float64)
+    else:
+        row = np.repeat(np.arange(len(rows)), sizes)
+        _, column, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        shared = count > 1
+        place = np.cumsum(shared) - 1
+        used = shared[column]
+        row, column = row[used], place[column[used]]
+        order = np.argsort(column, kind="stable")
+        row, column = row[order], column[order]
+        both = np.zeros((len(rows), len(rows)))
+        for c in range(0, int(shared.sum()), 2048):
+            a, b = np.searchsorted(column, [c, c + 2048])
+            dense = np.zeros((len(rows), 2048), np.float32)
+            dense[row[a:b], column[a:b] - c] = 1
+            both += dense @ dense.T
+    component = np.unique([r[1] for r in rows], return_inverse=True)[1]
+    linked = (100 * both >= percent * (sizes[:, None] + sizes[None, :] - both)) & (component[:, None] != component[None, :]) & np.triu(np.ones_like(both, bool), 1)
+    top = list(range(len(rows)))
+
+    def root(x: int) -> int:
+        while top[x] != x:
+            top[x] = top[top[x]]
+            x = top[x]
+        return x
+
+    out = []
+    for i, j in zip(*np.nonzero(linked), strict=True):
+        x, y = root(int(component[i])), root(int(component[j]))
+        if x != y:
+            top[y] = x
+            out.append((rows[i][0], rows[j][0]))
+    return out
+
+
+def compared(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between different components of the same bucket. members: key, node, n, c.
+
+    A bucket's members are dealt to blocks of some BLOCK_SHINGLES shingles; each task compares two blocks (small buckets share tasks), so
+    every pair of a bucket meets in one task of bounded size and none is written out.
+    """
+    sizes = members.groupBy("key").agg(F.ceil(F.sum("n") / BLOCK_SHINGLES).cast("int").alias("blocks"))
+    dealt = members.join(sizes, "key").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("key", "node", "c", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("blocks") > 1).alias("large")).distinct()
+    with_sets = dealt.join(sets, "node")
+    groups = max(64, 2 * int(members.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    home = F.when(F.col("large"), F.xxhash64("key", "i", "j")).otherwise(F.pmod(F.xxhash64("key"), F.lit(groups)))
+
+    def run(pdf):
+        found = []
+        for _, part in pdf.groupby(["key", "i", "j"], sort=False):
+            found += block_links(list(zip(part["node"], part["c"], part["set"], strict=True)), percent)
+        return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
+
+    return with_sets.groupBy(home.alias("home")).applyInPandas(run, "a long, b long")
+
+
 def link_classes(docs: DataFrame, classes: DataFrame, percent: int, id_col: str, text_col: str) -> DataFrame:
     """(node, label) for the classes in links. classes: node, id, n_shingles, bands."""
     bands = classes.select("node", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
-    buckets = bands.groupBy("key").agg(F.min("node").alias("leader"), F.count("*").alias("size")).where("size > 1")
-    members = cut(bands.join(buckets.select("key", "leader"), "key"))
-    spark = docs.sparkSession
-    links, labels, sets = [], spark.createDataFrame([], "node long, label long"), None
-    first = True
-    while not members.isEmpty():
-        if first:
-            lead = members.where("node = leader").select("key", F.col("node").alias("a"), F.col("n").alias("n_a"), F.col("node").alias("c_a"))
-            rest = members.where("node <> leader").withColumn("c", F.col("node"))
-        else:
-            order = Window.partitionBy("key").orderBy("node")
-            lead = members.withColumn("r", F.row_number().over(order)).where(F.col("r") <= LEADERS).select("key", F.col("node").alias("a"), F.col("n").alias("n_a"), F.col("c").alias("c_a"))
-            rest = members
-        # the smaller set is at least percent % of the larger one in every link
-        pairs = lead.join(rest, "key").where(f"a < node AND c_a <> c AND 100 * least(n, n_a) >= {percent} * greatest(n, n_a)").select("a", F.col("node").alias("b")).distinct()
-        pairs = cut(pairs)
-        needed = pairs.select(F.col("a").alias("node")).unionAll(pairs.select("b")).distinct()
-        fresh = needed if sets is None else needed.join(sets.select("node"), "node", "left_anti")
-        fresh = cut(fresh.join(classes.select("node", "id"), "node"))
-        if not fresh.isEmpty():
-            own = full_sets(docs, fresh, id_col, text_col)
-            sets = own if sets is None else sets.unionAll(own)
-        if sets is not None and not pairs.isEmpty():
-            links.append(cut(verified(pairs, sets, percent)))
-            labels = components(reduce(DataFrame.unionAll, links))
-        left = members.join(lead.select("key", F.col("a").alias("node")), ["key", "node"], "left_anti").drop("c", "leader")
-        left = left.join(labels, "node", "left").select("key", "node", "n", F.coalesce("label", "node").alias("c"))
-        open_ = left.groupBy("key").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x <> y").select("key")
-        members, first = cut(left.join(open_, "key")), False
-    return labels
+    buckets = bands.groupBy("key").agg(F.min(F.struct("node", "n")).alias("leader"), F.count("*").alias("size")).where("size > 1")
+    members = cut(bands.join(buckets, "key").select("key", "node", "n", F.col("leader.node").alias("leader"), F.col("leader.n").alias("n_leader"), "size"))
+    if members.isEmpty():
+        return docs.sparkSession.createDataFrame([], "node long, label long")
+    sets = full_sets(docs, cut(members.select("node").distinct().join(classes.select("node", "id"), "node")), id_col, text_col)
+    # the smaller set of a link has at least percent % of the larger one's size
+    pairs = members.where(f"node <> leader AND 100 * least(n, n_leader) >= {percent} * greatest(n, n_leader)").select(F.col("leader").alias("a"), F.col("node").alias("b")).distinct()
+    labels = components(cut(verified(pairs, sets, percent)))
+    left = members.where("node <> leader AND size > 2").join(labels, "node", "left").select("key", "node", "n", F.coalesce("label", "node").alias("c"))
+    left = cut(left)
+    open_ = left.groupBy("key").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x <> y").select("key")
+    more = cut(compared(left.join(open_, "key"), sets, percent))
+    if more.isEmpty():
+        return labels
+    name = lambda c: labels.select(F.col("node").alias(c), F.col("label").alias(f"{c}_label"))
+    joined = more.join(name("a"), "a", "left").join(name("b"), "b", "left").select(F.coalesce("a_label", "a").alias("a"), F.coalesce("b_label", "b").alias("b")).where("a <> b")
+    final = components(joined).select(F.col("node").alias("was"), F.col("label").alias("now"))
+    known = labels.unionByName(more.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(labels, "node", "left_anti").withColumn("label", F.col("node")))
+    return known.join(final, known.label == final.was, "left").select("node", F.coalesce("now", "label").alias("label"))
 
 
 def decisions(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
