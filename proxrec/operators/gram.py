@@ -94,13 +94,16 @@ def relational_product(ratings: DataFrame, q: DataFrame, weights: DataFrame) ->
     return items.join(weights, "item_id").select("item_id", (F.col("y") * F.col("g")).alias("q"))
 
 
-def relational_power(ratings: DataFrame, weights: DataFrame, rounds: int = 30, every: int = 5) -> DataFrame:
-    """Leading eigenvector (item_id, q) of g R'R g by power iteration on relations; lineage is cut every few rounds."""
+def relational_power(ratings: DataFrame, weights: DataFrame, rounds: int = 30, every: int = 3) -> DataFrame:
+    """Leading eigenvector (item_id, q) of g R'R g by power iteration on relations; every few rounds lineage is cut and the vector normalised."""
     from proxrec.plans.planner import cut
 
-    q = cut(weights.where("g > 0").select("item_id", F.lit(1.0).alias("q")))
+    ratings, weights = cut(ratings), cut(weights)
+    q = weights.where("g > 0").select("item_id", F.lit(1.0).alias("q"))
     for k in range(rounds):
-        y = relational_product(ratings, q, weights)
-        y = y.crossJoin(y.agg(F.sqrt(F.sum(F.col("q") * F.col("q"))).alias("norm"))).select("item_id", (F.col("q") / F.col("norm")).alias("q"))
-        q = cut(y) if (k + 1) % every == 0 or k + 1 == rounds else y
+        q = relational_product(ratings, q, weights)
+        if (k + 1) % every == 0 or k + 1 == rounds:
+            q = cut(q)
+            norm = q.agg(F.sqrt(F.sum(F.col("q") * F.col("q")))).first()[0] or 1.0
+            q = q.withColumn("q", F.col("q") / norm)
     return q

@@ -157,7 +157,7 @@ for _kind in proximity.SIMILARITIES:
 add("phi_cosine_f1_brands_blocks", lambda s, d: _phi(fit(VIEWS["brand_affinity"](s, d), ModelSpec("cosine", 0.4, 1, form="blocks")), s), ORACLES["phi_cosine_f1_brands_dense"])
 add(
     "leading_factor_relational",
-    lambda s, d: relational_power(r := VIEWS["brand_affinity"](s, d), item_stats(r).select("item_id", F.pow("norm", F.lit(-0.6)).alias("g")), 20).select("item_id", r6("q").alias("q")),
+    lambda s, d: relational_power(r := VIEWS["brand_affinity"](s, d), item_stats(r).select("item_id", F.pow("norm", F.lit(-0.6)).alias("g")), 12).select("item_id", r6("q").alias("q")),
     f"WITH RECURSIVE {m.proximity_sql(VIEW_SQL['brand_affinity'], 'cosine', 0.4)}, {m.power_sql()} SELECT i AS item_id, round(x, 6) + 0.0 AS q FROM w",
 )
 
@@ -282,7 +282,7 @@ def _cases(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, Data
     return ratings, train, evaluation.test_cases(probe)
 
 
-add("probe_doc_terms", lambda s, d: evaluation.probe_split(_terms(s, d), 0.05)[1], _PROBE + " SELECT * FROM p")
+add("probe_doc_terms", lambda s, d: evaluation.probe_split(_terms(s, d), 0.05)[1].drop("h"), _PROBE + " SELECT * FROM p")
 add("train_doc_terms", lambda s, d: evaluation.probe_split(_terms(s, d), 0.05)[0], _PROBE + f" SELECT * FROM r WHERE {fraction_sql(42, 'user_id', 'item_id')} >= 0.05")
 add("test_cases_doc_terms", lambda s, d: _cases(s, d)[2], _PROBE + " SELECT * FROM c")
 add("head_items", lambda s, d: evaluation.head_items(_terms(s, d)), _PROBE + f", {_ITEMS} SELECT item_id, n, CAST(before AS BIGINT) AS before FROM hd")
