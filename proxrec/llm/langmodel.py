@@ -32,7 +32,7 @@ from .neardup import mix, words_of
 MU = 200.0
 #: A word with more than this share of the training tokens is dealt to all shards.
 FREQUENT = 1 / 500
-SHARDS, SHARD_TOKENS = 32, 4_500_000
+SHARDS, SHARD_TOKENS = 64, 2_400_000
 BATCH_ROWS = 16_000
 HELD = 1 << 15  # bit of a document's number within its batch
 MASK = np.uint64((1 << 62) - 1)
