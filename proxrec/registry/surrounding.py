@@ -76,7 +76,7 @@ def _null_safe(s, d):
 @op("op_join_salted", "SELECT l_partkey, count(*) AS n, sum(l_quantity) AS quantity FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1")
 def _salted(s, d):
     lines = load(s, d, "lineitem").select("l_orderkey", "l_partkey", "l_quantity").withColumn("salt", F.pmod(F.xxhash64("l_orderkey"), F.lit(8)))
-    parts = load(s, d, "part").select("p_partkey").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(7))).cast("long"))
+    parts = load(s, d, "part").select("p_partkey").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(7).cast("long"))))
     joined = lines.join(parts, (lines.l_partkey == parts.p_partkey) & (lines.salt == parts.salt))
     return joined.groupBy("l_partkey").agg(F.count("*").alias("n"), F.sum("l_quantity").alias("quantity"))
 
@@ -109,7 +109,7 @@ def _sets(s, d):
 
 @op("op_pivot", "SELECT user_id, " + ", ".join(f"count(*) FILTER (WHERE event_type = '{t}') AS {t}" for t in ("view", "purchase")) + " FROM events WHERE event_type IN ('view', 'purchase') GROUP BY 1")
 def _pivot(s, d):
-    return load(s, d, "events").where("event_type IN ('view', 'purchase')").groupBy("user_id").pivot("event_type", ["view", "purchase"]).agg(F.count("*")).na.fill(0)
+    return load(s, d, "events").where("event_type IN ('view', 'purchase')").groupBy("user_id").pivot("event_type", ["view", "purchase"]).agg(F.count(F.lit(1))).na.fill(0)
 
 
 @op("op_unpivot", "SELECT r_regionkey, 'twice' AS name, r_regionkey * 2 AS value FROM region UNION ALL SELECT r_regionkey, 'thrice', r_regionkey * 3 FROM region")
