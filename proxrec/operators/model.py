@@ -227,14 +227,14 @@ def dot(a: str, b: str):
 
 
 def score_pairs(model: LatentModel, ratings: DataFrame, pairs: DataFrame) -> DataFrame:
-    """score for the given (user_id, item_id) pairs only: factors of their users, then a join to the items' vectors."""
+    """score for the given (user_id, item_id) pairs only: factors of their users, then a join to the items' vectors; 0 for users or items the model lacks."""
     spark = ratings.sparkSession
     latent = model.latent(spark)
     users = ratings.join(pairs.select("user_id").distinct(), "user_id", "left_semi")
     parts = users.join(F.broadcast(latent.select("item_id", "v")), "item_id").select("user_id", F.posexplode(F.transform("v", lambda x: x * F.col("rating"))).alias("k", "p"))
     factors = parts.groupBy("user_id", "k").agg(F.sum("p").alias("p")).groupBy("user_id").agg(F.array_sort(F.collect_list(F.struct("k", "p"))).alias("p")).select("user_id", F.col("p.p").alias("p"))
-    found = pairs.join(factors, "user_id").join(F.broadcast(latent.select("item_id", "v")), "item_id")
-    return found.withColumn("score", dot("p", "v")).drop("p", "v")
+    found = pairs.join(factors, "user_id", "left").join(F.broadcast(latent.select("item_id", "v")), "item_id", "left")
+    return found.withColumn("score", F.coalesce(dot("p", "v"), F.lit(0.0))).drop("p", "v")
 
 
 def explain(model: LatentModel, ratings: DataFrame, pairs: DataFrame, k: int = 5) -> DataFrame:
