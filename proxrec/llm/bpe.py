@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, load, map_text
+from .common import field, load, map_text, resident
 
 RANK_FILE = "byte_bpe_multi_50k.tiktoken"
 #: Entries in each of the two generations of resolved pre-tokens that a worker remembers.
@@ -87,6 +87,9 @@ class Vocabulary:
         with open(path, "rb") as f:
             return cls({base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}, pattern)
 
+    def digest(self) -> int:
+        return xxhash.xxh64_intdigest(b"".join(b"%d %d " % (len(k), r) + k for k, r in zip(self.slot_key, self.slot_rank, strict=True)) + self.pattern.encode())
+
     def whole(self, token: bytes) -> int | None:
         """Tier one: the rank of a byte string that is a vocabulary entry, else None."""
         s = self.hash.slot(token)
@@ -190,19 +193,12 @@ class Encoder:
         return b"".join(parts)
 
 
-_ENCODERS: dict[int, Encoder] = {}  # by broadcast, kept while Spark reuses the Python worker
-
-
 def encode(df: DataFrame, vocabulary: Vocabulary, text_col: str = "text", ids_col: str = "ids", keep: list[str] | None = None) -> DataFrame:
     """Adds the ids of each whole text as array<int>. The vocabulary is broadcast: its size is fixed by the rank file."""
-    shared = df.sparkSession.sparkContext.broadcast(vocabulary)
+    shared, key = df.sparkSession.sparkContext.broadcast(vocabulary), ("bpe", vocabulary.digest())
 
     def make():
-        key = id(shared)
-        if key not in _ENCODERS:
-            _ENCODERS.clear()
-            _ENCODERS[key] = Encoder(shared.value)
-        encoder = _ENCODERS[key]
+        encoder = resident(key, lambda: Encoder(shared.value))
 
         def work(texts):
             packed = [encoder.encode(t) if t else b"" for t in texts]
@@ -211,6 +207,7 @@ def encode(df: DataFrame, vocabulary: Vocabulary, text_col: str = "text", ids_co
 
         return work
 
+    make.stays = True
     return map_text(df, make, [field(ids_col, T.ArrayType(T.IntegerType()))], text_col, keep)
 
 

@@ -15,6 +15,7 @@ from pyspark.sql import types as T
 
 #: Text handled at once by a Python worker, in characters; bounds its memory whatever the batch size.
 SLICE_CHARS = 2_000_000
+ARROW_ROWS = 500
 ASCII_UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 ASCII_LOWER = ASCII_UPPER.lower()
 #: For str.translate: A-Z only, other letters stay.
@@ -54,6 +55,24 @@ def slices(batch: pa.RecordBatch, text_col: str) -> Iterator[pa.RecordBatch]:
         yield batch.slice(a, b - a)
 
 
+_RESIDENT: dict[object, object] = {}
+
+
+def resident(key: object, build: Callable[[], object]) -> object:
+    """An object that a Python worker keeps from task to task; only the latest is kept."""
+    if key not in _RESIDENT:
+        _RESIDENT.clear()
+        _RESIDENT[key] = build()
+    return _RESIDENT[key]
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Whole texts travel to Python in batches of few rows, so that buffers on both sides stay small."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= ARROW_ROWS:
+        spark.conf.set(key, str(ARROW_ROWS))
+
+
 def map_text(df: DataFrame, make: Callable[[], Callable[[list], list]], fields: list[T.StructField], text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """Adds columns computed from whole texts in Arrow batches.
 
@@ -62,18 +81,24 @@ def map_text(df: DataFrame, make: Callable[[], Callable[[list], list]], fields:
     """
     names = {f.name.lower() for f in fields}
     kept = [c for c in (df.columns if keep is None else keep) if c.lower() not in names]
-    source = df.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{text_col}`").cast("string").alias("_llm_text"))
+    small_batches(df.sparkSession)
+    # a text that passes through is sent once
+    own = text_col in kept and isinstance(df.schema[text_col].dataType, T.StringType)
+    read = text_col if own else "_llm_text"
+    source = df.select(*[F.col(f"`{c}`") for c in kept], *([] if own else [F.col(f"`{text_col}`").cast("string").alias(read)]))
     schema = T.StructType([source.schema[c] for c in kept] + fields)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        if not getattr(make, "stays", False):
+            _RESIDENT.clear()
         work, out = make(), to_arrow_schema(schema)
         for batch in batches:
-            for part in slices(batch, "_llm_text"):
-                made = work(part.column("_llm_text").to_pylist())
-                own = [m if isinstance(m, pa.Array) else pa.array(m, type=out.field(len(kept) + i).type) for i, m in enumerate(made)]
-                columns = [part.column(i).cast(out.field(i).type) for i in range(len(kept))] + own
+            for part in slices(batch, read):
+                made = work(part.column(read).to_pylist())
+                fresh = [m if isinstance(m, pa.Array) else pa.array(m, type=out.field(len(kept) + i).type) for i, m in enumerate(made)]
+                columns = [part.column(i).cast(out.field(i).type) for i in range(len(kept))] + fresh
                 yield pa.RecordBatch.from_arrays(columns, schema=out)
 
     return source.mapInArrow(run, schema)

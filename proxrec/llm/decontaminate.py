@@ -10,6 +10,7 @@ result column is replaced; an empty benchmark leaves every document clean.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import ahocorasick
@@ -19,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, load, slices
+from .common import field, load, resident, slices, small_batches
 
 WINDOW = 10
 #: Bytes of item text in one automaton; a larger benchmark is scanned in several such blocks, one after the other.
@@ -90,9 +91,6 @@ def original_offsets(text: str, ranges: list[tuple[int, int]]) -> list[tuple[int
     return [(int(point[edge[2 * a]]), int(point[edge[2 * b - 1]])) for a, b in ranges]
 
 
-_AUTOMATA: dict[int, object] = {}
-
-
 def blocks(items: DataFrame, id_col: str, text_col: str) -> Iterator[list[tuple[str, str]]]:
     """The items in blocks of bounded size, one on the driver at a time."""
     block, held = [], 0
@@ -116,19 +114,18 @@ def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", ite
     temp = [field("_llm_starts", T.ArrayType(T.IntegerType())), field("_llm_ends", T.ArrayType(T.IntegerType())), field("_llm_items", T.ArrayType(T.StringType()))]
     names = {f.name.lower() for f in own}
     kept = [c for c in (docs.columns if keep is None else keep) if c.lower() not in names]
+    small_batches(docs.sparkSession)
     out = docs.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{text_col}`").cast("string").alias("_llm_text"))
     base = T.StructType([out.schema[c] for c in kept])
     shared = [docs.sparkSession.sparkContext.broadcast(b) for b in blocks(items, item_col, item_text_col)] or [docs.sparkSession.sparkContext.broadcast([])]
 
     def stage(held, first: bool, last: bool, schema: T.StructType):
+        key = ("items", uuid.uuid4().hex)
+
         def run(batches):
             from pyspark.sql.pandas.types import to_arrow_schema
 
-            key = id(held)
-            if key not in _AUTOMATA:
-                _AUTOMATA.clear()
-                _AUTOMATA[key] = build(held.value, window)
-            automaton, made = _AUTOMATA[key], to_arrow_schema(schema)
+            automaton, made = resident(key, lambda: build(held.value, window)), to_arrow_schema(schema)
             for batch in batches:
                 for part in slices(batch, "_llm_text"):
                     texts = part.column("_llm_text").to_pylist()

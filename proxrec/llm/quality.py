@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import crc_bucket, field, load, map_text, slices
+from .common import crc_bucket, field, load, map_text, slices, small_batches
 
 BUCKETS, DIM, NONZERO, WINDOW = 1 << 14, 64, 4, 2
 BLOCK = 64  # words whose sums travel together
@@ -88,6 +88,7 @@ def context_sums(docs: DataFrame, text_col: str = "text") -> np.ndarray:
         return pd.DataFrame({"block": [pdf["block"].iloc[0]], "sums": [zlib.compress(total.tobytes(), 1)]})
 
     schema = "block int, sums binary"
+    small_batches(docs.sparkSession)
     tables = docs.select(F.col(text_col).cast("string").alias("_llm_text")).mapInArrow(run, "block int, part int, sums binary")
     rows = tables.groupBy("block", "part").applyInPandas(added, schema).groupBy("block").applyInPandas(added, schema).collect()
     out = np.zeros((BUCKETS, DIM + 1))
