@@ -231,18 +231,20 @@ def block_subspace(op, f: int, oversample: int = 20, passes: int = 12, tol: floa
     f = min(f, op.m)
     width = min(op.m, f + oversample)
     trace = Trace(path="block-subspace")
-    block = np.linalg.qr(np.random.default_rng(seed).standard_normal((op.m, width)))[0]
-    basis = np.zeros((op.m, 0))
+    block = np.random.default_rng(seed).standard_normal((op.m, width))
+    basis = image = np.zeros((op.m, 0))
     before = np.full(f, np.inf)
     for _ in range(passes):
-        fresh = block - basis @ (basis.T @ block)
-        fresh = fresh - basis @ (basis.T @ fresh)
-        u, s, _ = np.linalg.svd(fresh, full_matrices=False)
-        basis = np.linalg.qr(np.hstack([basis, u[:, s > 1e-12 * max(s[0], 1e-300)]]))[0]
         t0 = time.perf_counter()
-        image = op.apply(basis)
-        trace.product_s += time.perf_counter() - t0
+        for _ in range(2):
+            block = block - basis @ (basis.T @ block)
+            u, s, _ = np.linalg.svd(block, full_matrices=False)
+            block = u[:, s > 1e-10 * max(s[0], 1e-300)]
+        t1 = time.perf_counter()
+        fresh = op.apply(block)
+        trace.orth_s, trace.product_s = trace.orth_s + t1 - t0, trace.product_s + time.perf_counter() - t1
         trace.steps += 1
+        basis, image = np.hstack([basis, block]), np.hstack([image, fresh])
         small = basis.T @ image
         values, xi = np.linalg.eigh((small + small.T) / 2)
         values, xi = values[::-1], xi[:, ::-1]
@@ -251,9 +253,11 @@ def block_subspace(op, f: int, oversample: int = 20, passes: int = 12, tol: floa
         if max(trace.residuals) <= tol * max(abs(values[0]), 1e-300) or np.abs(values[:f] - before).max() <= 1e-15 * abs(values[0]) or basis.shape[1] >= op.m:
             break
         before = values[:f].copy()
+        block = fresh
         if basis.shape[1] > 8 * width:
-            basis = basis @ xi[:, : 2 * width]
-        block = image @ xi[:, :width]
+            block = image @ xi[:, :width]
+            kept = xi[:, : 2 * width]
+            basis, image = basis @ kept, image @ kept
     trace.passes = op.passes
     return Eigen(values[:f], vectors, trace)
 
