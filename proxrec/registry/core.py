@@ -368,6 +368,11 @@ add("x5_new_community_33", lambda s, d: compare(s, _terms(s, d), evaluation.NewC
 add("x6_new_users", lambda s, d: compare(s, _terms(s, d), evaluation.NewUsers(), ["latent cosine", "truncated svd", "popularity"]))
 
 
+add("x5_new_community_66", lambda s, d: compare(s, _terms(s, d), evaluation.NewCommunity(0.66, 0.05), ["latent cosine", "truncated svd", "popularity"]))
+METHODS |= {"jaccard f=241 d=0.2": latent_scorer(ModelSpec("jaccard", 0.2, 241, form="local")), "jaccard f=270 d=0.4": latent_scorer(ModelSpec("jaccard", 0.4, 270, form="local"))}
+add("x11_reported_settings", lambda s, d: compare(s, _terms(s, d), evaluation.Standard(0.05), ["jaccard f=241 d=0.2", "jaccard f=270 d=0.4"]))
+
+
 def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """MRR of the standard protocol over the scaling exponent; candidates and split are made once."""
     from proxrec.plans.planner import cut

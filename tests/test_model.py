@@ -88,6 +88,27 @@ def test_split_is_disjoint_and_negatives_unrated(ratings):
     assert evaluation.community(ratings, 0.33).join(evaluation.community(ratings, 0.66), ["user_id", "item_id"], "left_anti").count() == 0
 
 
+def test_tune_shares_one_solve_and_best_of(ratings, spark):
+    grid = model.tune(ratings, ["cosine", "jaccard"], [0.2, 0.4], [1, 3], lambda m: float(m.values.sum()))
+    assert len(grid) == 8 and all(a["value"] <= b["value"] for a, b in zip(grid[::2], grid[1::2], strict=True))
+    rows = spark.createDataFrame([("a", "x", 0.1), ("a", "y", 0.3), ("b", "z", 0.2)], "method string, setting string, value double")
+    assert {tuple(r) for r in evaluation.best_of(rows).collect()} == {("a", 0.3, "y"), ("b", 0.2, "z")}
+
+
+@pytest.mark.parametrize("form", ["local", "blocks"])
+@pytest.mark.parametrize("kind", ["cosine", "pearson", "jaccard"])
+def test_forms_agree(ratings, kind, form):
+    want = fit(ratings, ModelSpec(kind, 0.4, 1))
+    assert np.abs(fit(ratings, ModelSpec(kind, 0.4, 1, form=form, solver="auto" if form == "blocks" and kind != "jaccard" else "lanczos")).phi() - want.phi()).max() < 1e-6
+
+
+def test_new_users_and_tail(ratings):
+    thin, chosen = evaluation.new_users(ratings, 3, 4, 0.95)
+    assert chosen.count() == 3 and thin.count() < len(ROWS)
+    cases = evaluation.test_cases(evaluation.probe_split(ratings, 0.5)[1])
+    assert evaluation.tail_cases(cases, ratings).join(evaluation.head_items(ratings), "item_id").count() == 0
+
+
 def test_bad_input(spark):
     twice = spark.createDataFrame([(1, 1, 2.0), (1, 1, 3.0)], "u long, i long, x double")
     assert canonical(twice, "u", "i", "x").first()["rating"] == 5.0
