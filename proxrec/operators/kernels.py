@@ -19,7 +19,7 @@ GRID = {
     "entropy": [{"t": t} for t in (*range(1, 11), 50, 100)],
     "commute": [{"damping": a} for a in (1e-6, 1e-5, 1e-4, 1e-3, 1e-2, 0.1, 0.5, 0.9, 0.99)],
 }
-BLOCK = 64  # users solved together
+BLOCK = 256  # users solved together
 MOST_EDGES = 50_000_000  # of a graph that is broadcast
 
 
