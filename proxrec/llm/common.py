@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 from collections.abc import Callable, Iterator
 
@@ -66,6 +67,14 @@ def resident(key: object, build: Callable[[], object]) -> object:
     return _RESIDENT[key]
 
 
+def give_back() -> None:
+    """Returns a Python worker's unused memory to the system, for workers live on between tasks."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def small_batches(spark: SparkSession) -> None:
     """Whole texts travel to Python in batches of few rows, so that buffers on both sides stay small."""
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
@@ -100,6 +109,8 @@ def map_text(df: DataFrame, make: Callable[[], Callable[[list], list]], fields:
                 fresh = [m if isinstance(m, pa.Array) else pa.array(m, type=out.field(len(kept) + i).type) for i, m in enumerate(made)]
                 columns = [part.column(i).cast(out.field(i).type) for i in range(len(kept))] + fresh
                 yield pa.RecordBatch.from_arrays(columns, schema=out)
+        del work
+        give_back()
 
     return source.mapInArrow(run, schema)
 

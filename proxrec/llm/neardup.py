@@ -60,7 +60,7 @@ def words_of(text: str) -> list[str]:
 class ShingleHasher:
     """Sorted distinct shingle hashes of a text; remembers word hashes up to a bound."""
 
-    def __init__(self, size: int = SHINGLE, remembered: int = 400_000):
+    def __init__(self, size: int = SHINGLE, remembered: int = 200_000):
         self.size, self.remembered, self.known = size, remembered, {}
 
     def __call__(self, text: str | None) -> np.ndarray:
