@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import load
+from .common import cut, load
 
 TREES, BITS, DEPTH = 24, 48, 12
 SHARE = 1.2
@@ -100,18 +100,22 @@ def search(base_id: np.ndarray, base: np.ndarray, h: np.ndarray, query_id: np.nd
         if a == b:
             continue
         ids, vectors = base_id[a:b], base[a:b].astype(np.float64)
+        by = np.argsort(ids, kind="stable")
+        first = np.flatnonzero(np.append(True, ids[by][1:] != ids[by][:-1]))
         mine = np.flatnonzero(of.reshape(-1) == i)
         for c in range(0, len(mine), max(1, CELLS // (b - a))):
             part = mine[c : c + max(1, CELLS // (b - a))]
             q = queries[part].astype(np.float64)
             scores = q @ vectors.T
-            top = min(k + 1, b - a)  # one more, since the query may find itself
-            least = np.partition(scores, b - a - top, axis=1)[:, b - a - top] - 1e-9
+            by_id = scores if len(first) == b - a else np.maximum.reduceat(scores[:, by], first, axis=1)
+            top = min(k + 1, len(first))  # ids, one more, since the query may find its own
+            least = np.partition(by_id, len(first) - top, axis=1)[:, len(first) - top] - 1e-9
             for j, row in enumerate(scores):
                 near = np.flatnonzero(row >= least[j])
                 near = near[ids[near] != query_id[part[j]]]
                 exact = (vectors[near] * q[j]).sum(1)
-                best = np.lexsort((ids[near], -exact))[:k]
+                best = np.lexsort((ids[near], -exact))
+                best = best[np.sort(np.unique(ids[near][best], return_index=True)[1])[:k]]  # an id's best row only
                 out.append((np.full(len(best), query_id[part[j]]), ids[near][best], exact[best]))
     if not out:
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
@@ -127,7 +131,8 @@ def nearest(rows: DataFrame, is_query: Column, k: int = 20, id_col: str = "vec_i
     out = "query_id long, id long, score double"
     if dim is None:
         return spark.createDataFrame([], f"query_id long, rank int, `{id_col}` long, score double")
-    rows = rows.where(F.size("vector") == dim)
+    # equal rows would fill runs and candidates with copies
+    rows = cut(rows.where(F.size("vector") == dim).groupBy("id", "vector").agg(F.max("asks").alias("asks")))
     n, largest = rows.agg(F.count("*"), F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))))).first()
     single = isinstance(rows.schema["vector"].dataType.elementType, T.FloatType)
     kind = np.float32 if single else np.float64

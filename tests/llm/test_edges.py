@@ -212,6 +212,27 @@ def test_neighbours(spark):
     assert hashforest.nearest(df.where("false"), F.lit(True)).count() == 0
 
 
+def test_neighbours_of_repeated_ids(spark):
+    """An id repeated 30 times, with equal and with different vectors, as neighbour and as query, takes one place."""
+    rng = np.random.default_rng(9)
+    x = rng.standard_normal((60, 8))
+    x[1] = 3 * x[0]
+    x[3] = 3 * x[2]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    rows += [(i, x[i].tolist()) for i in (0, 1) for _ in range(30)]  # equal rows
+    rows += [(i, (x[i] * (1 + (j + 1) / 100)).tolist()) for i in (2, 3) for j in range(30)]  # one id, many vectors
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = {}
+    for r in hashforest.nearest(df, F.col("vec_id") < 4, 20, share=24.0).collect():  # every row is a candidate
+        got.setdefault(r["query_id"], {})[r["rank"]] = (r["vec_id"], r["score"])
+    by_id = {i: np.array([v for k, v in rows if k == i]) for i in range(60)}
+    for q in range(4):
+        best = {i: float((by_id[q] @ by_id[i].T).max()) for i in range(60) if i != q}
+        want = sorted(best, key=lambda i: (-best[i], i))[:20]
+        assert [got[q][k][0] for k in range(1, 21)] == want and len(got[q]) == 20
+        assert all(abs(got[q][k + 1][1] - best[i]) < 1e-9 for k, i in enumerate(want))
+
+
 def test_toxicity(spark, docs, none):
     rows = [(i, f"{'vile slur ' * (i % 4) if i % 3 == 0 else ''}plain words number {i % 17} here and there", int(i % 3 == 0 and i % 4 > 0)) for i in range(300)]
     df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
