@@ -4,9 +4,10 @@ Found are e-mail addresses, IPv4 addresses, phone numbers, card-like numbers, so
 name's words are then also found alone in the same document. Each entity is replaced by a keyed permutation of its own format class: digits
 stay digits, letters stay letters of their script, case and kind (vowel or consonant), punctuation stays, a name keeps the form of
 address and the last letter that mark its gender, a phone number its country code, a card number its first digit and whether its check digit is right,
-an address its top-level domain. The permutation is an alternating Feistel network over mixed radices, so within a class two entities never get
-one surrogate (distinctness), one entity always gets the same (coreference, also across spellings of one number), and nothing has to
-be shuffled or looked up. ``collisions`` checks this on the result, and lists surrogates that equal some original.
+an address its top-level domain. The permutation is an alternating Feistel network over mixed radices, a keyed step and the network's inverse, so within a
+class two entities never get one surrogate (distinctness), none gets itself, one entity always gets the same (coreference, also across
+spellings of one number), and nothing has to be shuffled, looked up or repaired. ``collisions`` checks this on the result, and lists surrogates
+that equal some original: another entity's, as happens to short names. Only an address without letters and digits before its top-level domain stays.
 
 Defined results: null texts stay null and have no entities, empty texts stay empty; repeated rows give equal results; entities that overlap
 are taken leftmost first; extra columns pass through and those named like a result column are replaced; the key may be any string.
@@ -14,6 +15,8 @@ are taken leftmost first; extra columns pass through and those named like a resu
 
 from __future__ import annotations
 
+import unicodedata
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -28,7 +31,36 @@ TITLE = "(?:" + "|".join(sorted((t for ts in TITLES.values() for t in ts), key=l
 #: Letters that may stand for each other.
 DIGITS = "0123456789"
 LATIN = "abcdefghijklmnopqrstuvwxyz"
-NAME_CLASSES = ("aeiou", "bcdfghjklmnpqrstvwxyz", "áéíóúàèìòùâêîôûäëïöü", "ñçß", "аеёиоуыэюя", "бвгджзйклмнпрстфхцчшщ", "αεηιουω", "βγδζθκλμνξπρστφχψ")
+NAME_CLASSES = ("aeiou", "bcdfghjklmnpqrstvwxyz", "áéíóúàèìòùâêîôûäëïöü", "ñç", "аеёиоуыэюя", "бвгджзйклмнпрстфхцчшщ", "ъь", "αεηιουω", "βγδζθκλμνξπρστφχψ")
+
+
+
+def other_classes() -> tuple[tuple[str, ...], tuple[str, ...]]:
+    """Classes of the cased letters that NAME_CLASSES lacks, by script, page of code points and kind: of lower-case letters with one partner in upper case,
+    and of letters without, which stand for each other as they are. None has a single letter."""
+    recent = {*map(chr, (0xA7C0, 0xA7C1, 0x2C2F, 0x2C5F, *range(0xA7D0, 0xA7DA))), *map(chr, range(0x1DF00, 0x1E000))}  # younger than Java 17's tables
+    found: dict[tuple, list[str]] = {}
+    for c in map(chr, range(0x110000)):
+        case = unicodedata.category(c)
+        if case not in ("Lu", "Ll") or any(c.lower() in a for a in NAME_CLASSES):
+            continue
+        low = c.lower()
+        paired = len(low) == 1 and len(low.upper()) == 1 and low.upper() != low and low.upper().lower() == low
+        if paired and case == "Lu":
+            continue
+        vowel = unicodedata.normalize("NFD", c)[0] in "aeiouyαεηιουωаеиоуыэюя"
+        found.setdefault(("pair" if paired else case, c in recent, unicodedata.name(c).split()[0], ord(c) >> 8, vowel), []).append(c)
+    for short in range(4, 0, -1):  # lone letters join others of their script, or else of their kind
+        for key in [k for k, v in found.items() if len(v) == 1]:
+            near = next((k for k in found if k != key and k[:short] == key[:short]), None)
+            if near:
+                found[near] += found.pop(key)
+    return tuple("".join(v) for k, v in found.items() if k[0] == "pair"), tuple("".join(v) for k, v in found.items() if k[0] != "pair")
+
+
+OTHER_CLASSES, CASELESS_CLASSES = other_classes()
+#: The country codes, a set without common prefixes; three digits wherever no shorter one is given. Separators may stand anywhere.
+COUNTRY = r"^[+](?:[17]|2[ .()-]*[07]|3[ .()-]*[0-469]|4[ .()-]*[013-9]|5[ .()-]*[1-8]|6[ .()-]*[0-6]|8[ .()-]*[1246]|9[ .()-]*[0-58]|[0-9][ .()-]*[0-9][ .()-]*[0-9])"
 
 EMAIL = r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){0,8}\.[A-Za-z]{2,24}(?![A-Za-z0-9-])"
 OCTET = r"(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
@@ -54,13 +86,17 @@ def let(name: str, value: str, body: str) -> str:
 def permuted(values: str, radices: str, key: str, tweak: str) -> str:
     """SQL: the keyed permutation of array<int> ``values`` where value i lies below radix i.
 
-    In turn one half is shifted, place by place, by digests of the other half.
+    In turn one half is shifted, place by place, by digests of the other half; then the first place by a keyed number that is never 0, and the rounds
+    are taken back. So no value stays as it is, if the first radix is above 1.
     """
     other = f"CASE WHEN k % 2 = 0 THEN slice(acc, 1 + size(acc) DIV 2 + size(acc) % 2, size(acc)) ELSE slice(acc, 1, size(acc) DIV 2 + size(acc) % 2) END"
     digest = f"sha2(concat_ws('|', {key}, {tweak}, CAST(k AS STRING), CAST(i AS STRING), array_join(transform({other}, q -> CAST(q AS STRING)), ',')), 256)"
     shift = f"CAST(conv(substring({digest}, 1, 12), 16, 10) AS BIGINT)"
-    moved = f"CASE WHEN (i < size(acc) DIV 2 + size(acc) % 2) = (k % 2 = 0) THEN CAST(pmod(CAST(v AS BIGINT) + {shift}, {radices}[i]) AS INT) ELSE v END"
-    return f"aggregate(sequence(0, {ROUNDS - 1}), {values}, (acc, k) -> transform(acc, (v, i) -> {moved}))"
+    moved = lambda sign: f"CASE WHEN (i < size(acc) DIV 2 + size(acc) % 2) = (k % 2 = 0) THEN CAST(pmod(CAST(v AS BIGINT) {sign} {shift}, rs[i]) AS INT) ELSE v END"
+    rounds = lambda ks, start, sign: f"aggregate({ks}, {start}, (acc, k) -> transform(acc, (v, i) -> {moved(sign)}))"
+    step = f"CAST(conv(substring(sha2(concat_ws('|', {key}, {tweak}, array_join(transform(rs, q -> CAST(q AS STRING)), ',')), 256), 1, 12), 16, 10) AS BIGINT)"
+    there = f"transform({rounds(f'sequence(0, {ROUNDS - 1})', values, '+')}, (v, i) -> CASE WHEN i = 0 THEN CAST(pmod(v + 1 + pmod({step}, greatest(rs[0] - 1, 1)), rs[0]) AS INT) ELSE v END)"
+    return let("rs", radices, rounds(f"sequence({ROUNDS - 1}, 0, -1)", there, "-"))
 
 
 def luhn_check(digits: str) -> str:
@@ -71,16 +107,16 @@ def luhn_check(digits: str) -> str:
 
 def respelled(word: str, kind: str, key: str) -> str:
     """SQL: the surrogate of a word of the given kind (SQL expressions), character by character."""
-    names = " ".join(f"WHEN locate(lower(c), '{a}') > 0 THEN '{a}'" for a in NAME_CLASSES)
+    names = " ".join([f"WHEN locate(lower(c), '{a}') > 0 THEN '{a}'" for a in NAME_CLASSES + OTHER_CLASSES] + [f"WHEN locate(c, '{a}') > 0 THEN '{a}'" for a in CASELESS_CLASSES])
     fixed = (
-        f"({kind} = 'phone' AND i < length(regexp_extract({word}, {quoted(r'^[+][0-9]{1,3}(?=[ .(-])')}, 0))) OR ({kind} = 'card' AND (i = 0 OR i = length({word}) - 1)) "
+        f"({kind} = 'phone' AND i < length(regexp_extract({word}, {quoted(COUNTRY)}, 0))) OR ({kind} = 'card' AND (i = 0 OR i = length({word}) - 1)) "
         f"OR ({kind} = 'email' AND i >= length({word}) - locate('.', reverse({word}))) OR ({kind} = 'name' AND i = length({word}) - 1)"
     )
     alphabet = f"CASE WHEN {fixed} THEN '' WHEN locate(c, '{DIGITS}') > 0 THEN '{DIGITS}' WHEN {kind} = 'email' AND locate(lower(c), '{LATIN}') > 0 THEN '{LATIN}' WHEN {kind} = 'name' THEN CASE {names} ELSE '' END ELSE '' END"
     cs = f"transform(filter(split({word}, ''), c -> c <> ''), (c, i) -> named_struct('c', c, 'a', {alphabet}))"
-    active = "transform(filter(cs, y -> y.a <> ''), y -> named_struct('v', CAST(locate(lower(y.c), y.a) - 1 AS INT), 'r', length(y.a)))"
+    active = "transform(filter(cs, y -> y.a <> ''), y -> named_struct('v', CAST(coalesce(nullif(locate(y.c, y.a), 0), locate(lower(y.c), y.a)) - 1 AS INT), 'r', length(y.a)))"
     letter = "substring(y.a, 1 + p[acc.k], 1)"
-    rebuilt = f"aggregate(cs, named_struct('k', 0, 'out', ''), (acc, y) -> named_struct('k', acc.k + CASE WHEN y.a <> '' THEN 1 ELSE 0 END, 'out', concat(acc.out, CASE WHEN y.a = '' THEN y.c WHEN y.c = lower(y.c) THEN {letter} ELSE upper({letter}) END)), acc -> acc.out)"
+    rebuilt = f"aggregate(cs, named_struct('k', 0, 'out', ''), (acc, y) -> named_struct('k', acc.k + CASE WHEN y.a <> '' THEN 1 ELSE 0 END, 'out', concat(acc.out, CASE WHEN y.a = '' THEN y.c WHEN locate(y.c, y.a) > 0 THEN {letter} ELSE upper({letter}) END)), acc -> acc.out)"
     plain = let("cs", cs, let("act", active, let("p", permuted("transform(act, y -> y.v)", "transform(act, y -> y.r)", key, f"CASE WHEN {kind} = 'ssn' THEN 'ssn' ELSE {kind} END"), rebuilt)))
     ints = lambda s: f"transform(filter(split({s}, ''), c -> c rlike '[0-9]'), c -> CAST(c AS INT))"
     body = lambda s: f"slice({s}, 1, size({s}) - 1)"
@@ -115,7 +151,7 @@ def pseudonymise(docs: DataFrame, key: str, text_col: str = "text", keep: list[s
     df = df.withColumn("_parts", F.expr(f"CASE WHEN _found THEN {pairs} ELSE {parts} END"))
     k = quoted(key)
     is_title = f"rlike(w, {quoted('^' + TITLE + '[.]?$')})"
-    name = f"array_join(transform(split(x.hit, ' '), w -> CASE WHEN {is_title} THEN w ELSE array_join(transform(split(w, '-'), u -> {respelled('u', quoted('name'), k)}), '-') END), ' ')"
+    name = f"array_join(transform(split(x.hit, ' '), (w, at) -> CASE WHEN at = 0 AND x.hit <> w AND {is_title} THEN w ELSE array_join(transform(split(w, '-'), u -> {respelled('u', quoted('name'), k)}), '-') END), ' ')"
     surrogate = f"CASE WHEN x.hit = '' THEN '' WHEN x.type = 'name' THEN {name} ELSE {respelled('x.hit', 'x.type', k)} END"
     df = df.withColumn("_parts", F.expr(f"transform(_parts, x -> named_struct('gap', x.gap, 'hit', x.hit, 'type', x.type, 'surrogate', {surrogate}))"))
     entry = "named_struct('start', acc.at + length(x.gap), 'end', acc.at + length(x.gap) + length(x.hit), 'type', x.type, 'original', x.hit, 'surrogate', x.surrogate)"
@@ -127,7 +163,7 @@ def pseudonymise(docs: DataFrame, key: str, text_col: str = "text", keep: list[s
 
 def canonical(column: str, kind: str) -> str:
     """SQL for what one entity's spellings have in common."""
-    return f"CASE WHEN {kind} IN ('phone', 'card', 'ssn') THEN regexp_replace({column}, '[^0-9]', '') ELSE lower({column}) END"
+    return f"CASE WHEN {kind} IN ('phone', 'card', 'ssn') THEN regexp_replace({column}, '[^0-9+]', '') ELSE lower({column}) END"
 
 
 def collisions(done: DataFrame) -> DataFrame:

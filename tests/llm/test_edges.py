@@ -171,6 +171,27 @@ def test_pii(spark, docs, none):
     assert pii.pseudonymise(none, "k").count() == 0 and pii.pseudonymise(docs, "k").count() == len(TEXTS)
 
 
+def test_pii_changes_every_entity_and_joins_spellings(spark):
+    """Every cased letter, two-letter names, names that are forms of address, and spellings of one number."""
+    import unicodedata
+
+    pairs = {"".join(c) for c in ((a.upper(), a.lower()) for a in map(chr, range(0x110000)) if unicodedata.category(a) == "Ll") if len("".join(c)) == 2}
+    firsts = [c for c in map(chr, range(0x110000)) if unicodedata.category(c) == "Lu"]
+    names = sorted(pairs | {c + "a" for c in firsts} | {c + d for c in "BCDN" for d in "aeiou"} | {"Don", "Sir", "Պետրոսյան", "Łukasz", "Şahin", "Игорь"})
+    df = spark.createDataFrame([(i, f"Mr {n} x") for i, n in enumerate(names)], "doc_id long, text string")
+    found = pii.pseudonymise(df, "k").select("doc_id", F.explode("entities").alias("e")).select("doc_id", "e.*").collect()
+    assert len(found) > 2000 and [r["original"] for r in found if r["original"] == r["surrogate"]] == []
+    assert all(len(r["original"]) == len(r["surrogate"]) and unicodedata.category(r["surrogate"][3]) == "Lu" for r in found)
+    assert len({r["surrogate"].lower() for r in found}) == len({r["original"].lower() for r in found})
+    spelt = ["+14155550123", "+1 415 555 0123", "+1-415-555-0123", "+1 (415) 555-0123", "(415) 555-0123", "415-555-0123"]
+    numbers = spark.createDataFrame([(i, f"call {t} now") for i, t in enumerate(spelt)] + [(100 + i, f"call +{49 * 10**10 + i} or +49 {i:010d}") for i in range(300)], "doc_id long, text string")
+    done = pii.pseudonymise(numbers, "k").cache()
+    got = {r["doc_id"]: [re.sub(r"[^0-9]", "", e["surrogate"]) for e in r["entities"]] for r in done.collect()}
+    assert len({got[i][0][-10:] for i in range(6)}) == 1 and all(got[i][0][0] == "1" for i in range(4))
+    assert all(got[100 + i][0] == got[100 + i][1] for i in range(300))
+    assert pii.collisions(done).where("originals > 1").count() == 0
+
+
 def test_revisits(spark):
     h = {"ETag": '"a"', "Content-Type": "text/html", "Cache-Control": "old"}
     rows = [
