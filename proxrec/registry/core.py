@@ -219,6 +219,8 @@ add(
     f"WITH RECURSIVE {m.proximity_sql(VIEW_SQL['brand_affinity'], 'cosine', 0.4)}, {m.power_sql()}, c AS (SELECT t.user_id, t.item_id, o.item_id AS rated_item, o.rating * wt.x * wo.x AS c FROM r t JOIN r o ON o.user_id = t.user_id JOIN w wt ON wt.i = t.item_id JOIN w wo ON wo.i = o.item_id WHERE t.user_id % 100 = 0) "
     "SELECT user_id, item_id, rated_item, CAST(place AS INT) AS place, round(c, 6) + 0.0 AS contribution FROM (SELECT *, row_number() OVER (PARTITION BY user_id, item_id ORDER BY round(c, 9) DESC, rated_item) AS place FROM c) WHERE place <= 3",
 )
+# every rated pair; the form above is its share that the oracle checks
+add("explain_brands_all", lambda s, d: model.explain(fit(r := VIEWS["brand_affinity"](s, d), ModelSpec("cosine", 0.4, 1)), r, r.select("user_id", "item_id"), 3).select("user_id", "item_id", "rated_item", "place", r6("contribution").alias("contribution")))
 
 
 def _worked_example(spark: SparkSession, sf_dir: str) -> DataFrame:
