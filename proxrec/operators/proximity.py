@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .ratings import item_stats
@@ -102,6 +104,51 @@ def vector_pairs(items: DataFrame, item: str, vector: str) -> DataFrame:
     return a.crossJoin(b).select("i", "j", (dot("a", "b") / F.sqrt(dot("a", "a") * dot("b", "b"))).alias("v"))
 
 
+def vector_top(items: DataFrame, item: str, vector: str, k: int = 20, block: int = 8192) -> DataFrame:
+    """i, rank, j, v: the k most similar others of every item by the cosine of given vectors, over all rows.
+
+    Items are dealt to blocks and each task compares two of them, strip by strip, so that no row meets another outside a matrix product. Null and zero
+    vectors, those with null or non-finite components or of another length than the longest, and null ids take no part; an id given several
+    times counts once, with its best value; equal values rank by smaller id.
+    """
+    fine = F.expr(f"`{item}` IS NOT NULL AND forall(`{vector}`, x -> x IS NOT NULL AND abs(x) < double('infinity')) AND exists(`{vector}`, x -> x <> 0)")
+    rows = items.where(fine).select(F.col(item).cast("long").alias("i"), F.col(vector).cast("array<double>").alias("x"))
+    n, dim = rows.agg(F.count("*"), F.max(F.size("x"))).first()
+    blocks = max(1, -(-n // block))
+    dealt = rows.where(F.size("x") == (dim or 0)).withColumn("own", F.pmod(F.xxhash64("i"), F.lit(blocks)).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    dealt = dealt.select("i", "x", "own", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"))
+
+    def best(left, right):
+        ids, y = right
+        names, first = np.unique(ids, return_index=True)
+        mine, begin = np.unique(left[0], return_index=True)
+        for at in range(0, len(mine), 256):  # ids, whose rows stand together
+            begins = begin[at : at + 256]
+            end = begin[at + 256] if at + 256 < len(mine) else len(left[0])
+            v = np.maximum.reduceat(np.maximum.reduceat(left[1][begins[0] : end] @ y.T, first, axis=1), begins - begins[0], axis=0)
+            v[mine[at : at + 256, None] == names[None, :]] = -np.inf
+            top = min(k, len(names))
+            least = np.partition(v, len(names) - top, axis=1)[:, len(names) - top] - 1e-9
+            for i, row, low in zip(mine[at : at + 256], v, least, strict=True):
+                near = np.flatnonzero((row >= low) & (row > -np.inf))
+                near = near[np.lexsort((names[near], -np.round(row[near], 9)))[:k]]
+                yield pd.DataFrame({"i": np.full(len(near), i), "j": names[near], "v": np.clip(row[near], -1, 1)})
+
+    def compared(pdf: pd.DataFrame) -> pd.DataFrame:
+        a, b = int(pdf["a"].iloc[0]), int(pdf["b"].iloc[0])
+        sides = []
+        for own in (a, b):
+            part = pdf[pdf["own"] == own].sort_values("i")
+            x = np.array(part["x"].tolist(), np.float64).reshape(len(part), dim)
+            sides.append((part["i"].to_numpy(), x / np.linalg.norm(x, axis=1, keepdims=True)))
+        found = [*best(*sides), *(best(*sides[::-1]) if a < b else ())] if all(len(s[0]) for s in sides) else []
+        return pd.concat(found) if found else pd.DataFrame({"i": np.zeros(0, np.int64), "j": np.zeros(0, np.int64), "v": np.zeros(0)})
+
+    order = Window.partitionBy("i").orderBy(F.desc(F.round("v", 9)), "j")
+    found = dealt.groupBy("a", "b").applyInPandas(compared, "i long, j long, v double")
+    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("i", "rank", "j", "v")
+
+
 SIMILARITIES = {"cosine": cosine_pairs, "pearson": pearson_pairs, "jaccard": jaccard_pairs}
 
 

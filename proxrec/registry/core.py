@@ -95,6 +95,8 @@ add(
     lambda s, d: _pairs(proximity.vector_pairs(s.read.parquet(f"{d}/embeddings.parquet").where("vec_id < 60"), "vec_id", "embedding")),
     "WITH e AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS x FROM embeddings WHERE vec_id < 60) SELECT p.vec_id AS i, q.vec_id AS j, round(list_cosine_similarity(p.x, q.x), 6) + 0.0 AS v FROM e p CROSS JOIN e q",
 )
+# over all vectors; the form above is the corner of the full matrix that the oracle checks
+add("sim_vector_embeddings_top20", lambda s, d: proximity.vector_top(s.read.parquet(f"{d}/embeddings.parquet"), "vec_id", "embedding", 20).select("i", "rank", "j", r6("v").alias("v")))
 
 
 def _minhash_error(spark: SparkSession, sf_dir: str) -> DataFrame:

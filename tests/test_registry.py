@@ -1,4 +1,7 @@
+import numpy as np
+
 import __spark_entry__
+from proxrec.operators import proximity
 from proxrec.operators.model import ModelSpec, fit
 from proxrec.sources.workloads import VIEWS
 
@@ -22,3 +25,21 @@ def test_every_rated_pair_is_explained(spark):
     assert all(got[k][0] == want[k][0] and abs(got[k][1] - want[k][1]) < 1e-5 for k in want)
     some = {tuple(r) for r in __spark_entry__.queries()["explain_brands"](spark, SMALL).collect()}
     assert some <= {(*k[:2], v[0], k[2], v[1]) for k, v in got.items()}
+
+
+def test_every_vector_meets_every_other(spark):
+    table = spark.read.parquet(f"{SMALL}/embeddings.parquet")
+    rows = sorted((r["vec_id"], r["embedding"]) for r in table.select("vec_id", "embedding").collect())
+    x = np.array([v for _, v in rows], np.float64)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    s = x @ x.T
+    want = {}
+    for a, (i, _) in enumerate(rows):
+        best = sorted((-round(s[a, b], 9), j) for b, (j, _) in enumerate(rows) if b != a)[:20]
+        want |= {(i, k + 1): (j, -v) for k, (v, j) in enumerate(best)}
+    repeated = table.unionByName(table.where("vec_id < 40"))
+    for got in (__spark_entry__.queries()["sim_vector_embeddings_top20"](spark, SMALL), proximity.vector_top(repeated, "vec_id", "embedding", 20, block=60)):
+        found = {(r["i"], r["rank"]): (r["j"], r["v"]) for r in got.collect()}
+        assert found.keys() == want.keys() and max(i for i, _ in found) >= 60
+        assert all(found[k][0] == want[k][0] and abs(found[k][1] - want[k][1]) < 1e-5 for k in want)
+    assert proximity.vector_top(table.where("false"), "vec_id", "embedding").count() == 0
