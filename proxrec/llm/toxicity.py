@@ -2,10 +2,13 @@
 
 P(grade <= k) = sigmoid(threshold_k - w.x) with ordered thresholds and one weight vector for all of them; x holds 1 + ln(tf) of the
 words that a likelihood-ratio test ties to the grades. The fit runs on a bounded sample of labelled rows; scores cover whole texts.
+A quarter of that sample is held back from the fit and sets the cut at which a document counts as toxic: the one with the best mean of the
+shares of toxic and of other rows judged rightly. The cut belongs to the model.
 
 Defined results: null and empty texts have no features and get the base rate; documents without a label, or labels without a
 document, are left out of the fit; repeated documents are scored row by row; null grades are ignored; an input column named like
-a result column is replaced; with no labelled rows, or one grade only, every probability is the smoothed share of the grades.
+a result column is replaced; with no labelled rows, or one grade only, every probability is the smoothed share of the grades. Where the held-back
+rows are fewer than LEAST_HELD of either kind, the cut is DEFAULT_CUT.
 """
 
 from __future__ import annotations
@@ -29,22 +32,30 @@ SAMPLE_ROWS = 10_000
 MIN_DF = 5
 #: Likelihood-ratio statistic that a word needs to become a feature (chi-squared, one degree of freedom: p < 1e-6).
 MIN_G2 = 24.0
-L2 = 1e-3
-#: A document is toxic when P(grade >= 1) reaches this.
-TOXIC_AT = 0.5
+L2 = 1e-4
+#: Every fourth row of the sample is held back; fewer rows of a kind than LEAST_HELD set no cut.
+HELD_BACK, LEAST_HELD, DEFAULT_CUT = 4, 5, 0.5
 
 
-@dataclass
+@dataclass(frozen=True)
 class OrdinalModel:
-    weights: dict[bytes, float]
+    """Weights by word hash, ordered thresholds, and the P(grade >= 1) from which a document counts as toxic."""
+
+    weights: dict[int, float]
     thresholds: list[float]
+    cut: float = DEFAULT_CUT
 
-    def probabilities(self, counts: Counter) -> list[float]:
-        """P(grade = 0), P(grade = 1), ..."""
-        s = sum(w * (1 + math.log(counts[k])) for k, w in self.weights.items() if k in counts)
+    def probabilities(self, s: float) -> list[float]:
+        """P(grade = 0), P(grade = 1), ... at the linear score s."""
         below = [0.0] + [1 / (1 + math.exp(-max(-500.0, min(500.0, t - s)))) for t in self.thresholds] + [1.0]
         return [b - a for a, b in zip(below, below[1:], strict=False)]
 
+    def packed_score(self, packed: bytes) -> float:
+        """The linear score of packed features."""
+        n = len(packed) // 12
+        pairs = zip(np.frombuffer(packed, np.uint64, n).tolist(), np.frombuffer(packed, np.float32, n, 8 * n).tolist(), strict=True)
+        return sum(w * (1 + math.log(c)) for k, c in pairs if (w := self.weights.get(k)) is not None)
+
 
 def features(docs: DataFrame, text_col: str, keep: list[str]) -> DataFrame:
     """Sorted 64-bit word hashes and their counts, packed."""
@@ -114,20 +125,28 @@ def fit(rows: list[tuple[int, bytes]], l2: float = L2, rounds: int = 600) -> tup
 
 
 def graded(rows: list[tuple[int, bytes]]) -> list[tuple[int, bytes]]:
-    """Severity grades from a 0/1 label: toxic rows whose density of label-bound words is above the median get 2, other toxic rows 1.
+    """Severity grades from a 0/1 label: toxic rows above the toxic median of a two-grade fit's score get 2, other toxic rows 1.
 
-    A stand-in for human grades, used only where the label has two values.
+    A stand-in for human grades, used only where the label has two values. Grades that follow the score suit shared weights; any
+    other split of the toxic rows would pull the lower threshold's probabilities towards the middle.
     """
-    weights, _ = fit(rows, rounds=1)
-    tied = np.array(sorted(weights), np.uint64)
-    density = []
-    for g, p in rows:
-        n = len(p) // 12
-        h, c = np.frombuffer(p, np.uint64, n), np.frombuffer(p, np.float32, n, 8 * n)
-        density.append(float(c[np.isin(h, tied)].sum() / max(1.0, c.sum())) if g else 0.0)
-    toxic = [x for (g, _), x in zip(rows, density, strict=True) if g and x > 0]
-    middle = float(np.median(toxic)) if toxic else 0.0
-    return [(2 if g and x > middle else int(g > 0), p) for (g, p), x in zip(rows, density, strict=True)]
+    plain = OrdinalModel(*fit([(int(g > 0), p) for g, p in rows]))
+    scores = [plain.packed_score(p) if g else 0.0 for g, p in rows]
+    middle = float(np.median([x for (g, _), x in zip(rows, scores, strict=True) if g] or [0.0]))
+    return [(2 if g and x > middle else int(g > 0), p) for (g, p), x in zip(rows, scores, strict=True)]
+
+
+def best_cut(p_toxic: np.ndarray, toxic: np.ndarray) -> float:
+    """The cut with the best mean of both kinds' shares judged rightly; the middle, in log-odds, of the first gap that reaches it."""
+    if min(toxic.sum(), (~toxic).sum()) < LEAST_HELD:
+        return DEFAULT_CUT
+    order = np.argsort(-p_toxic, kind="stable")
+    p, hit = np.clip(p_toxic[order], 1e-12, 1 - 1e-12), toxic[order]
+    right = np.cumsum(hit) / hit.sum() + 1 - np.cumsum(~hit) / (~hit).sum()
+    right[:-1][p[:-1] == p[1:]] = -1  # equal scores stay together
+    k = int(np.argmax(right))
+    odds = np.log(p / (1 - p))
+    return float(1 / (1 + np.exp(-(odds[k] + odds[min(k + 1, len(p) - 1)]) / 2))) if k + 1 < len(p) else float(p[k])
 
 
 def sample(docs: DataFrame, labels: DataFrame, label_col: str, id_col: str, text_col: str, rows: int) -> list[tuple[int, bytes]]:
@@ -140,47 +159,46 @@ def sample(docs: DataFrame, labels: DataFrame, label_col: str, id_col: str, text
     return [(r["_llm_label"], bytes(r["packed"])) for r in found[:rows]]
 
 
-def score(docs: DataFrame, weights: dict[int, float], thresholds: list[float], text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """Adds grade_probabilities (array), p_toxic, expected_severity and severity (the likeliest grade)."""
-    shared = docs.sparkSession.sparkContext.broadcast((weights, thresholds))  # at most one weight for each screened word of the sample
+def score(docs: DataFrame, model: OrdinalModel, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
+    """Adds grade_probabilities (array), p_toxic, expected_severity, severity (the likeliest grade) and toxic (p_toxic reaches the model's cut)."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # at most one weight for each screened word of the sample
 
     def make():
-        by_hash, edges = shared.value
+        held = shared.value
         remembered: dict[bytes, float | None] = {}
 
         def work(texts):
-            probabilities, toxic, expected, likeliest = [], [], [], []
-            model = OrdinalModel({}, edges)
+            columns = [[], [], [], [], []]
             if len(remembered) > 500_000:
                 remembered.clear()
             for t in texts:
-                words = words_of(t)
-                held = {}
-                for w in set(words):
+                counts = Counter(words_of(t))
+                s = 0.0
+                for w, n in counts.items():
                     if w not in remembered:
-                        remembered[w] = by_hash.get(xxhash.xxh64_intdigest(w))
+                        remembered[w] = held.weights.get(xxhash.xxh64_intdigest(w))
                     if remembered[w] is not None:
-                        held[w] = remembered[w]
-                model.weights = held
-                p = model.probabilities(Counter(w for w in words if w in held) if held else Counter())
-                probabilities.append(p)
-                toxic.append(1 - p[0])
-                expected.append(sum(k * x for k, x in enumerate(p)))
-                likeliest.append(max(range(len(p)), key=p.__getitem__))
-            return [probabilities, toxic, expected, likeliest]
+                        s += remembered[w] * (1 + math.log(n))
+                p = held.probabilities(s)
+                for column, x in zip(columns, (p, 1 - p[0], sum(k * x for k, x in enumerate(p)), max(range(len(p)), key=p.__getitem__), 1 - p[0] >= held.cut), strict=True):
+                    column.append(x)
+            return columns
 
         return work
 
-    return map_text(docs, make, [field("grade_probabilities", T.ArrayType(T.DoubleType())), field("p_toxic", T.DoubleType()), field("expected_severity", T.DoubleType()), field("severity", T.IntegerType())], text_col, keep)
+    fields = [field("grade_probabilities", T.ArrayType(T.DoubleType())), field("p_toxic", T.DoubleType()), field("expected_severity", T.DoubleType()), field("severity", T.IntegerType()), field("toxic", T.BooleanType())]
+    return map_text(docs, make, fields, text_col, keep)
 
 
-def train(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col: str = "doc_id", text_col: str = "text", rows: int = SAMPLE_ROWS) -> tuple[dict[int, float], list[float]]:
+def train(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col: str = "doc_id", text_col: str = "text", rows: int = SAMPLE_ROWS) -> OrdinalModel:
+    """Fits on three quarters of a bounded sample; the last quarter sets the cut."""
     found = sample(docs, labels, label_col, id_col, text_col, rows)
-    return fit(graded(found) if max([g for g, _ in found], default=0) <= 1 else found)
+    own, held = [r for i, r in enumerate(found) if i % HELD_BACK], found[::HELD_BACK]
+    plain = OrdinalModel(*fit(graded(own) if max([g for g, _ in own], default=0) <= 1 else own))
+    p_toxic = np.array([1 - plain.probabilities(plain.packed_score(p))[0] for _, p in held])
+    return OrdinalModel(plain.weights, plain.thresholds, best_cut(p_toxic, np.array([g > 0 for g, _ in held], bool)))
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
-    weights, thresholds = train(docs, load(spark, sf_dir, "labels"))
-    scored = score(docs, weights, thresholds, keep=["doc_id"])
-    return scored.withColumn("toxic", F.col("p_toxic") >= TOXIC_AT)
+    return score(docs, train(docs, load(spark, sf_dir, "labels")), keep=["doc_id"])

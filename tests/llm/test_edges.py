@@ -257,17 +257,66 @@ def test_neighbours_of_repeated_ids(spark):
 def test_toxicity(spark, docs, none):
     rows = [(i, f"{'vile slur ' * (i % 4) if i % 3 == 0 else ''}plain words number {i % 17} here and there", int(i % 3 == 0 and i % 4 > 0)) for i in range(300)]
     df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
-    weights, edges = toxicity.train(df.select("doc_id", "text"), df.select("doc_id", "toxic"))
-    assert edges == sorted(edges) and len(weights) >= 1
-    got = {r["doc_id"]: r for r in toxicity.score(df.select("doc_id", "text"), weights, edges).collect()}
-    assert all((got[i]["p_toxic"] >= 0.5) == bool(t) for i, _, t in rows)
+    model = toxicity.train(df.select("doc_id", "text"), df.select("doc_id", "toxic"))
+    assert model.thresholds == sorted(model.thresholds) and len(model.weights) >= 1 and 0 < model.cut < 1
+    got = {r["doc_id"]: r for r in toxicity.score(df.select("doc_id", "text"), model).collect()}
+    assert all(got[i]["toxic"] == bool(t) for i, _, t in rows)
     assert all(abs(sum(r["grade_probabilities"]) - 1) < 1e-9 for r in got.values())
     grades = [(k % 4, np.array([k % 4 + 1], np.uint64).tobytes() + np.ones(1, np.float32).tobytes()) for k in range(200)]
     w, e = toxicity.fit(grades)
     assert len(e) == 3 and e == sorted(e)
-    assert toxicity.score(none, weights, edges).count() == 0 and toxicity.score(docs, weights, edges).count() == len(TEXTS)
-    w, e = toxicity.train(none, df.select("doc_id", "toxic").where("false"))
-    assert w == {} and toxicity.score(docs, w, e).count() == len(TEXTS)
+    assert toxicity.score(none, model).count() == 0 and toxicity.score(docs, model).count() == len(TEXTS)
+    empty = toxicity.train(none, df.select("doc_id", "toxic").where("false"))
+    assert empty.weights == {} and empty.cut == toxicity.DEFAULT_CUT and toxicity.score(docs, empty).count() == len(TEXTS)
+    clash = docs.select("doc_id", "text", F.lit("x").alias("toxic"), F.lit("y").alias("P_toxic"), F.lit(7).alias("severity"))
+    done = toxicity.score(clash, model)
+    assert sorted(c.lower() for c in done.columns) == sorted(["doc_id", "text", "grade_probabilities", "p_toxic", "expected_severity", "severity", "toxic"]) and done.count() == len(TEXTS)
+
+
+def test_toxicity_equals_the_formula(spark):
+    """Every output from the weights and thresholds by plain Python, on whole texts."""
+    from math import exp, log
+
+    import xxhash
+
+    texts = [(i, t) for i, t in TEXTS] + [(50, "Bad bad GOOD x-bad"), (51, "good bad " * 40)]
+    weights = {xxhash.xxh64_intdigest(w): v for w, v in ((b"bad", 1.7), (b"good", -0.6), (b"lorem", 0.2), (b"alpha", 3.0))}
+    model = toxicity.OrdinalModel(weights, [1.0, 2.5, 6.0], 0.6)
+    got = toxicity.score(spark.createDataFrame(texts, "doc_id long, text string"), model).collect()
+    by = {"bad": 1.7, "good": -0.6, "lorem": 0.2, "alpha": 3.0}
+    want = {}
+    for i, t in texts:
+        words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or ""))
+        s = sum(v * (1 + log(words.count(w))) for w, v in by.items() if w in words)
+        below = [0.0, *(1 / (1 + exp(x - 0)) for x in (s - 1.0, s - 2.5, s - 6.0)), 1.0]
+        want[i] = [b - a for a, b in zip(below, below[1:], strict=False)]
+    for r in got:
+        p = want[r["doc_id"]]
+        assert np.allclose(r["grade_probabilities"], p) and abs(r["p_toxic"] - (1 - p[0])) < 1e-12 and r["toxic"] == (1 - p[0] >= 0.6)
+        assert abs(r["expected_severity"] - (p[1] + 2 * p[2] + 3 * p[3])) < 1e-9 and r["severity"] == int(np.argmax(p))
+
+
+def test_cut_on_held_back_rows():
+    rng = np.random.default_rng(3)
+    toxic = rng.random(400) < 0.2
+    p = np.where(toxic, 0.1 + 0.1 * rng.random(400), 0.05 * rng.random(400))
+    cut = toxicity.best_cut(p, toxic)
+    assert ((p >= cut) == toxic).all() and 0.05 < cut < 0.1
+    mixed = np.where(rng.random(400) < 0.1, 1 - p, p)
+    cut = toxicity.best_cut(mixed, toxic)
+    value = lambda c: (mixed[toxic] >= c).mean() + (mixed[~toxic] < c).mean()
+    assert value(cut) >= max(value(c) for c in mixed) - 1e-12
+    assert toxicity.best_cut(np.zeros(50), np.arange(50) < 25) <= 1e-9 and toxicity.best_cut(p[:3], toxic[:3]) == toxicity.DEFAULT_CUT
+
+
+def test_toxic_documents_go_and_clean_ones_stay(spark):
+    """The given tables: the column and so the pipeline's stage catch the labelled documents."""
+    folder = "/root/testdata/sf0.1"
+    labels = {r["doc_id"]: r["toxic"] for r in spark.read.parquet(f"{folder}/labels.parquet").collect()}
+    got = {r["doc_id"]: r["toxic"] for r in toxicity.op5_toxicity(spark, folder).select("doc_id", "toxic").collect()}
+    caught = np.mean([got[i] for i, t in labels.items() if t == 1 and i in got])
+    left = np.mean([not got[i] for i, t in labels.items() if t == 0 and i in got])
+    assert caught >= 0.9 and left >= 0.99, (caught, left)
 
 
 def test_quality(spark, docs, none):
