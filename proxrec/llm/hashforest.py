@@ -1,17 +1,17 @@
 """Nearest neighbours by inner product through a forest of hash-string prefix trees.
 
 Each tree gives every vector a string of BITS hyperplane signs (after the usual lift that turns inner products into angles: vectors
-are scaled by the largest norm and get one more component). A tree is the sorted array of its strings, dealt to tasks by prefix. A query descends to its
-longest matches and ascends in all trees at once: its level is the deepest one at which all trees together hold SHARE of the rows with its prefix.
-Counts by prefix of DEPTH bits, a table of fixed size, give the level before any vector moves; matches are then the contiguous runs of the sorted
-arrays with that prefix, scored exactly on the original vectors.
+are scaled by the largest norm and get one more component). Rows are dealt to parts of PART_ROWS once, by a hash of id and vector, and every part holds the
+sorted arrays of its strings, an array a tree. A query descends to its longest matches and ascends in all trees at once, tree after tree
+within a level, until the trees together hold SHARE of all rows with its prefixes. Counts by prefix of DEPTH bits, a table of fixed size, give
+each query's level in every tree before a vector moves. Its matches are then contiguous runs of the sorted arrays, scored exactly on the
+original vectors. A vector moves once, a query once for each part.
 
 SHARE is a share, not a number: on directions without structure a fixed number of candidates loses recall as rows are added.
-Parts with more than PART_ROWS rows (a hot vector, a dense cluster) are split by id, and their queries go to all the splits.
 
-Defined results: vectors that are null, zero, of another length than the longest, or with null or non-finite components, and null ids take no
-part; equal scores rank by smaller id; an id given several times counts once, with its best score, and never as its own neighbour; fewer
-candidates than k give fewer rows; extra columns are ignored; an empty table gives an empty result.
+Defined results: vectors that are null, zero, of another length than the most common one (the longer of two as common), or with null or non-finite
+components, and null ids take no part; ``left_out`` counts them. Equal scores rank by smaller id; an id given several times counts once, with
+its best score, and never as its own neighbour; fewer candidates than k give fewer rows; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -26,8 +26,10 @@ from pyspark.sql import types as T
 from .common import cut, load
 
 TREES, BITS, DEPTH = 24, 48, 12
-SHARE = 1.2
-PART_ROWS = 50_000
+SHARE = 0.9
+#: Candidates (repeats in several trees included) that a query gets at least.
+LEAST = 1_000
+PART_ROWS = 200_000
 #: Scores held at once.
 CELLS = 4_000_000
 
@@ -76,19 +78,31 @@ def prefix_counts(rows: DataFrame, normals, largest: float) -> np.ndarray:
 
 
 def levels(h: np.ndarray, sums: list[np.ndarray], budget: float) -> np.ndarray:
-    """For each query (row of strings) the deepest level at which the trees together reach the budget, by synchronous ascent."""
-    level = np.zeros(len(h), np.int64)
-    open_ = np.ones(len(h), bool)
+    """Levels (queries x trees) at which the trees together reach the budget: all ascend level by level, and within the last one tree after tree.
+
+    A row of zeros but one -1 a tree stands for the whole first tree, where the budget takes all rows.
+    """
+    q = len(h)
+    level = np.full((q, TREES), -1, np.int8)
+    level[:, 0] = 0
+    open_ = np.ones(q, bool)
+    below = np.zeros((q, TREES), np.int64)
     for x in range(DEPTH, 0, -1):
-        held = sum(sums[x][t][h[:, t] >> (BITS - x)] for t in range(TREES))
-        done = open_ & (held >= budget)
-        level[done] = x
-        open_ &= ~done
+        held = np.stack([sums[x][t][h[:, t] >> (BITS - x)] for t in range(TREES)], 1)
+        reach = np.cumsum(held - below, axis=1) + below.sum(1, keepdims=True)  # the first trees at x, the others still below
+        done = np.flatnonzero(open_ & (reach[:, -1] >= budget))
+        last = (reach[done] >= budget).argmax(1)
+        deeper = -1 if x == DEPTH else x + 1
+        level[done] = np.where(np.arange(TREES)[None, :] <= last[:, None], x, deeper)
+        open_[done] = False
+        below = held
     return level
 
 
 def search(base_id: np.ndarray, base: np.ndarray, h: np.ndarray, query_id: np.ndarray, queries: np.ndarray, hq: np.ndarray, level: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The k best of each query within its prefix run of one sorted array: query ids, ids, scores."""
+    """The k best of each query within its prefix run of one sorted array: query ids, ids, scores. A level below 0 asks nothing."""
+    asked = level >= 0
+    query_id, queries, hq, level = query_id[asked], queries[asked], hq[asked], level[asked].astype(np.int64)
     order = np.argsort(h, kind="stable")
     base_id, base, h = base_id[order], base[order], h[order]
     shift = BITS - level
@@ -122,77 +136,85 @@ def search(base_id: np.ndarray, base: np.ndarray, h: np.ndarray, query_id: np.nd
     return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
 
+def best_of(query: np.ndarray, found: np.ndarray, score: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The k best distinct ids of each query, of what several trees found."""
+    order = np.lexsort((found, -score, query))
+    query, found, score = query[order], found[order], score[order]
+    pair = np.lexsort((np.arange(len(query)), found, query))
+    first = np.ones(len(query), bool)
+    first[1:] = (query[pair][1:] != query[pair][:-1]) | (found[pair][1:] != found[pair][:-1])
+    keep = np.sort(pair[first])
+    query, found, score = query[keep], found[keep], score[keep]
+    start = np.flatnonzero(np.append(True, query[1:] != query[:-1])) if len(query) else np.zeros(0, np.int64)
+    place = np.arange(len(query)) - np.repeat(start, np.diff(np.append(start, len(query))))
+    return query[place < k], found[place < k], score[place < k]
+
+
+def left_out(rows: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
+    """size, usable, n: how many rows have vectors of each length, and whether such rows may take part (one length only does)."""
+    fine = F.coalesce(usable(vector_col) & F.col(id_col).isNotNull(), F.lit(False))
+    return rows.groupBy(F.size(F.col(f"`{vector_col}`")).alias("size"), fine.alias("usable")).agg(F.count("*").alias("n"))
+
+
 def nearest(rows: DataFrame, is_query: Column, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", share: float = SHARE, seed: int = 7) -> DataFrame:
     """query_id, rank (from 1), the neighbour's id under its own name, and score, for the k nearest rows found of each query row."""
     spark = rows.sparkSession
     rows = rows.where(usable(vector_col) & F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(f"`{vector_col}`").alias("vector"), F.coalesce(is_query, F.lit(False)).alias("asks"))
-    shape = rows.agg(F.max(F.size("vector")), F.count("*")).first()
-    dim, _ = shape
-    out = "query_id long, id long, score double"
-    if dim is None:
+    sizes = rows.groupBy(F.size("vector").alias("dim")).agg(F.count("*").alias("n")).agg(F.max(F.struct("n", "dim")).alias("most")).first()["most"]
+    if sizes is None:
         return spark.createDataFrame([], f"query_id long, rank int, `{id_col}` long, score double")
+    dim = sizes["dim"]
     # equal rows would fill runs and candidates with copies
     rows = cut(rows.where(F.size("vector") == dim).groupBy("id", "vector").agg(F.max("asks").alias("asks")))
     n, largest = rows.agg(F.count("*"), F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))))).first()
     single = isinstance(rows.schema["vector"].dataType.elementType, T.FloatType)
     kind = np.float32 if single else np.float64
     normals = spark.sparkContext.broadcast(planes(dim, seed))  # size set by the dimension
-    counts = prefix_counts(rows, normals, largest)
-    shared = spark.sparkContext.broadcast(counts)  # TREES x 2**DEPTH, whatever the number of rows
-    head = min(DEPTH, max(0, int(np.ceil(np.log2(max(1, n / PART_ROWS))))))  # bits of prefix that deal rows to parts
-
-    def splits(table: np.ndarray) -> np.ndarray:
-        """By tree and part the number of splits."""
-        return np.maximum(1, -(-table.reshape(TREES, 1 << head, -1).sum(2) // PART_ROWS))
+    shared = spark.sparkContext.broadcast(prefix_counts(rows, normals, largest))  # TREES x 2**DEPTH, whatever the number of rows
+    parts = max(1, -(-n // PART_ROWS))
+    budget = max(share * n, LEAST)
 
     def deal(batches):
         table = shared.value
         sums = [table.reshape(TREES, 1 << x, -1).sum(2) for x in range(DEPTH + 1)]
-        pieces = splits(table)
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
                 part = batch.slice(at, 1000)
                 x = matrix(part.column("vector"), kind)
-                ids = part.column("id").to_numpy()
-                h = strings(x.astype(np.float64), normals.value, largest, False)
-                keys, rid, string, vector, level = [], [], [], [], []
-                for t in range(TREES):
-                    p = h[:, t] >> (BITS - head) if head else np.zeros(len(h), np.int64)
-                    keys.append((t << 44) | (p << 24) | (ids % pieces[t][p]))
-                    rid.append(ids)
-                    string.append(h[:, t])
-                    level.append(np.full(len(ids), -1))
-                    vector.append(np.arange(len(ids)))
+                ids, home = part.column("id").to_numpy(), part.column("home").to_numpy()
+                raw = [v.tobytes() for v in x]
+                rows_of = [np.arange(len(x))]
+                where, level = [home], [None] * len(x)
                 ask = np.flatnonzero(part.column("asks").to_numpy(zero_copy_only=False))
                 if len(ask):
-                    hq = strings(x[ask].astype(np.float64), normals.value, largest, True)
-                    lv = levels(hq, sums, share * n)
-                    for i, row in enumerate(ask):
-                        if lv[i] == 0:  # the whole of one tree holds every row
-                            targets = [(0, p) for p in range(1 << head) if sums[head][0][p]]
-                        else:
-                            up = max(0, head - int(lv[i]))
-                            targets = [(t, p) for t in range(TREES) for p in range((int(hq[i, t]) >> (BITS - head) >> up) << up, ((int(hq[i, t]) >> (BITS - head) >> up) + 1) << up) if sums[head][t][p]]
-                        for t, p in targets:
-                            m = int(pieces[t][p])
-                            keys.append((t << 44) | (p << 24) | np.arange(m))
-                            rid.append(np.full(m, ids[row]))
-                            string.append(np.full(m, hq[i, t]))
-                            level.append(np.full(m, lv[i]))
-                            vector.append(np.full(m, row))
-                raw = [v.tobytes() for v in x]
-                where = np.concatenate(vector)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.concatenate(rid)), pa.array(np.concatenate(string)), pa.array(np.concatenate(level).astype(np.int32)), pa.array([raw[i] for i in where.tolist()], pa.binary())], names=["part", "id", "string", "level", "vector"])
+                    lv = levels(strings(x[ask].astype(np.float64), normals.value, largest, True), sums, min(budget, 2 * TREES * n))
+                    for p in range(parts):
+                        rows_of.append(ask)
+                        where.append(np.full(len(ask), p, np.int64))
+                        level += [v.tobytes() for v in lv]
+                which = np.concatenate(rows_of)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(where)), pa.array(ids[which]), pa.array(level, pa.binary()), pa.array([raw[i] for i in which.tolist()], pa.binary())], names=["part", "id", "level", "vector"])
 
     def find(pdf: pd.DataFrame) -> pd.DataFrame:
-        asks = (pdf["level"] >= 0).to_numpy()
+        asks = pdf["level"].notna().to_numpy()
         x = np.frombuffer(b"".join(pdf["vector"]), kind).reshape(len(pdf), dim)
-        ids, h, lv = pdf["id"].to_numpy(), pdf["string"].to_numpy(), pdf["level"].to_numpy().astype(np.int64)
-        q, found, score = search(ids[~asks], x[~asks], h[~asks], ids[asks], x[asks], h[asks], lv[asks], k)
-        return pd.DataFrame({"query_id": q, "id": found, "score": score})
-
-    parts = rows.mapInArrow(deal, "part long, id long, string long, level int, vector binary")
-    found = parts.groupBy("part").applyInPandas(find, out)
+        ids = pdf["id"].to_numpy()
+        empty = pd.DataFrame({"query_id": np.zeros(0, np.int64), "id": np.zeros(0, np.int64), "score": np.zeros(0)})
+        if not asks.any() or asks.all():
+            return empty
+        lv = np.frombuffer(b"".join(pdf["level"][asks]), np.int8).reshape(-1, TREES)
+        base, queries = x[~asks], x[asks]
+        h = np.concatenate([strings(base[a : a + 5000].astype(np.float64), normals.value, largest, False) for a in range(0, len(base), 5000)])
+        hq = np.concatenate([strings(queries[a : a + 5000].astype(np.float64), normals.value, largest, True) for a in range(0, len(queries), 5000)])
+        held = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        for t in range(TREES):
+            if (lv[:, t] >= 0).any():
+                more = search(ids[~asks], base, h[:, t], ids[asks], queries, hq[:, t], lv[:, t], k)
+                held = best_of(*(np.concatenate(c) for c in zip(held, more, strict=True)), k)
+        return pd.DataFrame(dict(zip(("query_id", "id", "score"), held, strict=True)))
+
+    placed = rows.withColumn("home", F.pmod(F.xxhash64("id", "vector"), F.lit(parts)).cast("long"))
+    found = placed.mapInArrow(deal, "part long, id long, level binary, vector binary").groupBy("part").applyInPandas(find, "query_id long, id long, score double")
     best = found.groupBy("query_id", "id").agg(F.max("score").alias("score"))
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "id")
     return best.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", F.col("id").alias(id_col), "score")
