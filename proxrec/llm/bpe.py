@@ -2,6 +2,8 @@
 
 Tier one resolves a whole pre-token that is itself in the vocabulary through a minimal perfect hash (hash and displace; the
 slot's bytes are compared, so strangers are told apart). Tier two merges the others by a heap of adjacent pairs over linked bytes.
+Which characters are letters, numbers and spaces is asked of the tokenizer library itself, over all code points, when a vocabulary is
+read; the pattern is spelt out with them, so texts split alike whatever Unicode tables the workers' Python has.
 
 Defined results: a null text counts as empty (no ids, empty decoded bytes); repeated rows give repeated results; an input
 column named like a result column is replaced; empty tables give empty results with the same schema. Ids outside the
@@ -14,10 +16,10 @@ import base64
 import re
 from array import array
 from heapq import heapify, heappop, heappush
+from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
-import regex
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -27,7 +29,7 @@ from .common import field, load, map_text, resident
 
 RANK_FILE = "byte_bpe_multi_50k.tiktoken"
 #: Entries in each of the two generations of resolved pre-tokens that a worker remembers.
-REMEMBERED = 250_000
+REMEMBERED = 120_000
 
 
 class PerfectHash:
@@ -76,7 +78,7 @@ class Vocabulary:
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         tokens = list(ranks)
-        self.pattern, self.hash = pattern, PerfectHash(tokens)
+        self.pattern, self.hash, self.classes = pattern, PerfectHash(tokens), character_classes()
         self.slot_key = [tokens[i] for i in self.hash.order]
         self.slot_rank = [ranks[k] for k in self.slot_key]
         self.decoder = {r: k for k, r in ranks.items()}
@@ -88,7 +90,7 @@ class Vocabulary:
             return cls({base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}, pattern)
 
     def digest(self) -> int:
-        return xxhash.xxh64_intdigest(b"".join(b"%d %d " % (len(k), r) + k for k, r in zip(self.slot_key, self.slot_rank, strict=True)) + self.pattern.encode())
+        return xxhash.xxh64_intdigest(b"".join(b"%d %d " % (len(k), r) + k for k, r in zip(self.slot_key, self.slot_rank, strict=True)) + self.pattern.encode() + repr(self.classes).encode())
 
     def whole(self, token: bytes) -> int | None:
         """Tier one: the rank of a byte string that is a vocabulary entry, else None."""
@@ -96,21 +98,38 @@ class Vocabulary:
         return self.slot_rank[s] if self.slot_key[s] == token else None
 
 
-def latin_pattern(pattern: str) -> str:
-    """The pattern with its Unicode classes spelt out for characters below U+0100, where the faster standard engine may match it."""
-    classes = {r"\p{L}": "", r"\p{N}": "", r"\s": "", r"\S": ""}
-    for c in map(chr, range(256)):
-        letter, number, space = (regex.match(k, c) is not None for k in (r"\p{L}", r"\p{N}", r"\s"))
-        for k, held in ((r"\p{L}", letter), (r"\p{N}", number), (r"\s", space)):
-            classes[k] += f"\\x{ord(c):02x}" * held
-    classes[r"\S"] = "^" + classes[r"\s"]
+CLASSES = (r"\p{L}", r"\p{N}", r"\s")
+
+
+def character_classes() -> dict[str, list[tuple[int, int]]]:
+    """Ranges of the code points in each class of a pattern, as the tokenizer library sees them: it encodes only what matches."""
+    import tiktoken
+
+    every = "".join(map(chr, [*range(0xD800), *range(0xE000, 0x110000)]))
+    found = {}
+    for name in CLASSES:
+        probe = tiktoken.Encoding("probe", pat_str=name, mergeable_ranks={bytes([b]): b for b in range(256)}, special_tokens={})
+        points = np.array([ord(c) for c in bytes(probe.encode_ordinary(every)).decode()])
+        cuts = np.flatnonzero(np.diff(points) != 1) + 1
+        found[name] = [(int(x[0]), int(x[-1])) for x in np.split(points, cuts)]
+    return found
+
+
+def spelt(ranges: list[tuple[int, int]], top: int) -> str:
+    """The part of a class below a code point, as the inside of a set."""
+    return "".join(f"\\U{a:08x}-\\U{min(b, top - 1):08x}" for a, b in ranges if a < top)
+
+
+def spelt_pattern(pattern: str, classes: dict[str, list[tuple[int, int]]], top: int) -> str:
+    """The pattern with its Unicode classes spelt out for texts whose characters all lie below ``top``."""
+    inner = {name: spelt(ranges, top) for name, ranges in classes.items()} | {r"\S": "^" + spelt(classes[r"\s"], top)}
     out, inside, i = [], False, 0
     while i < len(pattern):
-        name = next((k for k in classes if pattern.startswith(k, i)), None)
+        name = next((k for k in inner if pattern.startswith(k, i)), None)
         if name and inside and name == r"\S":
             raise ValueError("a negated space class inside a set")
         if name:
-            out.append(classes[name] if inside else f"[{classes[name]}]")
+            out.append(inner[name] if inside else f"[{inner[name]}]")
             i += len(name)
             continue
         if pattern[i] == "\\":
@@ -124,11 +143,15 @@ def latin_pattern(pattern: str) -> str:
 
 
 class Encoder:
-    """One worker's encoder: the merges by pair of ranks, and resolved pre-tokens in two generations."""
+    """One worker's encoder: the merges by pair of ranks, and resolved pre-tokens in two generations.
+
+    Three spellings of the pattern serve texts within Latin-1, within the basic plane, and all others: shorter sets match faster.
+    """
 
     def __init__(self, vocabulary: Vocabulary):
-        self.vocabulary, self.find = vocabulary, regex.compile(vocabulary.pattern).findall
-        self.find_latin = re.compile(latin_pattern(vocabulary.pattern)).findall
+        self.vocabulary = vocabulary
+        self.find_latin, self.find_basic, self.find = (re.compile(spelt_pattern(vocabulary.pattern, vocabulary.classes, top)).findall for top in (0x100, 0x10000, 0x110000))
+        self.beyond = re.compile("[\U00010000-\U0010ffff]").search
         ranks = {k: r for r, k in vocabulary.decoder.items()}
         self.joined: dict[int, int] = {}
         for token, rank in ranks.items():
@@ -136,31 +159,45 @@ class Encoder:
                 a, b = ranks.get(token[:i]), ranks.get(token[i:])
                 if a is not None and b is not None:
                     self.joined[a << 32 | b] = rank
+        own = vocabulary.byte_rank
+        self.first = [self.joined.get(own[a] << 32 | own[b], -1) for a in range(256) for b in range(256)]
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
     def merged(self, token: bytes) -> list[int]:
-        """Tier two: lowest rank first, leftmost on ties, over bytes linked to their neighbours."""
-        ids: list[int] = [self.vocabulary.byte_rank[b] for b in token]
-        n, joined = len(ids), self.joined
+        """Tier two: lowest rank first, leftmost on ties, over bytes linked to their neighbours.
+
+        A heap entry is rank and place in one integer; it is stale unless the pair that now stands there still has that rank.
+        """
+        n, joined, first = len(token), self.joined, self.first
+        ids = list(map(self.vocabulary.byte_rank.__getitem__, token))
+        heap = [r << 32 | i for i, (a, b) in enumerate(pairwise(token)) if (r := first[a << 8 | b]) >= 0]
+        if not heap:
+            return ids
+        heapify(heap)
         after = list(range(1, n + 1))
         before = list(range(-1, n - 1))
-        heap = [(r, i, ids[i], ids[i + 1]) for i in range(n - 1) if (r := joined.get(ids[i] << 32 | ids[i + 1])) is not None]
-        heapify(heap)
+        ids.append(-1)  # stands behind the last byte and joins nothing
+        find = joined.get
         while heap:
-            rank, i, a, b = heappop(heap)
+            entry = heappop(heap)
+            i, rank = entry & 0xFFFFFFFF, entry >> 32
+            a = ids[i]
+            if a < 0:
+                continue
             j = after[i]
-            if ids[i] != a or j >= n or ids[j] != b:
-                continue  # one side has been merged meanwhile
+            b = ids[j]
+            if b < 0 or find(a << 32 | b) != rank:
+                continue
             k = after[j]
             ids[i], ids[j], after[i] = rank, -1, k
-            if k < n:
+            if (c := ids[k]) >= 0:
                 before[k] = i
-                if (r := joined.get(rank << 32 | ids[k])) is not None:
-                    heappush(heap, (r, i, rank, ids[k]))
+                if (r := find(rank << 32 | c)) is not None:
+                    heappush(heap, r << 32 | i)
             p = before[i]
-            if p >= 0 and (r := joined.get(ids[p] << 32 | rank)) is not None:
-                heappush(heap, (r, p, ids[p], rank))
+            if p >= 0 and (r := find(ids[p] << 32 | rank)) is not None:
+                heappush(heap, r << 32 | p)
         return [x for x in ids if x >= 0]
 
     def resolve(self, token: str) -> bytes:
@@ -183,7 +220,7 @@ class Encoder:
             text.encode("latin-1")
             tokens = self.find_latin(text)
         except UnicodeEncodeError:
-            tokens = self.find(text)
+            tokens = self.find(text) if self.beyond(text) else self.find_basic(text)
         for token in tokens:
             packed = get(token)
             if packed is None:
