@@ -17,6 +17,8 @@ from pyspark.sql import types as T
 #: Text handled at once by a Python worker, in characters; bounds its memory whatever the batch size.
 SLICE_CHARS = 2_000_000
 ARROW_ROWS = 500
+#: A key with fewer rows is never hot.
+LEAST_HOT = 1_000
 ASCII_UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 ASCII_LOWER = ASCII_UPPER.lower()
 #: For str.translate: A-Z only, other letters stay.
@@ -33,9 +35,12 @@ def lower_ascii(text: str) -> str:
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Uses the cluster's shared folder; sets a temporary one only where none is named (tests, local runs)."""
+    """Uses the cluster's shared folder; where none is named, a local session gets a temporary one and a cluster an error."""
     if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="proxrec-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None and not spark.sparkContext.master.startswith("local"):
+            raise ValueError("name a folder that all executors share in spark.checkpoint.dir")
+        spark.sparkContext.setCheckpointDir(folder or tempfile.mkdtemp(prefix="proxrec-"))
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -44,6 +49,26 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def spread_join(rows: DataFrame, table: DataFrame, key: str, sizes: DataFrame, how: str = "inner") -> DataFrame:
+    """rows joined with table, which has one row a key, so that no task gets all rows of a hot key.
+
+    sizes(key, n) tells the rows of each key. Those above a quarter of a task's fair share (and LEAST_HOT) are hot: there are at most four times as
+    many as shuffle partitions, which bounds the broadcast that names them. Their rows are dealt to as many salts as it takes, and their
+    rows of the table are repeated for each.
+    """
+    spark = rows.sparkSession
+    total, largest = sizes.agg(F.sum("n"), F.max("n")).first()
+    limit = max(LEAST_HOT, (total or 0) // (4 * int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    if (largest or 0) <= limit:
+        return rows.join(table, key, how)
+    hot = [tuple(r) for r in sizes.where(F.col("n") > limit).select(key, F.ceil(F.col("n") / limit).alias("_salts")).collect()]
+    named = F.broadcast(spark.createDataFrame(hot, T.StructType([T.StructField(key, table.schema[key].dataType), T.StructField("_salts", T.LongType())])))
+    salts = F.coalesce("_salts", F.lit(1))
+    dealt = rows.join(named, key, "left").withColumn("_salt", F.pmod(F.monotonically_increasing_id(), salts)).drop("_salts")
+    repeated = table.join(named, key, "left").withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), salts - 1))).drop("_salts")
+    return dealt.join(repeated, [key, "_salt"], how).drop("_salt")
+
+
 def slices(batch: pa.RecordBatch, text_col: str) -> Iterator[pa.RecordBatch]:
     """Consecutive parts of a batch with at most SLICE_CHARS bytes of text, or a single row."""
     n = batch.num_rows

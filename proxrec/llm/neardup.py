@@ -8,7 +8,8 @@ with equal sets form one class by their set's digest; only one sketch a class go
 Candidates come from equal bands and all pairs of a bucket are never written out: first each bucket's smallest class meets the others, on the
 full sets, and components are joined; the leader has then met everyone and goes, as does every bucket that lies within one component. The rest of
 each bucket is compared inside tasks, block by block, and only links that join components leave a task. So no link between
-components is lost, whatever a bucket's size.
+components is lost, whatever a bucket's size. Joins on band keys, leaders, labels and set digests split hot keys (common.spread_join), so a
+group of copies that holds a third of all rows is dealt to many tasks; the bytes that blocks move grow with the square of an open bucket's size.
 
 Defined results: a null or empty text has an empty set, is linked with nothing and is kept; a class id is the smallest doc_id that
 is not null; rows that repeat a doc_id with an equal set share the class and its decision; a null doc_id is kept only if its
@@ -28,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, field, load, lower_ascii, map_text
+from .common import cut, field, load, lower_ascii, map_text, spread_join
 
 SHINGLE = 5
 BINS = 128
@@ -144,15 +145,20 @@ def sketched(docs: DataFrame, text_col: str = "text", keep: list[str] | None = N
     return map_text(docs, make, [field("n_shingles", T.LongType()), field("node", T.LongType()), field("bands", T.ArrayType(T.LongType()))], text_col, keep)
 
 
+def counted(rows: DataFrame, key: str) -> DataFrame:
+    return rows.groupBy(key).agg(F.count("*").alias("n"))
+
+
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, label): the smallest node reachable, for every node of a link. Least label of the neighbours, then pointer jumping, a job a round."""
     both = cut(links.select(F.col(a).alias("src"), F.col(b).alias("dst")).unionAll(links.select(F.col(b), F.col(a))).distinct())
     labels = both.groupBy(F.col("src").alias("node")).agg(F.min("dst").alias("m")).select("node", F.least("node", "m").alias("label"))
+    degree = cut(counted(both, "dst"))
     while True:
-        near = both.join(labels, both.dst == labels.node).groupBy("src").agg(F.min("label").alias("m"))
-        better = labels.join(near, labels.node == near.src).select("node", F.col("label").alias("old"), F.least("label", "m").alias("label"))
-        point = labels.select(F.col("node").alias("at"), F.col("label").alias("further"))
-        fresh = cut(better.join(point, better.label == point["at"]).select("node", "old", F.least("label", "further").alias("label")))
+        near = spread_join(both, labels.select(F.col("node").alias("dst"), "label"), "dst", degree).groupBy(F.col("src").alias("node")).agg(F.min("label").alias("m"))
+        better = cut(labels.join(near, "node").select("node", F.col("label").alias("old"), F.least("label", "m").alias("label")))
+        point = better.select(F.col("node").alias("label"), F.col("label").alias("further"))
+        fresh = cut(spread_join(better, point, "label", counted(better, "label")).select("node", "old", F.least("label", "further").alias("label")))
         labels = fresh.select("node", "label")
         if fresh.where("label <> old").isEmpty():
             return labels
@@ -177,9 +183,9 @@ def full_sets(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str) -> Da
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets reach the similarity."""
+    """The pairs (a, b) whose full sets reach the similarity; a may be the leader of many."""
     one = pairs.join(sets.select(F.col("node").alias("b"), F.col("set").alias("set_b")), "b")
-    two = one.join(sets.select(F.col("node").alias("a"), F.col("set").alias("set_a")), "a").select("a", "b", "set_a", "set_b")
+    two = spread_join(one, sets.select(F.col("node").alias("a"), F.col("set").alias("set_a")), "a", counted(pairs, "a")).select("a", "b", "set_a", "set_b")
 
     def run(batches):
         for batch in batches:
@@ -234,15 +240,13 @@ def block_links(rows: list[tuple[int, int, bytes]], percent: int) -> list[tuple[
 
 
 def compared(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links (a, b) between different components of the same bucket. members: key, node, n, c.
+    """Links (a, b) between different components of the same bucket. members: key, node, c, blocks.
 
-    A bucket's members are dealt to blocks of some BLOCK_SHINGLES shingles; each task compares two blocks (small buckets share tasks), so
+    A bucket's members are dealt to its blocks of some BLOCK_SHINGLES shingles; each task compares two blocks (small buckets share tasks), so
     every pair of a bucket meets in one task of bounded size and none is written out.
     """
-    sizes = members.groupBy("key").agg(F.ceil(F.sum("n") / BLOCK_SHINGLES).cast("int").alias("blocks"))
-    dealt = members.join(sizes, "key").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("key", "node", "c", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("blocks") > 1).alias("large")).distinct()
+    dealt = members.withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("key", "node", "c", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("blocks") > 1).alias("large"))
     with_sets = dealt.join(sets, "node")
     groups = max(64, 2 * int(members.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     home = F.when(F.col("large"), F.xxhash64("key", "i", "j")).otherwise(F.pmod(F.xxhash64("key"), F.lit(groups)))
@@ -260,37 +264,41 @@ def link_classes(docs: DataFrame, classes: DataFrame, percent: int, id_col: str,
     """(node, label) for the classes in links. classes: node, id, n_shingles, bands."""
     bands = classes.select("node", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
     buckets = bands.groupBy("key").agg(F.min(F.struct("node", "n")).alias("leader"), F.count("*").alias("size")).where("size > 1")
-    members = cut(bands.join(buckets, "key").select("key", "node", "n", F.col("leader.node").alias("leader"), F.col("leader.n").alias("n_leader"), "size"))
+    buckets = cut(buckets.select("key", F.col("leader.node").alias("leader"), F.col("leader.n").alias("n_leader"), "size"))
+    members = cut(spread_join(bands, buckets, "key", buckets.select("key", F.col("size").alias("n"))))
     if members.isEmpty():
         return docs.sparkSession.createDataFrame([], "node long, label long")
     sets = full_sets(docs, cut(members.select("node").distinct().join(classes.select("node", "id"), "node")), id_col, text_col)
     # the smaller set of a link has at least percent % of the larger one's size
     pairs = members.where(f"node <> leader AND 100 * least(n, n_leader) >= {percent} * greatest(n, n_leader)").select(F.col("leader").alias("a"), F.col("node").alias("b")).distinct()
-    labels = components(cut(verified(pairs, sets, percent)))
+    labels = components(cut(verified(cut(pairs), sets, percent)))
     left = members.where("node <> leader AND size > 2").join(labels, "node", "left").select("key", "node", "n", F.coalesce("label", "node").alias("c"))
     left = cut(left)
-    open_ = left.groupBy("key").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x <> y").select("key")
-    more = cut(compared(left.join(open_, "key"), sets, percent))
+    open_ = left.groupBy("key").agg(F.min("c").alias("x"), F.max("c").alias("y"), F.ceil(F.sum("n") / BLOCK_SHINGLES).cast("int").alias("blocks"), F.count("*").alias("n")).where("x <> y")
+    open_ = cut(open_.select("key", "blocks", "n"))
+    more = cut(compared(spread_join(left.drop("n"), open_.drop("n"), "key", open_.select("key", "n")), sets, percent))
     if more.isEmpty():
         return labels
     name = lambda c: labels.select(F.col("node").alias(c), F.col("label").alias(f"{c}_label"))
-    joined = more.join(name("a"), "a", "left").join(name("b"), "b", "left").select(F.coalesce("a_label", "a").alias("a"), F.coalesce("b_label", "b").alias("b")).where("a <> b")
-    final = components(joined).select(F.col("node").alias("was"), F.col("label").alias("now"))
-    known = labels.unionByName(more.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(labels, "node", "left_anti").withColumn("label", F.col("node")))
-    return known.join(final, known.label == final.was, "left").select("node", F.coalesce("now", "label").alias("label"))
+    joined = spread_join(spread_join(more, name("a"), "a", counted(more, "a"), "left"), name("b"), "b", counted(more, "b"), "left")
+    joined = joined.select(F.coalesce("a_label", "a").alias("a"), F.coalesce("b_label", "b").alias("b")).where("a <> b")
+    final = components(joined).select(F.col("node").alias("label"), F.col("label").alias("now"))
+    known = cut(labels.unionByName(more.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(labels, "node", "left_anti").withColumn("label", F.col("node"))))
+    return spread_join(known, final, "label", counted(known, "label"), "left").select("node", F.coalesce("now", "label").alias("label"))
 
 
 def decisions(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, n_shingles, component_id (smallest id linked, directly or not) and kept (one document of each component), a row a document."""
     base = cut(sketched(docs, text_col, [id_col]))
-    classes = base.where("node IS NOT NULL").groupBy("node").agg(F.min(id_col).alias("id"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands"))
+    filled = base.where("node IS NOT NULL")
+    classes = filled.groupBy("node").agg(F.min(id_col).alias("id"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands"), F.count("*").alias("copies"))
     classes = cut(classes)
     labels = link_classes(docs, classes, percent, id_col, text_col)
-    named = classes.select("node", "id").join(labels, "node", "left").select("node", "id", F.coalesce("label", "node").alias("label"))
+    named = cut(classes.select("node", "id").join(labels, "node", "left").select("node", "id", F.coalesce("label", "node").alias("label")))
     least = named.groupBy("label").agg(F.min("id").alias("component_id"))
-    by_node = cut(named.join(least, "label").select("node", "component_id"))
-    plain = base.select(id_col, "n_shingles", "node").join(by_node, "node", "left")
-    out = plain.select(id_col, "n_shingles", F.when(F.col("node").isNull(), F.col(id_col)).otherwise(F.col("component_id")).alias("component_id"))
+    by_node = spread_join(named, least, "label", counted(named, "label")).select("node", "component_id")
+    out = spread_join(filled.select(id_col, "n_shingles", "node"), by_node, "node", classes.select("node", F.col("copies").alias("n"))).select(id_col, "n_shingles", "component_id")
+    out = out.unionByName(base.where("node IS NULL").select(id_col, "n_shingles", F.col(id_col).alias("component_id")))
     return out.withColumn("kept", F.col(id_col).eqNullSafe(F.col("component_id")))
 
 
