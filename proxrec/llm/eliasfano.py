@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import mmap
 import os
 
 import numpy as np
@@ -119,26 +120,29 @@ class Quantiser:
 
 
 class NgramTrie:
-    """Levels of (parent's rank, child id) with monotone pointers to the children and a quantised value at each node.
+    """Levels of (parent's rank, child id) with monotone pointers to the children and quantised values at each node.
 
-    ``grams[k]`` holds the sorted distinct (k+1)-grams as an array with a row a gram: first words below 2**62, the others below 2**32.
-    A child is found by successor search for (parent's rank, id) within the range that the parent's pointers give.
+    First words lie below 2**62, ids of children below 2**32. A child is found by successor search for (parent's rank, id) within the range that
+    the parent's pointers give. The levels are plain arrays: kept in files that are mapped, or in one anonymous mapping.
     """
 
-    def __init__(self, levels: list[tuple[EliasFano, EliasFano | None, np.ndarray, Quantiser]]):
+    def __init__(self, levels: list[tuple[EliasFano, EliasFano | None, list[tuple[np.ndarray, Quantiser]]]]):
         self.levels = levels
 
     @classmethod
-    def build(cls, keys: list[np.ndarray], values: list[np.ndarray]) -> NgramTrie:
-        """keys[0]: sorted distinct first words; keys[k]: sorted distinct parent's rank << 32 | id."""
+    def build(cls, keys: list[np.ndarray], values: list[list[np.ndarray]]) -> NgramTrie:
+        """keys[0]: sorted distinct first words; keys[k]: sorted distinct parent's rank << 32 | id. values[k]: the level's value columns."""
         levels = []
-        for k, (own, value) in enumerate(zip(keys, values, strict=True)):
+        for k, (own, columns) in enumerate(zip(keys, values, strict=True)):
             pointers = None
             if k + 1 < len(keys):
                 parents = (keys[k + 1] >> np.uint64(32)).astype(np.int64)
                 pointers = EliasFano.build(np.concatenate([[0], np.cumsum(np.bincount(parents, minlength=len(own)))]).astype(np.uint64))
-            q = Quantiser(value)
-            levels.append((EliasFano.build(own), pointers, q.codes(value), q))
+            coded = []
+            for column in columns:
+                q = Quantiser(column)
+                coded.append((q.codes(column), q))
+            levels.append((EliasFano.build(own), pointers, coded))
         return cls(levels)
 
     def roots(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -150,25 +154,54 @@ class NgramTrie:
         key = (np.asarray(parents, np.uint64) << np.uint64(32)) | np.asarray(ids, np.uint64)
         return self.levels[level][0].find(key, pointers[parents].astype(np.int64), pointers[np.asarray(parents) + 1].astype(np.int64))
 
-    def value(self, level: int, ranks: np.ndarray) -> np.ndarray:
-        _, _, codes, q = self.levels[level]
+    def value(self, level: int, ranks: np.ndarray, column: int = 0) -> np.ndarray:
+        codes, q = self.levels[level][2][column]
         return q.values(codes[ranks])
 
+    def arrays(self) -> dict[str, np.ndarray]:
+        out = {}
+        for k, (own, pointers, coded) in enumerate(self.levels):
+            for name, e in (("keys", own), ("pointers", pointers)):
+                if e is not None:
+                    out |= {f"{k}.{name}.{part}": x for part, x in e.arrays().items()}
+            for j, (codes, q) in enumerate(coded):
+                out |= {f"{k}.codes{j}": codes, f"{k}.range{j}": np.array([q.base, q.step])}
+        return out
+
+    @classmethod
+    def of_arrays(cls, arrays: dict[str, np.ndarray]) -> NgramTrie:
+        def sequence(name: str) -> EliasFano | None:
+            return EliasFano(*(arrays[f"{name}.{part}"] for part in ("low", "high", "ones")), *arrays[f"{name}.shape"]) if f"{name}.low" in arrays else None
+
+        levels: list = []
+        while f"{len(levels)}.keys.low" in arrays:
+            k, coded = len(levels), []
+            while f"{k}.codes{len(coded)}" in arrays:
+                q = Quantiser(np.zeros(0))
+                q.base, q.step = arrays[f"{k}.range{len(coded)}"].tolist()
+                coded.append((arrays[f"{k}.codes{len(coded)}"], q))
+            levels.append((sequence(f"{k}.keys"), sequence(f"{k}.pointers"), coded))
+        return cls(levels)
+
     def save(self, folder: str) -> None:
-        for k, (own, pointers, codes, q) in enumerate(self.levels):
-            own.save(os.path.join(folder, f"{k}.keys"))
-            if pointers is not None:
-                pointers.save(os.path.join(folder, f"{k}.pointers"))
-            np.save(os.path.join(folder, f"{k}.codes.npy"), codes)
-            np.save(os.path.join(folder, f"{k}.range.npy"), np.array([q.base, q.step]))
+        for name, x in self.arrays().items():
+            np.save(os.path.join(folder, f"{name}.npy"), x)
 
     @classmethod
     def open(cls, folder: str) -> NgramTrie:
-        levels = []
-        while os.path.exists(os.path.join(folder, f"{len(levels)}.codes.npy")):
-            k = len(levels)
-            q = Quantiser(np.zeros(0))
-            q.base, q.step = np.load(os.path.join(folder, f"{k}.range.npy")).tolist()
-            pointers = os.path.join(folder, f"{k}.pointers")
-            levels.append((EliasFano.open(os.path.join(folder, f"{k}.keys")), EliasFano.open(pointers) if os.path.exists(f"{pointers}.low.npy") else None, np.load(os.path.join(folder, f"{k}.codes.npy"), mmap_mode="r"), q))
-        return cls(levels)
+        return cls.of_arrays({name[:-4]: np.load(os.path.join(folder, name), mmap_mode="r") for name in os.listdir(folder) if name.endswith(".npy")})
+
+    def mapped(self) -> NgramTrie:
+        """The same trie in one anonymous memory mapping, which needs no folder."""
+        arrays, at, places = self.arrays(), 0, {}
+        for name, x in arrays.items():
+            places[name] = at
+            at += -(-x.nbytes // 64) * 64
+        memory = mmap.mmap(-1, max(at, 1))
+        view = {}
+        for name, x in arrays.items():
+            held = np.frombuffer(memory, x.dtype, x.size, places[name]) if x.size else x
+            if x.size:
+                held[:] = x.reshape(-1)
+            view[name] = held
+        return NgramTrie.of_arrays(view)

@@ -343,20 +343,39 @@ def test_lm_scores(spark, docs, none):
     low = lambda t: "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or "")
     held = lambda i: zlib.crc32(("" if i is None else str(i)).encode()) % 5 == 1
     tokens = [(i, [*re.findall("[^\x20\x09-\x0d]+", low(t)), None]) for i, t in TEXTS]
-    c, pairs = Counter(), Counter()
+    c, pairs, triples = Counter(), Counter(), Counter()
+    before = lambda w: zip(["<<s>", "<s>", *w[:-2]], ["<s>", *w[:-1]], w, strict=False)
     for i, w in tokens:
         if not held(i):
             c.update(w)
-            pairs.update(zip(["<s>", *w[:-1]], w, strict=True))
+            pairs.update((u, k) for _, u, k in before(w))
+            triples.update(before(w))
     n, v = sum(c.values()), len(c)
     p1 = lambda k: (c[k] + 0.5) / (n + 0.5 * (v + 1))
-    outer = lambda k: c[None] if k == "<s>" else c[k]
+    pair, single = langmodel.PAIR, langmodel.SINGLE
+    one = lambda u: c[None] if u == "<s>" else c[u]
+    two = lambda t, u: c[None] if u == "<s>" else pairs[t, u]
+    prob = lambda t, u, k: (triples[t, u, k] + pair * pairs[u, k] + single * p1(k)) / (two(t, u) + pair * one(u) + single)
+    for t, u in {(t, u) for t, u, _ in triples}:  # a distribution over all words and the unknown class
+        assert abs(sum(prob(t, u, k) for k in c) + single * 0.5 / (n + 0.5 * (v + 1)) / (two(t, u) + pair * one(u) + single) - 1) < 1e-9
     for i, w in tokens:
         base = sum(log10(p1(k)) for k in w)
-        full = sum(log10((pairs[u, k] + langmodel.MU * p1(k)) / (outer(u) + langmodel.MU)) for u, k in zip(["<s>", *w[:-1]], w, strict=True))
+        full = sum(log10(prob(*x)) for x in before(w))
         assert any(r["n_tokens"] == len(w) and r["n_known"] == sum(c[k] > 0 for k in w) and abs(r["base_score"] - base) < 1e-6 * max(1, -base) and abs(r["score"] - full) < 1e-3 * max(1, -full) for r in rows[i])
     assert langmodel.score(none, F.lit(False)).count() == 0
     assert langmodel.score(docs, F.lit(True)).where("base_score <> 0 OR n_known > 0").count() == 0
+    clash = docs.select("doc_id", "text", *[F.lit(1).alias(x) for x in ("score", "Held_out", "batch", "_id")])
+    assert langmodel.score(clash, F.lit(False)).columns == ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"]
+
+
+def test_frequent_words_and_batches_change_nothing(spark, docs, monkeypatch):
+    """Words dealt to all shards, many shards and small batches give the scores of one shard."""
+    key = lambda df: sorted((str(r["doc_id"]), r["n_known"], round(r["base_score"], 6), round(r["score"], 3)) for r in df.collect())
+    want = key(langmodel.score(docs, crc_bucket("doc_id", 5) == 1))
+    for name, x in (("SPREAD", 3), ("BATCH_ROWS", 2), ("SHARDS", 7)):
+        monkeypatch.setattr(langmodel, name, x)
+    got = key(langmodel.score(docs.repartition(3), crc_bucket("doc_id", 5) == 1))
+    assert [g[:3] for g in got] == [w[:3] for w in want] and all(abs(g[3] - w[3]) < 2e-3 * max(1, -w[3]) for g, w in zip(got, want, strict=True))
 
 
 def test_elias_fano_and_trie(tmp_path):
@@ -373,14 +392,16 @@ def test_elias_fano_and_trie(tmp_path):
     words = np.array([5, 9, 12], np.uint64)
     pairs = np.array([(0 << 32) | 7, (0 << 32) | 8, (2 << 32) | 1], np.uint64)
     triples = np.array([(1 << 32) | 3, (2 << 32) | 4], np.uint64)
-    NgramTrie.build([words, pairs, triples], [np.arange(3.0), np.arange(3.0), np.arange(2.0)]).save(str(tmp_path))
-    t = NgramTrie.open(str(tmp_path))
-    at, ok = t.roots(np.array([5, 6, 12], np.uint64))
-    assert ok.tolist() == [True, False, True]
-    node, ok = t.children(1, np.array([0, 0, 1, 2]), np.array([8, 1, 7, 1]))
-    assert ok.tolist() == [True, False, False, True] and np.allclose(t.value(1, node[ok]), [1, 2], atol=1e-4)
-    node, ok = t.children(2, np.array([1, 2]), np.array([3, 4]))
-    assert ok.all()
+    built = NgramTrie.build([words, pairs, triples], [[np.arange(3.0)], [np.arange(3.0), -np.arange(3.0)], [np.arange(2.0)]])
+    built.save(str(tmp_path))
+    for t in (built, NgramTrie.open(str(tmp_path)), built.mapped()):
+        at, ok = t.roots(np.array([5, 6, 12], np.uint64))
+        assert ok.tolist() == [True, False, True]
+        node, ok = t.children(1, np.array([0, 0, 1, 2]), np.array([8, 1, 7, 1]))
+        assert ok.tolist() == [True, False, False, True] and np.allclose(t.value(1, node[ok]), [1, 2], atol=1e-4) and np.allclose(t.value(1, node[ok], 1), [-1, -2], atol=1e-4)
+        node, ok = t.children(2, np.array([1, 2]), np.array([3, 4]))
+        assert ok.all() and np.allclose(t.value(2, node), [0, 1], atol=1e-4)
+    assert isinstance(NgramTrie.open(str(tmp_path)).levels[0][0].low, np.memmap)
 
 
 def test_round_trip_digest():
