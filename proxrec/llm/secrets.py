@@ -3,9 +3,10 @@
 Patterns (kinds assign, access, hex) are matched leftmost and without overlap for each kind. The battery takes every maximal run of 20 or more
 characters of the base64 alphabets that no pattern touches, infers its encoding (hex, base32, base64, base64url) and tests the
 hypothesis that its symbols are drawn at random: chi-squared uniformity over the alphabet, runs above and below its middle, and
-correlation of neighbours; p is three times the least of the three. Within each band of lengths (powers of two) the procedure of
-Benjamini and Hochberg picks over the whole corpus the runs that are not random, at a false-discovery rate of FDR; the others
-are reported as kind random. Thus a random key is seldom thrown away, at any length, however many runs there are.
+correlation of neighbours; p combines the least of the three as if they were independent. Two limits are set for each band of lengths (powers of two)
+from counts over the whole corpus. Benjamini and Hochberg's procedure picks the runs that are surely not random, at a false-discovery rate of
+FDR, so a random key is seldom thrown away. And of the runs reported as kind random, at most a share of REPORT_FDR may be other strings: p of random runs
+is uniform, their number follows from the runs with large p, and what stands above it near the limit is false; the limit rises until that is rare.
 
 Defined results: null and empty texts have no spans; rows are judged one by one, repeats alike; ties in start are ordered by kind
 (assign, access, hex, random); an input column named like a result column is replaced; an empty table gives an empty result.
@@ -14,7 +15,7 @@ Offsets are code points, end exclusive. Texts are scanned whole.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import load
@@ -26,6 +27,10 @@ HEX = r"[0-9a-f]{32,}"
 RUN = r"[A-Za-z0-9+/_-]{20,}={0,2}"
 MIN_VALUE = 8
 FDR = 0.01
+#: Share of the reported runs that may be false, and the p above which (nearly) only random runs lie, as a bin.
+REPORT_FDR, SURE_BIN = 0.1, 3
+#: Matches, and spans of a redaction, that one inner loop handles; loops of loops keep the work near-linear in their number.
+CHUNK, REDACTED = 256, 64
 #: Bins of p: steps of a tenth of a decade, so that the procedure needs a bounded table of counts.
 BINS_A_DECADE, MOST_BIN = 10, 300
 #: The alphabets in the order of their codes.
@@ -37,18 +42,27 @@ ALPHABETS = {
 }
 
 
+def chunked(array: str, size: int) -> str:
+    """SQL: an array cut into arrays of a given size."""
+    return f"transform(sequence(0, (size({array}) - 1) DIV {size}), c -> slice({array}, 1 + c * {size}, {size}))"
+
+
 def located(text: str, pattern: str, kind: int, value_group: int = 0) -> str:
-    """SQL for the matches of a pattern as array<struct<start, kind, end, hit, value>>; group 1 is the gap before, group 2 the match."""
+    """SQL for the matches of a pattern as array<struct<start, kind, end, hit, value>>; group 1 is the gap before, group 2 the match.
+
+    Offsets are sums of lengths, first by chunks of matches and then inside each, so that no long array is grown match by match.
+    """
     full = rf"(?s)(.*?)({pattern}|\z)".replace("\\", "\\\\").replace("'", "\\'")
     quick = pattern.replace("\\", "\\\\").replace("'", "\\'")
     part = lambda g: f"regexp_extract_all({text}, '{full}', {g})"
     empty = "CAST(array() AS ARRAY<STRUCT<start: INT, kind: INT, end: INT, hit: STRING, value: STRING>>)"
-    step = f"named_struct('start', acc.at + length(x.gap), 'kind', {kind}, 'end', acc.at + length(x.gap) + length(x.hit), 'hit', x.hit, 'value', x.value)"
-    return (
-        f"CASE WHEN rlike({text}, '{quick}') THEN aggregate(zip_with(zip_with({part(1)}, {part(2)}, (g, h) -> named_struct('gap', g, 'hit', h)), {part(2 + value_group)}, (y, v) -> named_struct('gap', y.gap, 'hit', y.hit, 'value', v)), "
-        f"named_struct('at', 0, 'out', {empty}), (acc, x) -> named_struct('at', acc.at + length(x.gap) + length(x.hit), 'out', "
-        f"CASE WHEN length(x.hit) > 0 THEN concat(acc.out, array({step})) ELSE acc.out END), acc -> acc.out) ELSE {empty} END"
-    )
+    pieces = f"zip_with(zip_with({part(1)}, {part(2)}, (g, h) -> named_struct('gap', length(g), 'hit', h)), {part(2 + value_group)}, (y, v) -> named_struct('gap', y.gap, 'hit', y.hit, 'long', length(y.hit), 'value', v))"
+    step = f"named_struct('start', acc.at + x.gap, 'kind', {kind}, 'end', acc.at + x.gap + x.long, 'hit', x.hit, 'value', x.value)"
+    inside = f"aggregate(g, named_struct('at', s, 'out', {empty}), (acc, x) -> named_struct('at', acc.at + x.gap + x.long, 'out', CASE WHEN x.long > 0 THEN concat(acc.out, array({step})) ELSE acc.out END), acc -> acc.out)"
+    sums = "transform(gs, g -> aggregate(g, 0, (n, x) -> n + x.gap + x.long))"
+    starts = f"aggregate({sums}, named_struct('at', 0, 'out', CAST(array() AS ARRAY<INT>)), (acc, n) -> named_struct('at', acc.at + n, 'out', concat(acc.out, array(acc.at))), acc -> acc.out)"
+    found = f"transform(array({pieces}), ps -> transform(array({chunked('ps', CHUNK)}), gs -> flatten(zip_with(gs, {starts}, (g, s) -> {inside})))[0])[0]"
+    return f"CASE WHEN rlike({text}, '{quick}') THEN {found} ELSE {empty} END"
 
 
 def normal_tail(z: str) -> str:
@@ -110,7 +124,7 @@ def battery(df: DataFrame, column: str) -> DataFrame:
         },
     )
     df, fields = extended(df, column, fields, {f"p_{k}": f"least(1D, {sides} * ({normal_tail(f'x.z_{k}')}))" for k, sides in (("uniform", 1), ("runs", 2), ("serial", 2))})
-    df, fields = extended(df, column, fields, {"p": "least(1D, 3 * least(x.p_uniform, x.p_runs, x.p_serial))"})
+    df, fields = extended(df, column, fields, {"p": "greatest(1e-300D, 1D - pow(1D - least(x.p_uniform, x.p_runs, x.p_serial), 3))"})
     kept = ["start", "kind", "end", "hit", "encoding", "n", "p_uniform", "p_runs", "p_serial", "p"]
     return extended(df, column, kept, {"bin": f"CAST(least({MOST_BIN}, floor(-{BINS_A_DECADE} * log10(greatest(x.p, 1e-300D)))) AS INT)", "band": "CAST(floor(log2(x.n)) AS INT)"})[0]
 
@@ -125,13 +139,30 @@ def patterned(df: DataFrame, text_col: str) -> DataFrame:
     return df.withColumn("_runs", F.expr(runs))
 
 
-def thresholds(df: DataFrame, fdr: float) -> dict[int, int]:
-    """By band of lengths, the least bin of p that is rejected as not random: from counts over the whole corpus, at most 301 a band."""
-    counts = df.select(F.explode("_runs").alias("s")).groupBy("s.band", "s.bin").agg(F.count("*").alias("k"))
-    by_band = Window.partitionBy("band")
-    ranked = counts.withColumn("below", F.sum("k").over(by_band.orderBy(F.desc("bin")))).withColumn("m", F.sum("k").over(by_band))
-    held = ranked.where(F.pow(F.lit(10.0), -F.col("bin") / BINS_A_DECADE) <= F.col("below") * fdr / F.col("m"))
-    return {r["band"]: r["bin"] for r in held.groupBy("band").agg(F.min("bin").alias("bin")).collect()}
+def limit_of(counts: dict[int, int], fdr: float, report_fdr: float) -> int:
+    """The bin of p from which runs of one band of lengths are not reported. counts: runs by bin."""
+    total, below, rejected = sum(counts.values()), 0, MOST_BIN + 1
+    for b in sorted(counts, reverse=True):
+        below += counts[b]
+        if 10 ** (-b / BINS_A_DECADE) <= below * fdr / total:
+            rejected = b
+    # random runs, from those with a large p; one more keeps small bands from none
+    random = min(total, (1 + sum(n for b, n in counts.items() if b < SURE_BIN)) / (1 - 10 ** (-SURE_BIN / BINS_A_DECADE)))
+    best, reported = 0, 0
+    for b in range(1, rejected + 1):
+        reported += counts.get(b - 1, 0)
+        false = reported - random * (1 - 10 ** (-b / BINS_A_DECADE))
+        if false <= report_fdr * reported:
+            best = b
+    return best
+
+
+def thresholds(df: DataFrame, fdr: float, report_fdr: float = REPORT_FDR) -> dict[int, int]:
+    """By band of lengths, the least bin of p that is not reported: from counts over the whole corpus, at most 301 a band."""
+    counts: dict[int, dict[int, int]] = {}
+    for r in df.select(F.explode("_runs").alias("s")).groupBy("s.band", "s.bin").agg(F.count("*").alias("k")).collect():
+        counts.setdefault(r["band"], {})[r["bin"]] = r["k"]
+    return {band: limit_of(bins, fdr, report_fdr) for band, bins in counts.items()}
 
 
 def scan(docs: DataFrame, text_col: str = "text", fdr: float = FDR, keep: list[str] | None = None) -> DataFrame:
@@ -146,14 +177,18 @@ def scan(docs: DataFrame, text_col: str = "text", fdr: float = FDR, keep: list[s
 
 
 def redact(docs: DataFrame, text_col: str = "text", spans_col: str = "secrets", mark: str = "[SECRET]") -> DataFrame:
-    """Replaces every span of the text by a mark; overlapping spans share one. Null texts stay null."""
+    """Replaces every span of the text by a mark; overlapping spans share one. Null texts stay null.
+
+    Spans come in order of start. The text is cut once for every REDACTED of them, and then inside those parts.
+    """
     t = f"`{text_col}`"
-    whole = (
-        f"CASE WHEN size({spans_col}) > 0 THEN aggregate({spans_col}, named_struct('at', 0, 'out', ''), (acc, x) -> named_struct("
-        f"'at', greatest(acc.at, x.end), 'out', CASE WHEN x.start >= acc.at THEN concat(acc.out, substring({t}, acc.at + 1, x.start - acc.at), '{mark}') ELSE acc.out END), "
-        f"acc -> concat(acc.out, substring({t}, acc.at + 1))) ELSE {t} END"
-    )
-    return docs.withColumn(text_col, F.expr(whole))
+    far = "array_max(transform(g, x -> x.end))"
+    froms = f"aggregate(gs, named_struct('at', 0, 'out', CAST(array() AS ARRAY<INT>)), (acc, g) -> named_struct('at', greatest(acc.at, {far}), 'out', concat(acc.out, array(acc.at))), acc -> acc.out)"
+    piece = f"CASE WHEN x.start >= acc.at THEN concat(acc.out, substring(seg, acc.at - f + 1, x.start - acc.at), '{mark}') ELSE acc.out END"
+    inside = f"transform(array(substring({t}, f + 1, greatest(f, {far}) - f)), seg -> aggregate(g, named_struct('at', f, 'out', ''), (acc, x) -> named_struct('at', greatest(acc.at, x.end), 'out', {piece}), acc -> acc.out))[0]"
+    body = f"transform(array({chunked(spans_col, REDACTED)}), gs -> array_join(zip_with(gs, {froms}, (g, f) -> {inside}), ''))[0]"
+    tail = f"substring({t}, 1 + array_max(transform({spans_col}, x -> x.end)))"
+    return docs.withColumn(text_col, F.expr(f"CASE WHEN size({spans_col}) > 0 THEN concat({body}, {tail}) ELSE {t} END"))
 
 
 def spelled(spans: str) -> str:
