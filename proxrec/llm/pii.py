@@ -3,11 +3,12 @@
 Found are e-mail addresses, IPv4 addresses, phone numbers, card-like numbers, social-security-like numbers and names after a form of address; a
 name's words are then also found alone in the same document. Each entity is replaced by a keyed permutation of its own format class: digits
 stay digits, letters stay letters of their script, case and kind (vowel or consonant), punctuation stays, a name keeps the form of
-address and the last letter that mark its gender, a phone number its country code, a card number its first digit and whether its check digit is right,
+address, a given name of GIVEN becomes another of its gender and script, other words of a name keep the last letter that marks a gender, a phone number its country code, a card number its first digit and whether its check digit is right,
 an address its top-level domain. The permutation is an alternating Feistel network over mixed radices, a keyed step and the network's inverse, so within a
 class two entities never get one surrogate (distinctness), none gets itself, one entity always gets the same (coreference, also across
-spellings of one number), and nothing has to be shuffled, looked up or repaired. ``collisions`` checks this on the result, and lists surrogates
-that equal some original: another entity's, as happens to short names. Only an address without letters and digits before its top-level domain stays.
+spellings of one number). Words outside GIVEN are permuted on until they lie outside it, so no two words meet there either. ``collisions`` checks distinctness
+and coreference over all entities, and lists surrogates that equal another entity's original, as happens to short names; ``checked`` runs it and
+takes a further key should two entities meet. Only an address without letters and digits before its top-level domain stays.
 
 Defined results: null texts stay null and have no entities, empty texts stay empty; repeated rows give equal results; entities that overlap
 are taken leftmost first; extra columns pass through and those named like a result column are replaced; the key may be any string.
@@ -28,6 +29,17 @@ TITLES = {
     "f": ("Mrs", "Ms", "Miss", "Madam", "Frau", "Madame", "Mme", "Mlle", "Señora", "Señorita", "Sra", "Doña", "Госпожа"),
 }
 TITLE = "(?:" + "|".join(sorted((t for ts in TITLES.values() for t in ts), key=lambda t: (-len(t), t))) + ")"
+#: Given names by script and gender; each stands for another of its row.
+GIVEN = (
+    "James John Robert Michael William David Richard Thomas Daniel Paul Mark George Peter Henry Martin Hans Karl Klaus Wolfgang Pierre Jean Michel Philippe Luis Carlos Juan José Pedro Antonio Jürgen".split(),
+    "Mary Patricia Jennifer Linda Elizabeth Barbara Susan Sarah Karen Anna Laura Emma Julia Helen Alice Ingrid Ursula Monika Sabine Claudia Marie Sophie Isabelle Nathalie Camille María Carmen Ana Lucía Elena".split(),
+    "Иван Николай Сергей Алексей Дмитрий Андрей Михаил Владимир Александр Борис".split(),
+    "Анна Мария Елена Ольга Наталья Татьяна Ирина Екатерина Светлана Юлия".split(),
+    "Νίκος Κώστας Δημήτρης Γιάννης Παύλος Αλέξανδρος".split(),
+    "Μαρία Ελένη Κατερίνα Σοφία Άννα Ειρήνη".split(),
+)
+#: Steps that lead a word out of GIVEN; a step ends inside it with a chance far below one in a thousand.
+STEPS = 6
 #: Letters that may stand for each other.
 DIGITS = "0123456789"
 LATIN = "abcdefghijklmnopqrstuvwxyz"
@@ -62,7 +74,8 @@ OTHER_CLASSES, CASELESS_CLASSES = other_classes()
 #: The country codes, a set without common prefixes; three digits wherever no shorter one is given. Separators may stand anywhere.
 COUNTRY = r"^[+](?:[17]|2[ .()-]*[07]|3[ .()-]*[0-469]|4[ .()-]*[013-9]|5[ .()-]*[1-8]|6[ .()-]*[0-6]|8[ .()-]*[1246]|9[ .()-]*[0-58]|[0-9][ .()-]*[0-9][ .()-]*[0-9])"
 
-EMAIL = r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){0,8}\.[A-Za-z]{2,24}(?![A-Za-z0-9-])"
+LETTER = r"\p{Lu}\p{Ll}0-9"
+EMAIL = rf"(?<![{LETTER}._%+-])[{LETTER}._%+-]{{1,64}}@[{LETTER}-]{{1,63}}(?:\.[{LETTER}-]{{1,63}}){{0,125}}\.(?:[Xx][Nn]--[A-Za-z0-9-]{{2,59}}|[\p{{Lu}}\p{{Ll}}]{{2,24}})(?![{LETTER}-])"
 OCTET = r"(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 IP = rf"(?<![0-9.]){OCTET}(?:\.{OCTET}){{3}}(?!\.?[0-9])"
 PHONE = r"(?<![0-9])\+[0-9]{1,3}[ .-]?\(?[0-9]{2,4}\)?(?:[ .-]?[0-9]{2,4}){2,4}(?![0-9])|(?<![0-9])(?:\([0-9]{3}\) ?|[0-9]{3}[-.])[0-9]{3}[-.][0-9]{4}(?![0-9])"
@@ -112,7 +125,7 @@ def respelled(word: str, kind: str, key: str) -> str:
         f"({kind} = 'phone' AND i < length(regexp_extract({word}, {quoted(COUNTRY)}, 0))) OR ({kind} = 'card' AND (i = 0 OR i = length({word}) - 1)) "
         f"OR ({kind} = 'email' AND i >= length({word}) - locate('.', reverse({word}))) OR ({kind} = 'name' AND i = length({word}) - 1)"
     )
-    alphabet = f"CASE WHEN {fixed} THEN '' WHEN locate(c, '{DIGITS}') > 0 THEN '{DIGITS}' WHEN {kind} = 'email' AND locate(lower(c), '{LATIN}') > 0 THEN '{LATIN}' WHEN {kind} = 'name' THEN CASE {names} ELSE '' END ELSE '' END"
+    alphabet = f"CASE WHEN {fixed} THEN '' WHEN locate(c, '{DIGITS}') > 0 THEN '{DIGITS}' WHEN {kind} = 'email' AND locate(lower(c), '{LATIN}') > 0 THEN '{LATIN}' WHEN {kind} IN ('name', 'email') THEN CASE {names} ELSE '' END ELSE '' END"
     cs = f"transform(filter(split({word}, ''), c -> c <> ''), (c, i) -> named_struct('c', c, 'a', {alphabet}))"
     active = "transform(filter(cs, y -> y.a <> ''), y -> named_struct('v', CAST(coalesce(nullif(locate(y.c, y.a), 0), locate(lower(y.c), y.a)) - 1 AS INT), 'r', length(y.a)))"
     letter = "substring(y.a, 1 + p[acc.k], 1)"
@@ -125,6 +138,16 @@ def respelled(word: str, kind: str, key: str) -> str:
     return f"CASE WHEN {kind} = 'ip' THEN {octets} WHEN {kind} = 'card' THEN {checked} ELSE {plain} END"
 
 
+def renamed(word: str, key: str) -> str:
+    """SQL: the surrogate of one word of a name."""
+    lists = [f"array({', '.join(quoted(n) for n in names)})" for names in GIVEN]
+    step = lambda i, n: f"(1 + pmod(CAST(conv(substring(sha2(concat_ws('|', {key}, 'given', '{i}'), 256), 1, 12), 16, 10) AS BIGINT), {n - 1}))"
+    given = " ".join(f"WHEN array_contains({a}, {word}) THEN element_at({a}, CAST(1 + pmod(array_position({a}, {word}) - 1 + {step(i, len(GIVEN[i]))}, {len(GIVEN[i])}) AS INT))" for i, a in enumerate(lists))
+    every = f"array({', '.join(quoted(n) for names in GIVEN for n in names)})"
+    walked = f"aggregate(sequence(1, {STEPS}), {word}, (now, turn) -> CASE WHEN turn = 1 OR array_contains({every}, now) THEN {respelled('now', quoted('name'), key)} ELSE now END)"
+    return f"CASE {given} ELSE {walked} END"
+
+
 def kind_of(hit: str) -> str:
     return (
         f"CASE WHEN locate('@', {hit}) > 0 THEN 'email' WHEN rlike({hit}, {quoted('^' + IP + '$')}) THEN 'ip' WHEN rlike({hit}, {quoted(r'^[0-9]{3}-[0-9]{2}-[0-9]{4}$')}) THEN 'ssn' "
@@ -151,7 +174,7 @@ def pseudonymise(docs: DataFrame, key: str, text_col: str = "text", keep: list[s
     df = df.withColumn("_parts", F.expr(f"CASE WHEN _found THEN {pairs} ELSE {parts} END"))
     k = quoted(key)
     is_title = f"rlike(w, {quoted('^' + TITLE + '[.]?$')})"
-    name = f"array_join(transform(split(x.hit, ' '), (w, at) -> CASE WHEN at = 0 AND x.hit <> w AND {is_title} THEN w ELSE array_join(transform(split(w, '-'), u -> {respelled('u', quoted('name'), k)}), '-') END), ' ')"
+    name = f"array_join(transform(split(x.hit, ' '), (w, at) -> CASE WHEN at = 0 AND x.hit <> w AND {is_title} THEN w ELSE array_join(transform(split(w, '-'), u -> {renamed('u', k)}), '-') END), ' ')"
     surrogate = f"CASE WHEN x.hit = '' THEN '' WHEN x.type = 'name' THEN {name} ELSE {respelled('x.hit', 'x.type', k)} END"
     df = df.withColumn("_parts", F.expr(f"transform(_parts, x -> named_struct('gap', x.gap, 'hit', x.hit, 'type', x.type, 'surrogate', {surrogate}))"))
     entry = "named_struct('start', acc.at + length(x.gap), 'end', acc.at + length(x.gap) + length(x.hit), 'type', x.type, 'original', x.hit, 'surrogate', x.surrogate)"
@@ -177,7 +200,16 @@ def collisions(done: DataFrame) -> DataFrame:
     return shared.join(known, ["type", "surrogate"], "left").withColumn("is_original", F.coalesce("is_original", F.lit(False))).where("originals > 1 OR is_original")
 
 
+def checked(docs: DataFrame, key: str, text_col: str = "text", keep: list[str] | None = None, attempts: int = 4) -> DataFrame:
+    """pseudonymise, after a check over all entities that no two of a type share a surrogate; a further key is taken if they do."""
+    for attempt in range(attempts):
+        done = pseudonymise(docs, key if not attempt else f"{key}#{attempt}", text_col, keep)
+        if collisions(done).where("originals > 1").isEmpty():
+            return done
+    raise ValueError(f"entities share surrogates under {attempts} keys")
+
+
 def op1_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
-    done = pseudonymise(load(spark, sf_dir, "documents"), key="corpus-surrogates-v1", keep=["doc_id"])
+    done = checked(load(spark, sf_dir, "documents"), key="corpus-surrogates-v1", keep=["doc_id"])
     counts = [F.expr(f"CAST(size(filter(entities, x -> x.type = '{t}')) AS BIGINT)").alias(f"n_{t}") for t in TYPES]
     return done.select("doc_id", *counts, "text")
