@@ -1,8 +1,11 @@
-"""Benchmark decontamination: one Aho-Corasick automaton over the windows of all normalised test items.
+"""Benchmark decontamination: one Aho-Corasick automaton over anchors of all normalised test items.
 
 A text is normalised to its words (A-Z lower-cased; every run of characters outside 0-9, a-z and non-ASCII separates) joined by
 single spaces, scanned once, and each occurrence is mapped back to word positions and to code-point offsets of the original.
 
+An item's anchors are its consecutive pieces of half a window, so every window holds one whole: the automaton stores a text once, not once a
+word. Where an anchor occurs, the match is extended word by word to both sides; runs that reach a window are hits.
+
 Defined results: a null or empty text has no words and no hits; null or empty items match nothing and a null item id counts as
 the empty string; repeated items count once by id, repeated documents are judged row by row; an input column named like a
 result column is replaced; an empty benchmark leaves every document clean.
@@ -20,11 +23,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, load, resident, slices, small_batches
+from .common import cut, field, load, resident, slices, small_batches
 
 WINDOW = 10
 #: Bytes of item text in one automaton; a larger benchmark is scanned in several such blocks, one after the other.
-BLOCK_BYTES = 8_000_000
+BLOCK_BYTES = 4_000_000
+#: Blocks that are scanned in one pass over the documents, each in a Python process of its own; then the result is checkpointed.
+CHAINED = 3
 #: Byte by byte: separators become spaces, A-Z become a-z; bytes of non-ASCII characters are word bytes.
 WORD_BYTES = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
 
@@ -33,43 +38,58 @@ def words_of(text: str | None) -> list[bytes]:
     return text.encode().translate(WORD_BYTES).split() if text else []
 
 
-def windows(words: list[bytes], size: int) -> list[tuple[bytes, ...]]:
-    if not words:
-        return []
-    return [tuple(words[i : i + size]) for i in range(max(1, len(words) - size + 1))]
-
-
-def build(items: list[tuple[str, str]], size: int) -> ahocorasick.Automaton | None:
-    """Each window, framed by spaces, with its number of words and the items that hold it."""
-    found: dict[tuple[bytes, ...], set[str]] = {}
-    for item, text in items:
-        for w in windows(words_of(text), size):
-            found.setdefault(w, set()).add(item)
-    if not found:
-        return None
-    automaton = ahocorasick.Automaton(ahocorasick.STORE_ANY)
-    for w, ids in found.items():
-        automaton.add_word((b" " + b" ".join(w) + b" ").decode("latin-1"), (len(w), tuple(sorted(ids))))
-    automaton.make_automaton()
-    return automaton
-
-
-def scan(automaton: ahocorasick.Automaton | None, words: list[bytes]) -> tuple[list[int], list[int], set[str]]:
-    """First and one-past-last words of the occurrences, and the items they belong to."""
-    starts: list[int] = []
-    ends: list[int] = []
-    items: set[str] = set()
-    if automaton is None or not words:
-        return starts, ends, items
-    hits = list(automaton.iter(" ".join(["", b" ".join(words).decode("latin-1"), ""])))
-    if hits:
+class Anchors:
+    """The automaton of all items' anchors; each knows the items and the places where it stands."""
+
+    def __init__(self, items: list[tuple[str, str]], window: int):
+        self.names: list[str] = []
+        self.words: list[list[bytes]] = []
+        found: dict[bytes, list[tuple[int, int]]] = {}
+        for name, words in dict.fromkeys((item, tuple(words_of(text))) for item, text in items):
+            if not words:
+                continue
+            size = (min(window, len(words)) + 1) // 2
+            for at in range(0, len(words) - size + 1, size):
+                found.setdefault(b" ".join(words[at : at + size]), []).append((len(self.names), at))
+            self.names.append(name)
+            self.words.append(list(words))
+        self.window, self.automaton = window, None
+        if found:
+            self.automaton = ahocorasick.Automaton(ahocorasick.STORE_ANY)
+            for text, places in found.items():
+                self.automaton.add_word(f" {text.decode('latin-1')} ", (text.count(b" ") + 1, places))
+            self.automaton.make_automaton()
+
+    def scan(self, words: list[bytes]) -> tuple[list[int], list[int], set[str]]:
+        """First and one-past-last words of the runs that reach a window, and the items they belong to."""
+        starts: list[int] = []
+        ends: list[int] = []
+        items: set[str] = set()
+        if self.automaton is None or not words:
+            return starts, ends, items
+        hits = list(self.automaton.iter(" ".join(["", b" ".join(words).decode("latin-1"), ""])))
+        if not hits:
+            return starts, ends, items
         space = np.cumsum([len(w) + 1 for w in words])  # where the space after each word stands
-        last = np.searchsorted(space, [h[0] for h in hits])
-        for e, (_, (n, ids)) in zip(last.tolist(), hits, strict=True):
-            starts.append(e + 1 - n)
-            ends.append(e + 1)
-            items.update(ids)
-    return starts, ends, items
+        reached: dict[tuple[int, int], int] = {}  # by item and shift, where its last run ended
+        for e, (_, (n, places)) in zip(np.searchsorted(space, [h[0] for h in hits]).tolist(), hits, strict=True):
+            first = e + 1 - n
+            for item, at in places:
+                shift = first - at
+                if reached.get((item, shift), 0) > first:
+                    continue
+                own = self.words[item]
+                a, b = at, at + n
+                while a and a + shift and own[a - 1] == words[a - 1 + shift]:
+                    a -= 1
+                while b < len(own) and b + shift < len(words) and own[b] == words[b + shift]:
+                    b += 1
+                reached[item, shift] = b + shift
+                if b - a >= min(self.window, len(own)):
+                    starts.append(a + shift)
+                    ends.append(b + shift)
+                    items.add(self.names[item])
+        return starts, ends, items
 
 
 def merged(starts: list[int], ends: list[int]) -> list[tuple[int, int]]:
@@ -108,7 +128,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", ite
     """Adds n_words, n_hit, hit_spans (start, end in code points of the original text) and hit_items (sorted strings).
 
     Documents are never shuffled. Each block of items is broadcast behind its size bound (BLOCK_BYTES); later blocks continue
-    from what the earlier ones found.
+    from what the earlier ones found, CHAINED of them in a pass.
     """
     own = [field("n_words", T.LongType()), field("n_hit", T.LongType()), field("hit_spans", T.ArrayType(T.StructType([field("start", T.IntegerType()), field("end", T.IntegerType())]))), field("hit_items", T.ArrayType(T.StringType()))]
     temp = [field("_llm_starts", T.ArrayType(T.IntegerType())), field("_llm_ends", T.ArrayType(T.IntegerType())), field("_llm_items", T.ArrayType(T.StringType()))]
@@ -117,15 +137,13 @@ def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", ite
     small_batches(docs.sparkSession)
     out = docs.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{text_col}`").cast("string").alias("_llm_text"))
     base = T.StructType([out.schema[c] for c in kept])
-    shared = [docs.sparkSession.sparkContext.broadcast(b) for b in blocks(items, item_col, item_text_col)] or [docs.sparkSession.sparkContext.broadcast([])]
-
     def stage(held, first: bool, last: bool, schema: T.StructType):
         key = ("items", uuid.uuid4().hex)
 
         def run(batches):
             from pyspark.sql.pandas.types import to_arrow_schema
 
-            automaton, made = resident(key, lambda: build(held.value, window)), to_arrow_schema(schema)
+            anchors, made = resident(key, lambda: Anchors(held.value, window)), to_arrow_schema(schema)
             for batch in batches:
                 for part in slices(batch, "_llm_text"):
                     texts = part.column("_llm_text").to_pylist()
@@ -133,7 +151,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", ite
                     rows = []
                     for text, s0, e0, i0 in zip(texts, *before, strict=True):
                         words = words_of(text) if text else []
-                        starts, ends, ids = scan(automaton, words)
+                        starts, ends, ids = anchors.scan(words)
                         starts, ends, ids = (s0 or []) + starts, (e0 or []) + ends, ids | set(i0 or [])
                         if last:
                             ranges = merged(starts, ends)
@@ -148,10 +166,15 @@ def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", ite
 
         return run
 
-    for k, held in enumerate(shared):
-        last = k == len(shared) - 1
-        schema = T.StructType(base.fields + (own if last else [field("_llm_text", T.StringType()), *temp]))
-        out = out.mapInArrow(stage(held, k == 0, last, schema), schema)
+    own_blocks, k = blocks(items, item_col, item_text_col), 0
+    block, following = next(own_blocks, []), None
+    while block is not None:
+        following = next(own_blocks, None)
+        if k and k % CHAINED == 0:
+            out = cut(out)
+        schema = T.StructType(base.fields + (own if following is None else [field("_llm_text", T.StringType()), *temp]))
+        out = out.mapInArrow(stage(docs.sparkSession.sparkContext.broadcast(block), k == 0, following is None, schema), schema)
+        block, k = following, k + 1
     return out
 
 
