@@ -135,7 +135,10 @@ def patterned(df: DataFrame, text_col: str) -> DataFrame:
     df = df.withColumn(t, F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit("")))
     assign = f"filter({located(t, ASSIGN, 0, 2)}, x -> length(x.value) >= {MIN_VALUE})"
     df = df.withColumn("_base", F.expr(f"array_sort(concat({assign}, {located(t, ACCESS, 1)}, {located(t, HEX, 2)}))"))
-    runs = f"filter({located(t, RUN, 3)}, x -> {encoding('x.hit')} IS NOT NULL AND NOT exists(_base, y -> y.start < x.end AND x.start < y.end))"
+    # the spans are bound once, and looked at by parts that may touch the run
+    parts = f"transform({chunked('bs', REDACTED)}, g -> named_struct('low', array_min(transform(g, y -> y.start)), 'high', array_max(transform(g, y -> y.end)), 'g', g))"
+    touched = "coalesce(exists(parts, p -> p.low < x.end AND x.start < p.high AND exists(p.g, y -> y.start < x.end AND x.start < y.end)), false)"
+    runs = f"transform(array(_base), bs -> transform(array({parts}), parts -> filter({located(t, RUN, 3)}, x -> {encoding('x.hit')} IS NOT NULL AND NOT {touched}))[0])[0]"
     return df.withColumn("_runs", F.expr(runs))
 
 
