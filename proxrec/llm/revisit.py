@@ -22,7 +22,7 @@ from .common import load
 #: Headers that a 304 answer may update.
 PERMITTED = ("cache-control", "content-location", "date", "etag", "expires", "last-modified", "vary")
 #: Query parameters that do not select content.
-TRACKING = "^(utm_[a-z]+|fbclid|gclid|ref|sessionid)(=|$)"
+TRACKING = "^(utm_[a-z]+|fbclid|gclid|sessionid)(=|$)"
 SLICES = 64
 
 
@@ -126,7 +126,7 @@ OP4_SQL = r"""
 WITH p AS (SELECT page_id, html, regexp_replace(regexp_replace(trim(url), '#.*$', ''), '^[A-Za-z][A-Za-z0-9+.-]*://', '') AS bare FROM pages),
 c AS (SELECT page_id, html, regexp_replace(regexp_replace(lower(regexp_extract(bare, '^(?:[^/?@]*@)?([^/?]*)', 1)), '^www[0-9]*[.]', ''), ':(80|443)$', '') AS host,
              regexp_replace(regexp_extract(bare, '^[^/?]*(/[^?]*)', 1), '/+$', '') AS rest,
-             array_to_string(list_sort(list_filter(string_split(regexp_extract(bare, '[?](.*)$', 1), '&'), lambda x: x <> '' AND NOT regexp_matches(lower(x), '^(utm_[a-z]+|fbclid|gclid|ref|sessionid)(=|$)'))), '&') AS q FROM p),
+             array_to_string(list_sort(list_filter(string_split(regexp_extract(bare, '[?](.*)$', 1), '&'), lambda x: x <> '' AND NOT regexp_matches(lower(x), '^(utm_[a-z]+|fbclid|gclid|sessionid)(=|$)'))), '&') AS q FROM p),
 k AS (SELECT page_id, host || rest || CASE WHEN q <> '' THEN '?' || q ELSE '' END AS k, sha1(html) AS d, '"' || substr(md5(html), 1, 16) || '"' AS etag FROM c),
 v AS (SELECT page_id * 2 + 1 AS record_id, k, CASE WHEN page_id % 7 = 0 THEN page_id - 1 ELSE page_id + 1000 END AS t, CASE WHEN page_id % 5 = 0 THEN '"other"' ELSE etag END AS etag FROM k),
 j AS (SELECT v.record_id, max(r.page_id) AS page FROM v JOIN k r ON r.k = v.k AND (r.page_id < v.t OR (r.page_id = v.t AND r.page_id * 2 < v.record_id)) GROUP BY 1),
