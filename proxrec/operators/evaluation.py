@@ -24,18 +24,21 @@ def test_cases(probe: DataFrame, best: float = 5.0) -> DataFrame:
     return hits.select(F.concat_ws("|", F.col("user_id").cast("string"), F.col("item_id").cast("string")).alias("case_id"), "user_id", "item_id")
 
 
-def candidates(cases: DataFrame, ratings: DataFrame, negatives: int = NEGATIVES, seed: int = 7) -> DataFrame:
-    """(case_id, user_id, item_id, is_target): the held-out item and the user's unrated items with the smallest hashes.
+def negatives_of(users: DataFrame, ratings: DataFrame, negatives: int = NEGATIVES, seed: int = 7) -> DataFrame:
+    """(user_id, item_id): the given users' unrated items with the smallest hashes.
 
     Only test users meet the items, which are broadcast if their table is small; the window keeps so many rows a user before it is shuffled.
     """
-    items = ratings.select("item_id").distinct()
-    users = cases.select("user_id").distinct()
-    free = users.crossJoin(items).join(ratings.select("user_id", "item_id"), ["user_id", "item_id"], "left_anti")
+    free = users.crossJoin(ratings.select("item_id").distinct()).join(ratings.select("user_id", "item_id"), ["user_id", "item_id"], "left_anti")
     order = Window.partitionBy("user_id").orderBy(fraction(seed, "user_id", "item_id"), "item_id")
-    drawn = free.withColumn("r", F.row_number().over(order)).where(F.col("r") <= negatives).select("user_id", F.col("item_id").alias("other"))
-    lists = cases.select("case_id", "user_id").join(drawn, "user_id").select("case_id", "user_id", F.col("other").alias("item_id"), F.lit(False).alias("is_target"))
-    return lists.unionByName(cases.withColumn("is_target", F.lit(True)))
+    return free.withColumn("r", F.row_number().over(order)).where(F.col("r") <= negatives).select("user_id", "item_id")
+
+
+def candidates(cases: DataFrame, ratings: DataFrame, negatives: int = NEGATIVES, seed: int = 7) -> DataFrame:
+    """(case_id, user_id, item_id, is_target): the held-out item and the user's unrated items with the smallest hashes."""
+    drawn = negatives_of(cases.select("user_id").distinct(), ratings, negatives, seed)
+    lists = cases.select("case_id", "user_id").join(drawn, "user_id").select("case_id", "user_id", "item_id", F.lit(False).alias("is_target"))
+    return lists.unionByName(cases.select("case_id", "user_id", "item_id", F.lit(True).alias("is_target")))
 
 
 def ranked(scored: DataFrame) -> DataFrame:
@@ -96,12 +99,16 @@ def best_of(results: DataFrame) -> DataFrame:
 def head_items(ratings: DataFrame, share: float = 1 / 3) -> DataFrame:
     """The most rated items that together hold the share of the ratings: item_id, n, before (ratings of the items above).
 
-    The running sum is over one row an item, the only global order in the evaluation.
+    The running sum is over the distinct numbers of ratings (at most the root of twice their total), then over the items of one number,
+    and only of numbers that reach the head: no window runs over all items.
     """
     counts = ratings.groupBy("item_id").agg(F.count("*").alias("n"))
-    order = Window.orderBy(F.desc("n"), "item_id").rowsBetween(Window.unboundedPreceding, -1)
-    total = counts.agg(F.sum("n").alias("total"))
-    placed = counts.withColumn("before", F.coalesce(F.sum("n").over(order), F.lit(0))).crossJoin(F.broadcast(total))
+    by_number = counts.groupBy("n").agg(F.sum("n").alias("held"))
+    above = Window.orderBy(F.desc("n")).rowsBetween(Window.unboundedPreceding, -1)
+    total = by_number.agg(F.sum("held").alias("total"))  # one row
+    numbers = by_number.withColumn("above", F.coalesce(F.sum("held").over(above), F.lit(0))).crossJoin(F.broadcast(total)).where(F.col("above") < F.col("total") * share)
+    order = Window.partitionBy("n").orderBy("item_id")
+    placed = counts.join(F.broadcast(numbers), "n").withColumn("before", F.col("above") + F.col("n") * (F.row_number().over(order) - 1))
     return placed.where(F.col("before") < F.col("total") * share).select("item_id", "n", "before")
 
 

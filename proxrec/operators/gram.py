@@ -1,4 +1,4 @@
-"""Products with the proximity operator on Spark: packed user rows with partial sums, and a purely relational form."""
+"""Products with the proximity operator on Spark: packed rows with partial sums, rows of a similarity, and a purely relational form."""
 
 from __future__ import annotations
 
@@ -11,8 +11,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Items whose partial sums travel as one binary value.
-CHUNK = 65_536
+#: Bytes of partial sums that travel as one value, and how many of them meet in one task.
+CHUNK_BYTES, FAN_IN = 4_000_000, 32
+#: Rows of a similarity that are multiplied at once.
+ROWS_AT_ONCE = 64
+#: Partial sums of all tasks together that the driver may add by itself, without a shuffle.
+DRIVER_SUMS = 64_000_000
 
 
 def pack_rows(ratings: DataFrame, index: DataFrame) -> DataFrame:
@@ -34,23 +38,53 @@ def row_sums(ends: np.ndarray, terms: np.ndarray) -> np.ndarray:
     return np.add.reduceat(terms, np.minimum(starts, max(len(terms) - 1, 0)), axis=0) * (ends > starts)[:, None] if len(terms) else np.zeros((len(ends), terms.shape[1]))
 
 
+def added(pdf: pd.DataFrame) -> pd.DataFrame:
+    """One row of summed vectors for a group of partial ones; at most FAN_IN values of CHUNK_BYTES."""
+    total = np.frombuffer(pdf["sums"].iloc[0]).copy()
+    for b in pdf["sums"].iloc[1:]:
+        total += np.frombuffer(b)
+    return pd.DataFrame({"chunk": [pdf["chunk"].iloc[0]], "part": [pdf["part"].iloc[0] // FAN_IN], "sums": [total.tobytes()]})
+
+
+def summed(partial: DataFrame, tasks: int) -> DataFrame:
+    """chunk, part, sums of the partial sums of so many tasks, FAN_IN of them at a time: no group grows with the number of tasks."""
+    schema = "chunk int, part int, sums binary"
+    while tasks > 1:
+        tasks = -(-tasks // FAN_IN)
+        partial = partial.groupBy("chunk", F.floor(F.col("part") / FAN_IN).alias("at")).applyInPandas(lambda key, pdf: added(pdf), schema)
+    return partial
+
+
 class GramOperator:
     """g (R'R / scale - shift shift') g over packed rows on Spark.
 
     A product broadcasts the block X, lets every task multiply its rows both ways (R X, then R' of it), and adds the
-    partial sums by chunk of items: rows of the user side never move. X and the sums have m rows; the planner checks their size.
+    partial sums by chunk of items in a tree: rows of the user side never move. X and the sums have m rows; the planner checks their size.
     """
 
+    distributed = True
+
     def __init__(self, rows: DataFrame, m: int, g: np.ndarray, scale: float = 1.0, shift: np.ndarray | None = None):
-        self.rows, self.m, self.g, self.scale, self.shift = rows, m, g[:, None], scale, shift
+        self.rows, self.m, self.g, self.scale, self.shift = rows.select("ix", "x"), m, g[:, None], scale, shift
         self.passes, self.seconds = 0, 0.0
+        self._tasks: int | None = None
 
-    def gram(self, x: np.ndarray) -> np.ndarray:
+    @property
+    def tasks(self) -> int:
+        if self._tasks is None:
+            self._tasks = self.rows.rdd.getNumPartitions()
+        return self._tasks
+
+    def partial(self, x: np.ndarray) -> tuple[DataFrame, object, int]:
+        """(chunk, part, sums) a task, the broadcast block, and the items of a chunk."""
         m, width = x.shape
+        chunk = max(1, CHUNK_BYTES // (8 * width))
         shared = self.rows.sparkSession.sparkContext.broadcast(x)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            total, block = np.zeros((m, width)), shared.value
+            from pyspark import TaskContext
+
+            total, block = np.zeros((width, m)), shared.value
             for batch in batches:
                 if not batch.num_rows:
                     continue
@@ -58,17 +92,20 @@ class GramOperator:
                 y = row_sums(ends, v[:, None] * block[ix])
                 user = np.repeat(np.arange(len(ends)), np.diff(ends, prepend=0))
                 for c in range(width):
-                    total[:, c] += np.bincount(ix, weights=v * y[user, c], minlength=m)
-            parts = [total[a : a + CHUNK].tobytes() for a in range(0, m, CHUNK)]
-            yield pa.RecordBatch.from_arrays([pa.array(range(len(parts)), pa.int32()), pa.array(parts, pa.binary())], names=["chunk", "sums"])
+                    total[c] += np.bincount(ix, weights=v * y[user, c], minlength=m)
+            own = TaskContext.get().partitionId()
+            for k, a in enumerate(range(0, m, chunk)):
+                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([own], pa.int32()), pa.array([total[:, a : a + chunk].T.tobytes()], pa.binary())], names=["chunk", "part", "sums"])
 
-        def added(pdf: pd.DataFrame) -> pd.DataFrame:
-            return pd.DataFrame({"chunk": [pdf["chunk"].iloc[0]], "sums": [sum(np.frombuffer(b) for b in pdf["sums"]).tobytes()]})
+        return self.rows.mapInArrow(run, "chunk int, part int, sums binary"), shared, chunk
 
+    def gram(self, x: np.ndarray) -> np.ndarray:
+        m, width = x.shape
+        partial, shared, chunk = self.partial(x)
         out = np.zeros((m, width))
-        partial = self.rows.select("ix", "x").mapInArrow(run, "chunk int, sums binary")
-        for r in partial.groupBy("chunk").applyInPandas(added, "chunk int, sums binary").collect():
-            out[r["chunk"] * CHUNK : (r["chunk"] + 1) * CHUNK] = np.frombuffer(r["sums"]).reshape(-1, width)
+        sums = partial if 8 * m * width * self.tasks <= DRIVER_SUMS else summed(partial, self.tasks)
+        for r in sums.toLocalIterator() if sums is not partial else sums.collect():
+            out[r["chunk"] * chunk : (r["chunk"] + 1) * chunk] += np.frombuffer(r["sums"]).reshape(-1, width)
         shared.unpersist()
         return out
 
@@ -83,15 +120,53 @@ class GramOperator:
         return self.g * y
 
 
+class RowOperator:
+    """S K S with the rows of a sparse symmetric K packed on Spark (i, ix, x): every task multiplies its rows with the broadcast block; nothing is added up."""
+
+    distributed = True
+
+    def __init__(self, rows: DataFrame, m: int, s: np.ndarray):
+        self.rows, self.m, self.s, self.passes = rows, m, s[:, None], 0
+
+    def apply(self, x: np.ndarray) -> np.ndarray:
+        width = x.shape[1]
+        shared = self.rows.sparkSession.sparkContext.broadcast(self.s * x)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for whole in batches:
+                for a in range(0, whole.num_rows, ROWS_AT_ONCE):
+                    batch = whole.slice(a, ROWS_AT_ONCE)
+                    ends, ix, v = batch_csr(batch)
+                    y = row_sums(ends, v[:, None] * shared.value[ix])
+                    at = batch.column("i").to_numpy().astype(np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array([at.tobytes()], pa.binary()), pa.array([y.tobytes()], pa.binary())], names=["at", "y"])
+
+        out = np.zeros((self.m, width))
+        for r in self.rows.mapInArrow(run, "at binary, y binary").toLocalIterator():
+            out[np.frombuffer(r["at"], np.int64)] = np.frombuffer(r["y"]).reshape(-1, width)
+        shared.unpersist()
+        self.passes += 1
+        return self.s * out
+
+
+def pack_pairs(pairs: DataFrame, index: DataFrame) -> DataFrame:
+    """(i, ix, x): the rows of a symmetric similarity given as pairs (i, j, v), by item index; pairs of unknown items are left out."""
+    one = index.select(F.col("item_id").alias("i"), F.col("item_ix").alias("at"))
+    two = index.select(F.col("item_id").alias("j"), F.col("item_ix").alias("other"))
+    rows = pairs.join(one, "i").join(two, "j").groupBy("at").agg(F.array_sort(F.collect_list(F.struct("other", "v"))).alias("e"))
+    return rows.select(F.col("at").alias("i"), F.col("e.other").alias("ix"), F.col("e.v").alias("x"))
+
+
 def relational_product(ratings: DataFrame, q: DataFrame, weights: DataFrame) -> DataFrame:
-    """One product y = g R'R g q with vectors as relations q(item_id, q) and weights(item_id, g): two joins and two aggregations.
+    """One product y = g R'R g q with vectors as relations q(item_id, q, ...) and weights(item_id, g): two joins and two aggregations.
 
-    For item sets beyond a broadcast; nothing is collected. Items absent from q count as 0.
+    For item sets beyond a broadcast; nothing is collected. Items absent from q count as 0. All columns of q but item_id are vectors.
     """
-    scaled = q.join(weights, "item_id").select("item_id", (F.col("q") * F.col("g")).alias("z"))
-    users = ratings.join(scaled, "item_id").groupBy("user_id").agg(F.sum(F.col("rating") * F.col("z")).alias("y"))
-    items = ratings.join(users, "user_id").groupBy("item_id").agg(F.sum(F.col("rating") * F.col("y")).alias("y"))
-    return items.join(weights, "item_id").select("item_id", (F.col("y") * F.col("g")).alias("q"))
+    names = [c for c in q.columns if c != "item_id"]
+    scaled = q.join(weights.select("item_id", "g"), "item_id").select("item_id", *[(F.col(c) * F.col("g")).alias(c) for c in names])
+    users = ratings.join(scaled, "item_id").groupBy("user_id").agg(*[F.sum(F.col("rating") * F.col(c)).alias(c) for c in names])
+    items = ratings.join(users, "user_id").groupBy("item_id").agg(*[F.sum(F.col("rating") * F.col(c)).alias(c) for c in names])
+    return items.join(weights.select("item_id", "g"), "item_id").select("item_id", *[(F.col(c) * F.col("g")).alias(c) for c in names])
 
 
 def relational_power(ratings: DataFrame, weights: DataFrame, rounds: int = 30, every: int = 3) -> DataFrame:
@@ -107,3 +182,49 @@ def relational_power(ratings: DataFrame, weights: DataFrame, rounds: int = 30, e
             norm = q.agg(F.sqrt(F.sum(F.col("q") * F.col("q")))).first()[0] or 1.0
             q = q.withColumn("q", F.col("q") / norm)
     return q
+
+
+def _products(q: DataFrame, other: DataFrame | None, names: list[str]) -> np.ndarray:
+    """The small matrix q' q, or q' other: sums over all items, a number a pair of columns."""
+    both = q if other is None else q.join(other.select("item_id", *[F.col(c).alias(f"{c}_y") for c in names]), "item_id", "left")
+    right = names if other is None else [f"{c}_y" for c in names]
+    row = both.agg(*[F.sum(F.col(a) * F.col(b)).alias(f"{i}_{j}") for i, a in enumerate(names) for j, b in enumerate(right)]).first()
+    return np.array([x or 0.0 for x in row]).reshape(len(names), len(names))
+
+
+def _turned(q: DataFrame, names: list[str], by: np.ndarray) -> DataFrame:
+    return q.select("item_id", *[sum((F.col(a) * float(by[i, k]) for i, a in enumerate(names)), F.lit(0.0)).alias(names[k]) for k in range(by.shape[1])])
+
+
+def relational_subspace(ratings: DataFrame, weights: DataFrame, f: int, rounds: int = 60, tol: float = 1e-6, extra: int = 4, allow_partial: bool = False) -> tuple[np.ndarray, DataFrame]:
+    """(values, vectors(item_id, q0, ..)): the f leading eigenpairs of g R'R g by orthogonal iteration with every vector kept as a relation.
+
+    Only matrices of f + extra columns squared reach the driver, whatever the number of items. Start values are hashes of the item keys; each
+    round's vectors are checkpointed. Ends when the residuals, as a share of the largest value, are below tol; else an error unless allowed.
+    """
+    from proxrec.plans.planner import cut
+
+    ratings, weights = cut(ratings), cut(weights.where("g > 0"))
+    names = [f"q{k}" for k in range(f + extra)]
+    q = cut(weights.select("item_id", *[(F.xxhash64(F.lit(k), F.col("item_id").cast("string")) / float(1 << 63)).alias(c) for k, c in enumerate(names)]))
+    value, residual = np.zeros(f), np.inf
+    for _ in range(rounds):
+        # orthonormal columns by the small matrix of their products; dependent ones go
+        g = _products(q, None, names)
+        at, xi = np.linalg.eigh(g)
+        keep = at > 1e-14 * max(at[-1], 1e-300)
+        q, names = _turned(q, names, xi[:, keep] / np.sqrt(at[keep])), names[: int(keep.sum())]
+        image = cut(relational_product(ratings, q, weights))
+        small = _products(q, image, names)
+        at, xi = np.linalg.eigh((small + small.T) / 2)
+        value, xi = at[::-1], xi[:, ::-1]
+        norms = np.diag(xi.T @ _products(image, None, names) @ xi)
+        residual = float(np.sqrt(np.maximum(norms - value**2, 0))[: min(f, len(value))].max() / max(value[0], 1e-300))
+        if residual <= tol or len(names) < f:
+            break
+        q = _turned(image, names, xi)
+    else:
+        if not allow_partial:
+            raise ArithmeticError(f"relational form: not converged in {rounds} rounds; residual {residual:.3g}")
+    found = _turned(q, names, xi)
+    return value[:f], found.select("item_id", *names[:f])

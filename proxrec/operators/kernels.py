@@ -21,6 +21,8 @@ GRID = {
 }
 BLOCK = 256  # users solved together
 MOST_EDGES = 50_000_000  # of a graph that is broadcast
+#: Users and cells of a biadjacency matrix that the driver holds densely.
+DENSE_USERS, DENSE_CELLS = 4_000, 50_000_000
 
 
 class Graph:
@@ -124,6 +126,78 @@ def entropy_rows(graph: Graph, users: np.ndarray, t: int, eps: float) -> np.ndar
     return out
 
 
+class DenseGraph:
+    """The kernels of a graph whose user side fits a dense matrix, for whole parameter grids at once.
+
+    With the singular value decomposition U s V' of the biadjacency scaled by the roots of both degrees, powers of the transition matrix and
+    the damped inverse are functions of s, so one decomposition serves every t and every damping. The Laplacian kernels go
+    by the Schur complement on the user side.
+    """
+
+    def __init__(self, graph: Graph):
+        self.graph, n = graph, graph.n
+        self.r = np.zeros((n, graph.m))
+        self.r[graph.r.row, graph.r.column] = graph.r.value
+        root = lambda d: np.where(d > 0, 1 / np.sqrt(np.maximum(d, 1e-300)), 0)
+        self.du, self.di = graph.degree[:n], graph.degree[n:]
+        self.iu, self.ii = root(self.du), root(self.di)
+        self.u, self.s, vt = np.linalg.svd(self.iu[:, None] * self.r * self.ii, full_matrices=False)
+        self.v = vt.T
+
+    @staticmethod
+    def fits(n: int, m: int) -> bool:
+        return n <= DENSE_USERS and n * m <= DENSE_CELLS
+
+    def means(self, t: int) -> tuple[np.ndarray, np.ndarray]:
+        """Of s to the even and to the odd powers up to t, over t."""
+        even, odd, power = np.zeros_like(self.s), np.zeros_like(self.s), np.ones_like(self.s)
+        for k in range(1, t + 1):
+            power = power * self.s
+            if k % 2:
+                odd += power
+            else:
+                even += power
+        return even / t, odd / t
+
+    def rows(self, kind: str, users: np.ndarray, t: int = 2, damping: float = 0.5, eps: float = 1e-12) -> np.ndarray:
+        """Kernel entries of the given users (rows) and all items (columns)."""
+        own, n = self.u[users], self.graph.n
+        if kind == "commute":
+            return self.iu[users, None] * ((own * (damping * self.s / (1 - (damping * self.s) ** 2))) @ self.v.T) * self.ii
+        if kind == "diffusion":
+            e, o = self.means(t)
+            gu, gi = self.u.T @ (self.du[:, None] * self.u), self.v.T @ (self.di[:, None] * self.v)
+            return self.iu[users, None] * ((((own * e) @ gu) * o + ((own * o) @ gi) * e) @ self.v.T) * self.ii
+        if kind == "entropy":
+            e, o = self.means(t)
+            mine = self.iu[users, None] * np.hstack([((own * e) @ self.u.T) * np.sqrt(self.du), ((own * o) @ self.v.T) * np.sqrt(self.di)])
+            mine, logs = np.maximum(mine, 0), np.log(np.maximum(mine, eps))
+            out = np.empty((len(users), self.graph.m))
+            for a in range(0, self.graph.m, 512):
+                v = self.v[a : a + 512]
+                z = self.ii[a : a + 512, None] * np.hstack([((v * o) @ self.u.T) * np.sqrt(self.du), ((v * e) @ self.v.T) * np.sqrt(self.di)])
+                out[:, a : a + 512] = mine @ np.log(np.maximum(z, eps)).T + logs @ np.maximum(z, 0).T
+            return out
+        e = np.zeros((n, len(users)))
+        e[users, np.arange(len(users))] = 1
+        if kind == "forest":
+            inner = 1 / (1 + self.di)
+            x = np.linalg.solve(np.diag(1 + self.du) - (self.r * inner) @ self.r.T, e)
+            return (inner[:, None] * (self.r.T @ x)).T
+        if kind == "lapinv":
+            component, inner = self.graph.component, self.ii**2
+            share = 1 / np.bincount(component)
+            same = component[:, None] == component[users][None, :]
+            right = same * -share[component[users]]
+            right[users, np.arange(len(users))] += 1
+            at, xi = np.linalg.eigh(np.diag(self.du) - (self.r * inner) @ self.r.T)
+            good = at > 1e-10 * max(at[-1], 1e-300)
+            x = (xi[:, good] / at[good]) @ (xi[:, good].T @ (right[:n] + self.r @ (inner[:, None] * right[n:])))
+            y = inner[:, None] * (right[n:] + self.r.T @ x)
+            return np.where(same, self.graph.centred(np.vstack([x, y])), 0)[n:].T
+        raise ValueError(kind)
+
+
 def kernel_scores(ratings: DataFrame, kind: str, users: DataFrame | None = None, weighted: bool = False, **how) -> DataFrame:
     """(user_id, item_id, score) of the given users (all by default) and every item; the graph is broadcast behind a check of its size,
     and blocks of users are solved in parallel."""

@@ -8,6 +8,10 @@ from dataclasses import dataclass, field
 import numpy as np
 
 
+#: Residuals, as a share of the largest value, that rounding alone may leave.
+ROUNDING = 1e-7
+
+
 class Csr:
     """Rows of a sparse matrix; products by segment sums (no SciPy)."""
 
@@ -126,17 +130,23 @@ def _order(values: np.ndarray, which: str) -> np.ndarray:
 
 
 def lanczos(op, f: int, tol: float = 1e-8, max_steps: int | None = None, seed: int = 1, which: str = "LA", reorth: str = "full", check_every: int = 10, allow_partial: bool = False) -> Eigen:
-    """The f leading eigenpairs. reorth: none (three terms only), full, or twice. A zero residual restarts with a fresh orthogonal vector."""
+    """The f leading eigenpairs. reorth: none (three terms only), full, or twice. A zero residual restarts with a fresh orthogonal vector.
+
+    Without ``max_steps`` it goes on until the residuals reach tol, at the latest when the basis spans the space; an end before that is an
+    error unless ``allow_partial``.
+    """
     m = op.m
     f = min(f, m)
-    most = min(m, max_steps or 20 * f + 200)
+    most = min(m, max_steps or m)
     rng, trace = np.random.default_rng(seed), Trace(path=f"lanczos-{reorth}")
-    q = np.zeros((m, most))
+    q = np.zeros((m, min(most, 2 * f + 50)), order="F")
     diag, off = np.zeros(most), np.zeros(most)
     r = rng.standard_normal(m)
     beta = np.linalg.norm(r)
     scale = 0.0
     for j in range(most):
+        if j == q.shape[1]:
+            q = np.hstack([q, np.zeros((m, min(most, 2 * j) - j), order="F")])
         q[:, j] = r / beta
         t0 = time.perf_counter()
         r = op.apply(q[:, j : j + 1])[:, 0]
@@ -183,13 +193,19 @@ def lanczos(op, f: int, tol: float = 1e-8, max_steps: int | None = None, seed: i
     return Eigen(values[lead], q[:, : trace.steps] @ xi[:, lead], trace)
 
 
-def thick_restart_lanczos(op, f: int, width: int | None = None, tol: float = 1e-8, restarts: int = 200, seed: int = 1) -> Eigen:
-    """Lanczos in a basis of at most ``width`` vectors, restarted with the leading Ritz vectors."""
+def settled(trace: Trace, done: bool, allow_partial: bool) -> None:
+    if not done and not allow_partial:
+        raise ArithmeticError(f"{trace.path}: not converged in {trace.steps} steps; largest residual {max(trace.residuals):.3g}")
+
+
+def thick_restart_lanczos(op, f: int, width: int | None = None, tol: float = 1e-8, restarts: int = 200, seed: int = 1, allow_partial: bool = False) -> Eigen:
+    """Lanczos in a basis of at most ``width`` vectors, restarted with the leading Ritz vectors; running out of restarts is an error unless allowed."""
     m = op.m
     f = min(f, m)
     width = min(m, width or max(2 * f + 10, f + 20))
     rng, trace = np.random.default_rng(seed), Trace(path="thick-restart")
     basis = np.linalg.qr(rng.standard_normal((m, 1)))[0]
+    done = False
     for _ in range(restarts):
         t0 = time.perf_counter()
         images = op.apply(basis)
@@ -216,24 +232,30 @@ def thick_restart_lanczos(op, f: int, width: int | None = None, tol: float = 1e-
         vectors = basis @ xi[:, :f]
         residual = images @ xi[:, :f] - vectors * values
         trace.residuals = np.linalg.norm(residual, axis=0).tolist()
-        if max(trace.residuals) <= tol * max(abs(values[0]), 1e-300) or width == m:
+        done = max(trace.residuals) <= tol * max(abs(values[0]), 1e-300) or width == m
+        if done:
             break
         extra = residual[:, int(np.argmax(trace.residuals))]
         kept = basis @ xi[:, : min(width - 2, f + 5)]
         extra = extra - kept @ (kept.T @ extra)
         basis = np.hstack([kept, (extra / np.linalg.norm(extra))[:, None]])
     trace.passes = op.passes
+    settled(trace, done, allow_partial)
     return Eigen(values, vectors, trace)
 
 
-def block_subspace(op, f: int, oversample: int = 20, passes: int = 12, tol: float = 1e-10, seed: int = 1) -> Eigen:
-    """Block Krylov iteration from a random block: few products of many columns each, for operators whose passes are dear."""
+def block_subspace(op, f: int, oversample: int = 20, passes: int = 200, tol: float = 1e-10, seed: int = 1, allow_partial: bool = False) -> Eigen:
+    """Block Krylov iteration from a random block: few products of many columns each, for operators whose passes are dear.
+
+    Ends when the residuals reach tol, or stand below ROUNDING with values that no longer move; running out of passes is an error unless allowed.
+    """
     f = min(f, op.m)
     width = min(op.m, f + oversample)
     trace = Trace(path="block-subspace")
     block = np.random.default_rng(seed).standard_normal((op.m, width))
     basis = image = np.zeros((op.m, 0))
     before = np.full(f, np.inf)
+    done = False
     for _ in range(passes):
         t0 = time.perf_counter()
         for _ in range(2):
@@ -250,7 +272,10 @@ def block_subspace(op, f: int, oversample: int = 20, passes: int = 12, tol: floa
         values, xi = values[::-1], xi[:, ::-1]
         vectors = basis @ xi[:, :f]
         trace.residuals = np.linalg.norm(image @ xi[:, :f] - vectors * values[:f], axis=0).tolist()
-        if max(trace.residuals) <= tol * max(abs(values[0]), 1e-300) or np.abs(values[:f] - before).max() <= 1e-15 * abs(values[0]) or basis.shape[1] >= op.m:
+        top = max(abs(values[0]), 1e-300)
+        still = np.abs(values[:f] - before).max() <= 1e-15 * top and max(trace.residuals) <= ROUNDING * top
+        done = max(trace.residuals) <= tol * top or still or basis.shape[1] >= op.m
+        if done:
             break
         before = values[:f].copy()
         block = fresh
@@ -259,12 +284,50 @@ def block_subspace(op, f: int, oversample: int = 20, passes: int = 12, tol: floa
             kept = xi[:, : 2 * width]
             basis, image = basis @ kept, image @ kept
     trace.passes = op.passes
+    settled(trace, done, allow_partial)
     return Eigen(values[:f], vectors, trace)
 
 
+def filtered_lanczos(op, f: int, tol: float = 1e-8, degree: int = 8, seed: int = 1, allow_partial: bool = False) -> Eigen:
+    """Lanczos on a Chebyshev filter of a positive semi-definite operator: a short run bounds the unwanted part of the spectrum, which the filter damps."""
+    f = min(f, op.m)
+    look = lanczos(op, min(op.m, f + 1), tol=0.0, max_steps=min(op.m, 3 * f + 30), seed=seed, allow_partial=True)
+    if look.trace.steps == op.m:
+        return Eigen(look.values[:f], look.vectors[:, :f], look.trace)
+    high = 0.95 * max(look.values[-1], 1e-12 * max(look.values[0], 1e-300))
+    scale = lambda x: np.cosh(degree * np.arccosh(max(1.0, 2 * x / high - 1)))
+    # the filter stretches the spectrum, so residuals are asked of the operator itself
+    inner = tol
+    for _ in range(6):
+        found = lanczos(FilteredOperator(op, 0.0, high, degree), f, inner, seed=seed, allow_partial=allow_partial)
+        values = np.einsum("ij,ij->j", found.vectors, images := op.apply(found.vectors))
+        residuals = np.linalg.norm(images - found.vectors * values, axis=0)
+        if residuals.max() <= tol * values.max() or inner < 1e-15:
+            break
+        inner *= min(0.1, scale(values.min()) / scale(values.max()))
+    order = np.argsort(-values, kind="stable")
+    found.trace.path, found.trace.residuals, found.trace.passes = "filtered", residuals[order].tolist(), op.passes
+    settled(found.trace, residuals.max() <= max(tol, ROUNDING) * values.max(), allow_partial)
+    return Eigen(values[order], found.vectors[:, order], found.trace)
+
+
 def dense_eigh(a: np.ndarray, f: int, which: str = "LA") -> Eigen:
     if len(a) > 10_000:
         raise MemoryError(f"{len(a)} items are too many for a dense solve")
     values, vectors = np.linalg.eigh((a + a.T) / 2)
     lead = _order(values, which)[: min(f, len(a))]
     return Eigen(values[lead], vectors[:, lead], Trace(path="dense"))
+
+
+def factor_eigh(w: np.ndarray, f: int) -> Eigen:
+    """The f leading eigenpairs of w'w from the smaller of its two products, for matrices that the driver holds densely."""
+    n, m = w.shape
+    if n >= m:
+        return dense_eigh(w.T @ w, f)
+    values, u = np.linalg.eigh(w @ w.T)
+    lead = np.argsort(-values, kind="stable")[: min(f, n)]
+    values, u = np.maximum(values[lead], 0), u[:, lead]
+    good = values > 1e-14 * max(values[0], 1e-300)
+    vectors = np.zeros((m, len(values)))
+    vectors[:, good] = w.T @ u[:, good] / np.sqrt(values[good])
+    return Eigen(values, vectors, Trace(path="factor"))

@@ -1,4 +1,8 @@
-"""The scaled-proximity latent model: fit, recommend, explain, fold in, save and load."""
+"""The scaled-proximity latent model: fit, recommend, explain, fold in, save and load.
+
+The similarity is cosine, Pearson or Jaccard, or given as pairs (i, j, v); the scaling any of operators.proximity. Solves that do not
+reach the tolerance are errors unless the spec allows them. Vectors that exceed a broadcast are worked through in blocks of items.
+"""
 
 from __future__ import annotations
 
@@ -11,27 +15,29 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from proxrec.plans.planner import choose_operator
+from proxrec.plans.planner import BROADCAST_BYTES, LOCAL_NNZ, PAIR_ITEMS, choose_operator
 
 from . import linalg
-from .gram import GramOperator, batch_csr, pack_rows, row_sums
+from .gram import GramOperator, RowOperator, batch_csr, pack_pairs, pack_rows, relational_subspace, row_sums
 from .linalg import Csr, Eigen
-from .proximity import jaccard_pairs
+from .proximity import NormScaling, jaccard_pairs
+from .ratings import item_stats
 
-#: Scores held at once by a task.
-CELLS = 4_000_000
+#: Scores held at once by a task, and cells of ratings that the driver spreads out densely.
+CELLS, DENSE_CELLS = 4_000_000, 50_000_000
 
 
 @dataclass(frozen=True)
 class ModelSpec:
-    similarity: str = "cosine"  # cosine, pearson, jaccard
+    similarity: str = "cosine"  # cosine, pearson, jaccard, or pairs (given to fit)
     d: float = 0.4
     f: int = 10
-    solver: str = "auto"  # auto, dense, lanczos, thick, block
-    form: str = "auto"  # auto, dense, local, blocks
+    solver: str = "auto"  # auto, dense, lanczos, thick, block, filtered
+    form: str = "auto"  # auto, dense, local, blocks, relational (cosine only)
     project_with: str = "original"  # original rows, or rows scaled as in the rescaled-matrix identity
     seed: int = 1
     tol: float = 1e-10
+    allow_partial: bool = False  # keep factors that did not reach tol; their residuals stand in the trace
 
 
 @dataclass
@@ -54,12 +60,14 @@ class LatentModel:
         return item_index(spark, self.items)
 
     def latent(self, spark: SparkSession) -> DataFrame:
-        """(item_id, item_ix, v array<double>)."""
-        rows = [(k, i, v) for i, (k, v) in enumerate(zip(self.items, self.vectors.tolist(), strict=True))]
-        return spark.createDataFrame(rows, T.StructType([T.StructField("item_id", _key_type(self.items)), T.StructField("item_ix", T.IntegerType()), T.StructField("v", T.ArrayType(T.DoubleType()))]))
+        """(item_id, item_ix, v array<double>, norm)."""
+        m, f = self.vectors.shape
+        v = pa.ListArray.from_arrays(pa.array(np.arange(0, m * f + 1, f) if f else np.zeros(m + 1, int), pa.int32()), pa.array(np.ascontiguousarray(self.vectors).reshape(-1), pa.float64()))
+        table = pa.table({"item_id": pa.array(self.items, pa.string() if isinstance(_key_type(self.items), T.StringType) else pa.int64()), "item_ix": pa.array(range(m), pa.int32()), "v": v, "norm": pa.array(self.norms, pa.float64())})
+        return spark.createDataFrame(table)
 
     def save(self, spark: SparkSession, path: str) -> None:
-        self.latent(spark).withColumn("norm", F.element_at(F.array(*[F.lit(float(x)) for x in self.norms]), F.col("item_ix") + 1) if len(self.norms) <= 5000 else F.lit(None).cast("double")).write.mode("overwrite").parquet(f"{path}/latent")
+        self.latent(spark).write.mode("overwrite").parquet(f"{path}/latent")
         spec = json.dumps(self.spec.__dict__)
         spark.createDataFrame([(spec, self.values.tolist())], "spec string, theta array<double>").write.mode("overwrite").parquet(f"{path}/spec")
 
@@ -67,7 +75,7 @@ class LatentModel:
     def load(cls, spark: SparkSession, path: str) -> LatentModel:
         spec, theta = spark.read.parquet(f"{path}/spec").first()
         rows = spark.read.parquet(f"{path}/latent").orderBy("item_ix").collect()
-        return cls(ModelSpec(**json.loads(spec)), [r["item_id"] for r in rows], np.array([r["norm"] or 0.0 for r in rows]), np.array([r["v"] for r in rows]), np.array(theta), linalg.Trace(path="loaded"))
+        return cls(ModelSpec(**json.loads(spec)), [r["item_id"] for r in rows], np.array([r["norm"] for r in rows], float), np.array([r["v"] for r in rows]), np.array(theta), linalg.Trace(path="loaded"))
 
 
 def _key_type(keys: list) -> T.DataType:
@@ -96,28 +104,47 @@ def triplets(ratings: DataFrame) -> tuple[list, list, np.ndarray, np.ndarray, np
     return user_keys.tolist(), item_keys.tolist(), row, column, t.column(2).to_numpy()
 
 
-def local_operator(row, column, value, n: int, m: int, similarity: str, d: float):
+def scaled_by(s: np.ndarray, divide: np.ndarray) -> np.ndarray:
+    """s / divide, and 0 for items without a scale or a divisor, which so leave the model."""
+    ok = (s > 0) & (divide > 1e-12)
+    out = np.zeros(len(s))
+    out[ok] = s[ok] / divide[ok]
+    return out
+
+
+def both_counts(ones: Csr, m: int) -> np.ndarray:
+    """The users that each pair of items has in common: one dense product where the ratings fit it, else by blocks of columns."""
+    n = ones.shape[0]
+    if n * m <= DENSE_CELLS:
+        dense = np.zeros((n, m), np.float32)
+        dense[ones.row, ones.column] = 1
+        return (dense.T @ dense).astype(np.float64)  # counts below 2**24 are exact
+    both = np.zeros((m, m))
+    for a in range(0, m, 512):
+        unit = np.zeros((m, min(512, m - a)))
+        unit[np.arange(a, a + unit.shape[1]), np.arange(unit.shape[1])] = 1
+        both[:, a : a + unit.shape[1]] = ones.tdot(ones.dot(unit))
+    return both
+
+
+def local_operator(row, column, value, n: int, m: int, similarity: str, d: float, scale: np.ndarray | None = None):
+    """The proximity operator over ratings on the driver, and the items' norms; ``scale`` stands for the norms to the power d."""
     r = Csr(row, column, value, (n, m))
     s1, s2 = np.bincount(column, weights=value, minlength=m), np.bincount(column, weights=value * value, minlength=m)
     norms = np.sqrt(s2)
+    s = weights_of(norms, d, np.ones(m)) if scale is None else np.where(norms > 0, scale, 0)
     if similarity == "cosine":
-        return linalg.LocalOperator(r, weights_of(norms, d)), norms
+        return linalg.LocalOperator(r, scaled_by(s, norms)), norms
     if similarity == "pearson":
         mean = s1 / n
-        return linalg.LocalOperator(r, weights_of(norms, d, np.sqrt(np.maximum(0, s2 / n - mean * mean))), float(n), mean), norms
+        return linalg.LocalOperator(r, scaled_by(s, np.sqrt(np.maximum(0, s2 / n - mean * mean))), float(n), mean), norms
     if similarity == "jaccard":
+        if m > PAIR_ITEMS:
+            raise MemoryError(f"the driver forms Jaccard pairs of {PAIR_ITEMS} items at most; fit with form auto or blocks keeps them on Spark")
         k = np.bincount(column, minlength=m).astype(np.float64)
-        ones = Csr(row, column, np.ones(len(value)), (n, m))
-        if m <= 6000:
-            both = np.zeros((m, m))
-            for a in range(0, m, 512):
-                unit = np.zeros((m, min(512, m - a)))
-                unit[np.arange(a, a + unit.shape[1]), np.arange(unit.shape[1])] = 1
-                both[:, a : a + unit.shape[1]] = ones.tdot(ones.dot(unit))
-            sim = np.where(both > 0, both / np.maximum(k[:, None] + k[None, :] - both, 1), 0)
-            s = np.where(norms > 0, np.power(np.maximum(norms, 1e-300), d), 0)
-            return linalg.DenseOperator(s[:, None] * sim * s[None, :]), norms
-        raise MemoryError("form the Jaccard pairs on Spark for so many items")
+        both = both_counts(Csr(row, column, np.ones(len(value)), (n, m)), m)
+        sim = np.where(both > 0, both / np.maximum(k[:, None] + k[None, :] - both, 1), 0)
+        return linalg.DenseOperator(s[:, None] * sim * s[None, :]), norms
     raise ValueError(similarity)
 
 
@@ -126,55 +153,81 @@ def dense_matrix(op) -> np.ndarray:
 
 
 def solve(op, spec: ModelSpec) -> Eigen:
+    """The spec's factors of an operator; an error if they do not reach its tolerance, unless it allows that."""
     how = spec.solver
+    far = getattr(op, "distributed", False)
     if how == "auto":
-        how = "dense" if op.m <= 3000 and not isinstance(op, GramOperator) else "block" if isinstance(op, GramOperator) else "lanczos"
+        how = "block" if far else "dense" if op.m <= 3000 else "lanczos"
+    more = {"tol": spec.tol, "seed": spec.seed, "allow_partial": spec.allow_partial}
     if how == "dense":
         return linalg.dense_eigh(dense_matrix(op), spec.f)
-    if how == "lanczos":
-        return linalg.lanczos(op, spec.f, spec.tol, seed=spec.seed, allow_partial=True)
-    if how == "thick":
-        return linalg.thick_restart_lanczos(op, spec.f, tol=spec.tol, seed=spec.seed)
-    if how == "block":
-        return linalg.block_subspace(op, spec.f, tol=spec.tol, seed=spec.seed)
+    if how in SOLVERS:
+        return SOLVERS[how](op, spec.f, **more)
     raise ValueError(how)
 
 
-def fit(ratings: DataFrame, spec: ModelSpec) -> LatentModel:
-    """Fits the model. Small relations are solved on the driver; larger ones by block products over packed rows on Spark."""
+SOLVERS = {"lanczos": linalg.lanczos, "thick": linalg.thick_restart_lanczos, "block": linalg.block_subspace, "filtered": linalg.filtered_lanczos}
+
+
+def fit(ratings: DataFrame, spec: ModelSpec, pairs: DataFrame | None = None, scaling=None, weights: DataFrame | None = None) -> LatentModel:
+    """Fits the model. Small relations are solved on the driver; larger ones by block products over packed rows on Spark.
+
+    ``pairs`` (i, j, v), symmetric, is the similarity of a spec whose similarity is "pairs"; absent pairs count as 0. ``scaling`` replaces the norms
+    to the power d; a column that it reads beside the item statistics comes from ``weights`` (item_id and that column; absent items leave the model).
+    """
     spark = ratings.sparkSession
     form = spec.form
+    if (spec.similarity == "pairs") != (pairs is not None):
+        raise ValueError("pairs are given with the similarity pairs, and only with it")
     if form == "auto":
         n, m, nnz = ratings.agg(F.count_distinct("user_id"), F.count_distinct("item_id"), F.count("*")).first()
-        form = choose_operator(n, m, nnz, spec.f).form
-    if form in ("dense", "local"):
+        form = choose_operator(n, m, nnz, spec.f, spec.similarity).form
+    if form == "relational" and (spec.similarity != "cosine" or scaling is not None):
+        form = "blocks"
+    stats = item_stats(ratings)
+    if weights is not None:
+        stats = stats.join(weights, "item_id", "left")
+    if form in ("dense", "local") and pairs is None:
         users, items, row, column, value = triplets(ratings)
-        op, norms = local_operator(row, column, value, len(users), len(items), spec.similarity, spec.d)
+        scale = None if scaling is None else scales(stats, scaling, items)
+        op, norms = local_operator(row, column, value, len(users), len(items), spec.similarity, spec.d, scale)
         found = solve(op, spec)
         return LatentModel(spec, items, norms, found.vectors, found.values, found.trace)
+    known = stats.select("item_id", "norm", "mean", "sd", (scaling or NormScaling(spec.d)).column().alias("s")).orderBy("item_id").toArrow()
+    items = known.column("item_id").to_pylist()
+    norms, mean, sd, s = (np.array(known.column(c).fill_null(0.0)) for c in ("norm", "mean", "sd", "s"))
+    s = np.where(norms > 0, s, 0)
+    index = item_index(spark, items)
     if form == "relational":
-        raise MemoryError("the vectors exceed a broadcast: use operators.gram.relational_power for the leading factor")
-    stats = ratings.groupBy("item_id").agg(F.count("*").alias("k"), F.sum("rating").alias("s1"), F.sum(F.col("rating") * F.col("rating")).alias("s2")).orderBy("item_id").collect()
-    items, k = [r["item_id"] for r in stats], np.array([r["k"] for r in stats], float)
-    s1, s2 = np.array([r["s1"] for r in stats], float), np.array([r["s2"] for r in stats], float)
-    norms = np.sqrt(s2)
-    if spec.similarity == "jaccard":
-        place = {key: i for i, key in enumerate(items)}
-        pairs = jaccard_pairs(ratings).toPandas()
-        op = linalg.PairsOperator(Csr(pairs["i"].map(place).to_numpy(), pairs["j"].map(place).to_numpy(), pairs["v"].to_numpy(), (len(items), len(items))), np.where(norms > 0, norms**spec.d, 0))
+        values, vectors = relational_subspace(ratings, stats.select("item_id", F.pow("norm", F.lit(spec.d - 1)).alias("g")), spec.f, tol=max(spec.tol, 1e-6), allow_partial=spec.allow_partial)
+        rows = vectors.join(index, "item_id").drop("item_id").toArrow()
+        v = np.zeros((len(items), len(values)))
+        v[np.array(rows.column("item_ix"))] = np.stack([np.array(rows.column(f"q{k}")) for k in range(len(values))], 1)
+        return LatentModel(spec, items, norms, v, values, linalg.Trace(path="relational"))
+    if pairs is not None and form in ("dense", "local") and pairs.count() <= LOCAL_NNZ:
+        one, two = index.select(F.col("item_id").alias("i"), F.col("item_ix").alias("a")), index.select(F.col("item_id").alias("j"), F.col("item_ix").alias("b"))
+        t = pairs.join(one, "i").join(two, "j").select("a", "b", F.col("v").cast("double")).toArrow()
+        op, rows = linalg.PairsOperator(Csr(*(np.array(t.column(k)) for k in range(3)), (len(items), len(items))), s), None
+    elif spec.similarity in ("jaccard", "pairs"):
+        rows = pack_pairs(jaccard_pairs(ratings) if pairs is None else pairs, index).persist()
+        op = RowOperator(rows, len(items), s)
     else:
-        rows = pack_rows(ratings, item_index(spark, items)).persist()
-        n = rows.count()
-        mean = s1 / n
-        if spec.similarity == "cosine":
-            op = GramOperator(rows, len(items), weights_of(norms, spec.d))
-        else:
-            op = GramOperator(rows, len(items), weights_of(norms, spec.d, np.sqrt(np.maximum(0, s2 / n - mean * mean))), float(n), mean)
-    del k
-    found = solve(op, spec)
+        rows = pack_rows(ratings, index).persist()
+        op = GramOperator(rows, len(items), scaled_by(s, norms)) if spec.similarity == "cosine" else GramOperator(rows, len(items), scaled_by(s, sd), float(rows.count()), mean)
+    try:
+        found = solve(op, spec)
+    finally:
+        if rows is not None:
+            rows.unpersist()
     return LatentModel(spec, items, norms, found.vectors, found.values, found.trace)
 
 
+def scales(stats: DataFrame, scaling, items: list) -> np.ndarray:
+    """The scaling's values in item order."""
+    found = dict(map(tuple, stats.select("item_id", scaling.column()).collect()))
+    return np.array([found.get(k) or 0.0 for k in items])
+
+
 def best_n(scores: np.ndarray, n: int) -> np.ndarray:
     """Columns of the n largest of a row, by score rounded to 1e-9, then by column; NaN never ranks."""
     s = np.round(scores, 9)
@@ -185,55 +238,106 @@ def best_n(scores: np.ndarray, n: int) -> np.ndarray:
     return ok[np.lexsort((ok, -s[ok]))][:n]
 
 
-def recommend(model: LatentModel, ratings: DataFrame, n: int = 10, exclude_seen: bool = True) -> DataFrame:
-    """(user_id, rank, item_id, score): each user's n best items. V is broadcast (items x f, checked by the planner); users stay where they are."""
-    spark = ratings.sparkSession
-    rows = pack_rows(ratings, model.index(spark))
-    alive = model.norms > 0
+def item_blocks(model: LatentModel, bytes_: int | None = None) -> list[tuple[int, int]]:
+    """Ranges of items whose vectors fit a broadcast each."""
+    m, f = model.vectors.shape
+    step = max(1, (bytes_ or BROADCAST_BYTES) // (8 * max(1, f)))
+    return [(a, min(m, a + step)) for a in range(0, m, step)] or [(0, 0)]
+
+
+def factors(model: LatentModel, rows: DataFrame, blocks: list[tuple[int, int]]) -> DataFrame:
+    """Packed rows (user_id, ix, x) with p, the user's factors: one narrow step a block of items, whose vectors are broadcast."""
+    sc = rows.sparkSession.sparkContext
     scale = np.ones(len(model.norms)) if model.spec.project_with == "original" else weights_of(model.norms, model.spec.d)
-    shared = spark.sparkContext.broadcast((model.vectors, model.items, alive, scale))
+    f = model.vectors.shape[1]
+    schema = T.StructType([*rows.schema.fields, T.StructField("p", T.ArrayType(T.DoubleType()))])
+    for k, (a, b) in enumerate(blocks):
+        shared = sc.broadcast(model.vectors[a:b] * scale[a:b, None])
+
+        def run(batches, a=a, b=b, first=not k, shared=shared):
+            from pyspark.sql.pandas.types import to_arrow_schema
+
+            out = to_arrow_schema(schema)
+            for whole in batches:
+                for at in range(0, whole.num_rows, 1000):
+                    batch = whole.slice(at, 1000)
+                    ends, ix, x = batch_csr(batch)
+                    inside = (ix >= a) & (ix < b)
+                    p = row_sums(ends, np.where(inside, x, 0)[:, None] * shared.value[np.where(inside, ix - a, 0)]) if b > a else np.zeros((batch.num_rows, f))
+                    if not first:
+                        p = p + batch.column("p").flatten().to_numpy().reshape(-1, f)
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(p) + 1) * f, pa.int32()), pa.array(p.reshape(-1)))
+                    yield pa.RecordBatch.from_arrays([batch.column(c).cast(out.field(c).type) for c in out.names[:-1]] + [lists], schema=out)
+
+        rows = rows.mapInArrow(run, schema)
+    return rows
+
+
+def recommend(model: LatentModel, ratings: DataFrame, n: int = 10, exclude_seen: bool = True, block_bytes: int | None = None) -> DataFrame:
+    """(user_id, rank, item_id, score): each user's n best items. Users stay where they are; V is broadcast by blocks of items that fit."""
+    from pyspark.sql import Window
+
+    spark = ratings.sparkSession
+    blocks = item_blocks(model, block_bytes)
+    rows = factors(model, pack_rows(ratings, model.index(spark)), blocks)
     schema = T.StructType([ratings.schema["user_id"], T.StructField("rank", T.IntegerType()), T.StructField("item_id", _key_type(model.items)), T.StructField("score", T.DoubleType())])
+    alive = model.norms > 0
 
-    def run(batches):
-        from pyspark.sql.pandas.types import to_arrow_schema
-
-        v, items, alive, scale = shared.value
-        out = to_arrow_schema(schema)
-        step = max(1, CELLS // max(1, len(items)))
-        for whole in batches:
-            for a in range(0, whole.num_rows, step):
-                batch = whole.slice(a, step)
-                ends, ix, x = batch_csr(batch)
-                scores = row_sums(ends, (x * scale[ix])[:, None] * v[ix]) @ v.T
-                scores[:, ~alive] = np.nan
-                users, ranks, keys, values = [], [], [], []
-                start = 0
-                for i, (user, end) in enumerate(zip(batch.column("user_id").to_pylist(), ends.tolist(), strict=True)):
-                    if exclude_seen:
-                        scores[i, ix[start:end]] = np.nan
-                    start = end
-                    top = best_n(scores[i], n)
-                    users += [user] * len(top)
-                    ranks += range(1, len(top) + 1)
-                    keys += [items[j] for j in top]
-                    values += scores[i, top].tolist()
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip((users, ranks, keys, values), out, strict=True)], schema=out)
-
-    return rows.mapInArrow(run, schema)
+    def best(shared):
+        def run(batches):
+            from pyspark.sql.pandas.types import to_arrow_schema
+
+            first, v, items, alive = shared.value
+            out, f = to_arrow_schema(schema), v.shape[1]
+            step = max(1, CELLS // max(1, len(items)))
+            for whole in batches:
+                for a in range(0, whole.num_rows, step):
+                    batch = whole.slice(a, step)
+                    ends, ix, _ = batch_csr(batch)
+                    ix = ix - first
+                    scores = batch.column("p").flatten().to_numpy().reshape(-1, f) @ v.T
+                    scores[:, ~alive] = np.nan
+                    users, ranks, keys, values = [], [], [], []
+                    start = 0
+                    for i, (user, end) in enumerate(zip(batch.column("user_id").to_pylist(), ends.tolist(), strict=True)):
+                        if exclude_seen:
+                            own = ix[start:end]
+                            scores[i, own[(own >= 0) & (own < len(items))]] = np.nan
+                        start = end
+                        top = best_n(scores[i], n)
+                        users += [user] * len(top)
+                        ranks += range(1, len(top) + 1)
+                        keys += [items[j] for j in top]
+                        values += scores[i, top].tolist()
+                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip((users, ranks, keys, values), out, strict=True)], schema=out)
+
+        return run
+
+    parts = [rows.mapInArrow(best(spark.sparkContext.broadcast((a, model.vectors[a:b], model.items[a:b], alive[a:b]))), schema) for a, b in blocks]
+    if len(parts) == 1:
+        return parts[0]
+    every = parts[0]
+    for part in parts[1:]:
+        every = every.unionByName(part)
+    order = Window.partitionBy("user_id").orderBy(F.desc(F.round("score", 9)), "item_id")
+    return every.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= n)
 
 
 def dot(a: str, b: str):
     return F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
 
 
+def _small(model: LatentModel, latent: DataFrame) -> DataFrame:
+    """The items' vectors, broadcast if they fit."""
+    return F.broadcast(latent) if 8 * model.vectors.size <= BROADCAST_BYTES else latent
+
+
 def score_pairs(model: LatentModel, ratings: DataFrame, pairs: DataFrame) -> DataFrame:
-    """score for the given (user_id, item_id) pairs only: factors of their users, then a join to the items' vectors; 0 for users or items the model lacks."""
+    """score for the given (user_id, item_id) pairs only: factors of their users from packed rows, then a join to the items' vectors; 0 for users or items the model lacks."""
     spark = ratings.sparkSession
-    latent = model.latent(spark)
     users = ratings.join(pairs.select("user_id").distinct(), "user_id", "left_semi")
-    parts = users.join(F.broadcast(latent.select("item_id", "v")), "item_id").select("user_id", F.posexplode(F.transform("v", lambda x: x * F.col("rating"))).alias("k", "p"))
-    factors = parts.groupBy("user_id", "k").agg(F.sum("p").alias("p")).groupBy("user_id").agg(F.array_sort(F.collect_list(F.struct("k", "p"))).alias("p")).select("user_id", F.col("p.p").alias("p"))
-    found = pairs.join(factors, "user_id", "left").join(F.broadcast(latent.select("item_id", "v")), "item_id", "left")
+    own = factors(model, pack_rows(users, model.index(spark)), item_blocks(model)).select("user_id", "p")
+    found = pairs.join(own, "user_id", "left").join(_small(model, model.latent(spark).select("item_id", "v")), "item_id", "left")
     return found.withColumn("score", F.coalesce(dot("p", "v"), F.lit(0.0))).drop("p", "v")
 
 
@@ -242,8 +346,8 @@ def explain(model: LatentModel, ratings: DataFrame, pairs: DataFrame, k: int = 5
     from pyspark.sql import Window
 
     latent = model.latent(ratings.sparkSession)
-    one = F.broadcast(latent.select(F.col("item_id"), F.col("v").alias("target")))
-    own = F.broadcast(latent.select(F.col("item_id").alias("rated_item"), F.col("v").alias("source")))
+    one = _small(model, latent.select(F.col("item_id"), F.col("v").alias("target")))
+    own = _small(model, latent.select(F.col("item_id").alias("rated_item"), F.col("v").alias("source")))
     rated = ratings.select("user_id", F.col("item_id").alias("rated_item"), "rating")
     parts = pairs.join(one, "item_id").join(rated, "user_id").join(own, "rated_item").withColumn("contribution", F.col("rating") * dot("target", "source"))
     order = Window.partitionBy("user_id", "item_id").orderBy(F.desc(F.round("contribution", 9)), "rated_item")

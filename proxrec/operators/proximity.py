@@ -11,6 +11,9 @@ from pyspark.sql import functions as F
 
 from .ratings import item_stats
 
+#: Items of which a similarity that is dense by definition is written out in full.
+FULL_ITEMS = 20_000
+
 
 @dataclass(frozen=True)
 class NormScaling:
@@ -58,6 +61,13 @@ def _with_both(pairs: DataFrame, items: DataFrame) -> DataFrame:
     return pairs.join(one("i"), "i").join(one("j"), "j")
 
 
+def small_enough(items: DataFrame) -> None:
+    """Full matrices are written out for so many items only; the model's product form and ``vector_top`` serve larger sets."""
+    n = items.count()
+    if n > FULL_ITEMS:
+        raise MemoryError(f"{n} items: a matrix of all pairs is written out for {FULL_ITEMS} items at most")
+
+
 def cosine_pairs(ratings: DataFrame) -> DataFrame:
     p = _with_both(co_ratings(ratings), item_stats(ratings).where("norm > 0"))
     return p.select("i", "j", (F.col("dot") / (F.col("norm_i") * F.col("norm_j"))).alias("v"))
@@ -73,6 +83,7 @@ def pearson_pairs(ratings: DataFrame, corated: bool = False) -> DataFrame:
     n = ratings.select("user_id").distinct().count()
     items = item_stats(ratings, n).where("sd > 0")
     # every pair of items: the matrix is dense by definition, so this form is for small item sets only
+    small_enough(items)
     every = items.select(F.col("item_id").alias("i")).crossJoin(items.select(F.col("item_id").alias("j")))
     p = _with_both(every.join(co_ratings(ratings), ["i", "j"], "left"), items)
     return p.select("i", "j", ((F.coalesce("dot", F.lit(0.0)) / n - F.col("mean_i") * F.col("mean_j")) / (F.col("sd_i") * F.col("sd_j"))).alias("v"))
@@ -99,6 +110,7 @@ def minhash_jaccard_pairs(ratings: DataFrame, hashes: int = 64) -> DataFrame:
 def vector_pairs(items: DataFrame, item: str, vector: str) -> DataFrame:
     """Cosine of given item vectors for every pair (a custom similarity); the item set must be small, as in pearson_pairs."""
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
+    small_enough(items)
     a = items.select(F.col(item).alias("i"), F.col(vector).alias("a"))
     b = items.select(F.col(item).alias("j"), F.col(vector).alias("b"))
     return a.crossJoin(b).select("i", "j", (dot("a", "b") / F.sqrt(dot("a", "a") * dot("b", "b"))).alias("v"))
@@ -149,6 +161,15 @@ def vector_top(items: DataFrame, item: str, vector: str, k: int = 20, block: int
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("i", "rank", "j", "v")
 
 
+def neighbour_pairs(items: DataFrame, item: str, vector: str, k: int = 20) -> DataFrame:
+    """(i, j, v): a sparse symmetric similarity from given vectors, for models over content: each item with itself (1) and with those
+    where one is among the other's k most similar. Item keys must be integers, as in vector_top."""
+    near = vector_top(items, item, vector, k).select("i", "j", "v")
+    both = near.unionByName(near.select(F.col("j").alias("i"), F.col("i").alias("j"), "v"))
+    own = items.where(F.col(item).isNotNull()).select(F.col(item).cast("long").alias("i")).distinct().select("i", F.col("i").alias("j"), F.lit(1.0).alias("v"))
+    return both.groupBy("i", "j").agg(F.max("v").alias("v")).unionByName(own)
+
+
 SIMILARITIES = {"cosine": cosine_pairs, "pearson": pearson_pairs, "jaccard": jaccard_pairs}
 
 

@@ -25,19 +25,24 @@ def item_stats(ratings: DataFrame, n_users: int | None = None) -> DataFrame:
     return sums.select("item_id", F.sqrt("s2").alias("norm"), "n_raters", mean.alias("mean"), F.sqrt(F.greatest(F.lit(0.0), F.col("s2") / users - mean * mean)).alias("sd"))
 
 
-def core(ratings: DataFrame, least_users: int, least_items: int, rounds: int = 20) -> DataFrame:
-    """Ratings left when items with few users and users with few items are taken away in turn until none is."""
-    before = -1
-    for _ in range(rounds):
+def core(ratings: DataFrame, least_users: int, least_items: int) -> DataFrame:
+    """Ratings left when items with few users and users with few items are taken away in turn until none is, however many rounds that takes.
+
+    Each round's result is checkpointed, so plans stay short and rounds survive lost executors.
+    """
+    from proxrec.plans.planner import cut
+
+    ratings = cut(ratings)
+    now = ratings.count()
+    while True:
+        before = now
         items = ratings.groupBy("item_id").agg(F.count("*").alias("n")).where(F.col("n") >= least_users).select("item_id")
         ratings = ratings.join(items, "item_id", "left_semi")
         users = ratings.groupBy("user_id").agg(F.count("*").alias("n")).where(F.col("n") >= least_items).select("user_id")
-        ratings = ratings.join(users, "user_id", "left_semi")
+        ratings = cut(ratings.join(users, "user_id", "left_semi"))
         now = ratings.count()
         if now == before:
             return ratings
-        before = now
-    return ratings
 
 
 def density_report(ratings: DataFrame) -> DataFrame:

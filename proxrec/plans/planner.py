@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame
 
 #: Fixed thresholds of the choice; all are sizes that the driver or an executor holds at once.
 DENSE_ITEMS, LOCAL_NNZ, BROADCAST_BYTES = 3_000, 20_000_000, 512_000_000
+#: Items up to which the driver forms a full matrix of pairs (Jaccard has no product form).
+PAIR_ITEMS = 6_000
 
 
 @dataclass(frozen=True)
@@ -19,12 +21,15 @@ class OperatorPlan:
     bytes_on_driver: float
 
 
-def choose_operator(n_users: int, n_items: int, nnz: int, f: int = 50) -> OperatorPlan:
-    """dense: the item matrix is small and cheaper than many passes; local: ratings fit the driver; blocks: vectors fit a broadcast."""
+def choose_operator(n_users: int, n_items: int, nnz: int, f: int = 50, similarity: str = "cosine") -> OperatorPlan:
+    """dense: the item matrix is small and cheaper than many passes; local: ratings fit the driver; blocks: vectors fit a broadcast.
+
+    Similarities without a product form go to blocks, where their pairs stay on Spark, once the driver could not hold the matrix.
+    """
     dense, local, basis = 8.0 * n_items**2, 24.0 * nnz, 8.0 * n_items * (f + 20)
     if n_items <= DENSE_ITEMS and nnz <= LOCAL_NNZ:
         return OperatorPlan("dense", f"{n_items} items: one pass forms the matrix", 2.0 * n_items**2, dense)
-    if nnz <= LOCAL_NNZ:
+    if nnz <= LOCAL_NNZ and (similarity in ("cosine", "pearson") or n_items <= PAIR_ITEMS):
         return OperatorPlan("local", f"{nnz} ratings fit the driver", 4.0 * nnz, local + basis)
     if basis <= BROADCAST_BYTES:
         return OperatorPlan("blocks", f"{basis / 1e6:.0f} MB of vectors are broadcast, rows stay", 4.0 * nnz, 2 * basis)
@@ -42,8 +47,11 @@ def cost_model(n_users: int, n_items: int, nnz: int, f: int, steps: int) -> dict
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Materialises df in the cluster's checkpoint folder; a temporary one is set only where none is named."""
+    """Materialises df in the cluster's checkpoint folder; where none is named, a local session gets a temporary one and a cluster an error."""
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="proxrec-"))
+        folder = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if folder is None and not sc.master.startswith("local"):
+            raise ValueError("name a folder that all executors share in spark.checkpoint.dir")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="proxrec-"))
     return df.checkpoint(eager=True)

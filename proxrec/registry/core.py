@@ -14,7 +14,6 @@ from proxrec.operators.gram import GramOperator, pack_rows, relational_power, re
 from proxrec.operators.model import ModelSpec, fit
 from proxrec.operators.ratings import core as core_filter
 from proxrec.operators.ratings import density_report, item_stats
-from proxrec.plans.planner import choose_operator, cost_model
 from proxrec.sources.workloads import VIEW_SQL, VIEWS
 
 from . import matrix_sql as m
@@ -323,90 +322,3 @@ add(
     lambda s, d: evaluation.rscore(_popular_lists(s, d), [2.0, 5.0, 10.0, 20.0]).select("half_life", r6("rscore").alias("rscore")),
     _NEG + " SELECT half_life, round(avg(1 / pow(2, (hit - 1) / (half_life - 1))), 6) + 0.0 AS rscore FROM h CROSS JOIN (SELECT unnest([2.0, 5.0, 10.0, 20.0])::DOUBLE AS half_life) GROUP BY 1",
 )
-
-
-# experiments (no SQL form: rows only)
-def latent_scorer(spec: ModelSpec):
-    return lambda train, lists: model.score_pairs(fit(train, spec), train, lists)
-
-
-def kernel_scorer(kind: str, **how):
-    def scored(train: DataFrame, lists: DataFrame) -> DataFrame:
-        own = kernels.kernel_scores(train, kind, lists.select("user_id").distinct(), **how)
-        return lists.join(own, ["user_id", "item_id"], "left").withColumn("score", F.coalesce("score", F.lit(-1e300)))
-
-    return scored
-
-
-METHODS = {
-    "latent cosine": latent_scorer(ModelSpec("cosine", 0.4, 10)),
-    "latent pearson": latent_scorer(ModelSpec("pearson", 0.4, 10)),
-    "latent jaccard": latent_scorer(ModelSpec("jaccard", 0.4, 50)),
-    "truncated svd": latent_scorer(ModelSpec("cosine", 1.0, 10)),
-    "forest": kernel_scorer("forest"),
-    "laplacian inverse": kernel_scorer("lapinv"),
-    "commute": kernel_scorer("commute", damping=0.5),
-    "diffusion": kernel_scorer("diffusion", t=2),
-    "entropy": kernel_scorer("entropy", t=2),
-    "popularity": kernels.popularity,
-    "random": lambda train, lists: kernels.random_rank(lists),
-}
-
-
-def compare(spark: SparkSession, ratings: DataFrame, scenario, methods: list[str]) -> DataFrame:
-    """method, mrr, recall_10, n_cases of a scenario."""
-    out = None
-    for name in methods:
-        lists = evaluation.evaluate(scenario, ratings, METHODS[name])
-        hits = evaluation.first_hits(lists).agg(F.avg(F.coalesce(1 / F.col("hit"), F.lit(0.0))).alias("mrr"), F.avg(F.when(F.col("hit") <= 10, 1.0).otherwise(0.0)).alias("recall_10"), F.count("*").alias("n_cases"))
-        one = hits.select(F.lit(name).alias("method"), r6("mrr").alias("mrr"), r6("recall_10").alias("recall_10"), "n_cases")
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-_FAST = ["latent cosine", "latent jaccard", "truncated svd", "entropy", "forest", "popularity", "random"]
-add("x1_standard", lambda s, d: compare(s, _terms(s, d), evaluation.Standard(0.05), ["latent cosine", "truncated svd", "popularity"]))
-add("x3_methods", lambda s, d: compare(s, _terms(s, d), evaluation.Standard(0.05), _FAST))
-add("x4_long_tail", lambda s, d: compare(s, _terms(s, d), evaluation.LongTail(0.05), ["latent cosine", "truncated svd", "popularity"]))
-add("x5_new_community_33", lambda s, d: compare(s, _terms(s, d), evaluation.NewCommunity(0.33, 0.05), ["latent cosine", "truncated svd", "popularity"]))
-add("x6_new_users", lambda s, d: compare(s, _terms(s, d), evaluation.NewUsers(), ["latent cosine", "truncated svd", "popularity"]))
-
-
-add("x5_new_community_66", lambda s, d: compare(s, _terms(s, d), evaluation.NewCommunity(0.66, 0.05), ["latent cosine", "truncated svd", "popularity"]))
-METHODS |= {"jaccard f=241 d=0.2": latent_scorer(ModelSpec("jaccard", 0.2, 241, form="local")), "jaccard f=270 d=0.4": latent_scorer(ModelSpec("jaccard", 0.4, 270, form="local"))}
-add("x11_reported_settings", lambda s, d: compare(s, _terms(s, d), evaluation.Standard(0.05), ["jaccard f=241 d=0.2", "jaccard f=270 d=0.4"]))
-
-
-def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """MRR of the standard protocol over the scaling exponent; candidates and split are made once."""
-    from proxrec.plans.planner import cut
-
-    ratings = cut(_terms(spark, sf_dir))
-    train, cases = evaluation.Standard(0.05).split(ratings)
-    train, lists = cut(train), cut(evaluation.candidates(cases, ratings))
-    out = None
-    for d in (-1.0, 0.0, 0.2, 0.4, 1.0, 2.0):
-        one = evaluation.mrr(evaluation.ranked(model.score_pairs(fit(train, ModelSpec("cosine", d, 50)), train, lists))).select(F.lit(d).alias("d"), r6("mrr").alias("mrr"), "n_cases")
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-add("x2_scaling_sweep", _sweep)
-
-
-def _steps(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lanczos steps, residuals and modelled costs by number of factors; times are left to the benchmark."""
-    out = []
-    for view in ("doc_terms", "purchases"):
-        users, items, row, column, value = model.triplets(VIEWS[view](spark, sf_dir))
-        for f in (5, 10, 50):
-            op, _ = model.local_operator(row, column, value, len(users), len(items), "cosine", 0.2)
-            found = linalg.lanczos(op, f, 1e-8, allow_partial=True)
-            costs = cost_model(len(users), len(items), len(value), f, found.trace.steps)
-            plan = choose_operator(len(users), len(items), len(value), f)
-            out.append((view, f, found.trace.steps, found.trace.passes, float(max(found.trace.residuals) / found.values[0]), costs["product_flops"], costs["orthogonalisation_flops"], plan.form))
-    return spark.createDataFrame(out, "view string, f int, steps int, passes int, residual double, product_flops double, orthogonalisation_flops double, form string")
-
-
-add("x7_lanczos_steps", _steps)
-add("x9_end_to_end", lambda s, d: model.recommend(fit(r := VIEWS["purchases"](s, d), ModelSpec("cosine", 0.4, 20, tol=1e-4)), r, 10))

@@ -30,7 +30,7 @@ def test_operator_equals_explicit_matrix(kind, d):
     assert np.allclose(op.apply(x), a @ x)
 
 
-@pytest.mark.parametrize("solver", ["lanczos", "twice", "thick", "block", "filtered"])
+@pytest.mark.parametrize("solver", ["lanczos", "twice", "thick", "block", "filtered", "filter"])
 def test_solvers_equal_dense(solver):
     _, op, _ = problem()
     want = linalg.dense_eigh(op.apply(np.eye(op.m)), 3)
@@ -39,12 +39,14 @@ def test_solvers_equal_dense(solver):
     elif solver == "block":
         got = linalg.block_subspace(op, 3, oversample=6, passes=60)
     elif solver == "filtered":
+        got = linalg.filtered_lanczos(op, 3, 1e-10)
+    elif solver == "filter":
         inner = linalg.dense_eigh(op.apply(np.eye(op.m)), op.m).values
         got = linalg.lanczos(linalg.FilteredOperator(op, inner[-1], inner[6], 4), 3)
     else:
         got = linalg.lanczos(op, 3, reorth={"lanczos": "full"}.get(solver, solver))
     assert np.abs(got.vectors @ got.vectors.T - want.vectors @ want.vectors.T).max() < 1e-6
-    if solver != "filtered":
+    if solver != "filter":
         assert np.allclose(got.values, want.values)
 
 
@@ -65,11 +67,38 @@ def test_all_factors_and_breakdown():
 
 
 def test_without_reorthogonalisation_the_basis_degrades():
-    _, op, _ = problem(n=300, m=120)
-    plain = linalg.lanczos(op, 5, max_steps=100, tol=0, reorth="none", allow_partial=True)
-    full = linalg.lanczos(op, 5, max_steps=100, tol=0, allow_partial=True)
-    off = lambda e: np.abs(e.vectors.T @ e.vectors - np.eye(5)).max()
-    assert off(full) < 1e-8 and full.trace.steps == 100 and plain.trace.steps == 100
+    """Three-term steps alone lose orthogonality once values converge, and then find copies of them; full steps do not."""
+    spectrum = np.concatenate([[100.0, 90.0, 80.0], np.linspace(1, 0.1, 297)])
+    op = linalg.DenseOperator(np.diag(spectrum))
+    plain = linalg.lanczos(op, 6, max_steps=120, tol=0, reorth="none", allow_partial=True)
+    full = linalg.lanczos(op, 6, max_steps=120, tol=0, allow_partial=True)
+    off = lambda e: np.abs(e.vectors.T @ e.vectors - np.eye(6)).max()
+    assert off(full) < 1e-10 and np.allclose(full.values[:3], [100, 90, 80]) and full.values[3] < 1.01
+    assert off(plain) > 1e-2 and plain.values[1] > 99  # a ghost of the largest value
+
+
+def flat(m=400):
+    return linalg.DenseOperator(np.diag(np.concatenate([[2.0], 1 + np.linspace(0, 1e-3, m - 1)])))
+
+
+def test_unfinished_solves_are_errors():
+    for solve in (
+        lambda **k: linalg.block_subspace(flat(), 20, oversample=2, passes=3, **k),
+        lambda **k: linalg.thick_restart_lanczos(flat(), 20, width=24, restarts=2, **k),
+        lambda **k: linalg.lanczos(flat(), 20, max_steps=30, **k),
+    ):
+        with pytest.raises(ArithmeticError):
+            solve()
+        assert max(solve(allow_partial=True).trace.residuals) > 1e-6
+    done = linalg.lanczos(flat(120), 20)  # goes on until the basis spans the space
+    assert max(done.trace.residuals) < 1e-7
+
+
+def test_smaller_product_gives_the_same_factors():
+    w = np.random.default_rng(2).standard_normal((12, 40))
+    for a in (w, w.T):
+        got, want = linalg.factor_eigh(a, 5), linalg.dense_eigh(a.T @ a, 5)
+        assert np.allclose(got.values, want.values) and np.allclose(got.vectors @ got.vectors.T, want.vectors @ want.vectors.T)
 
 
 def test_zero_norm_items_leave():

@@ -1,7 +1,7 @@
 import numpy as np
 import pytest
 
-from proxrec.operators import evaluation, kernels, model
+from proxrec.operators import evaluation, experiments, gram, kernels, model, proximity
 from proxrec.operators.model import ModelSpec, fit
 from proxrec.operators.ratings import canonical
 
@@ -52,6 +52,141 @@ def test_save_and_load(ratings, spark, tmp_path):
     assert np.allclose(back.phi(), fitted.phi()) and back.spec == fitted.spec
 
 
+def test_large_models_keep_their_norms(spark, tmp_path):
+    """5001 items: nothing changes by size when a model is saved, loaded and used."""
+    m = 5001
+    fitted = model.LatentModel(ModelSpec(f=2), list(range(m)), np.ones(m), np.random.default_rng(1).standard_normal((m, 2)), np.ones(2), model.linalg.Trace())
+    own = spark.createDataFrame([(1, 7, 2.0), (2, 4999, 1.0)], "user_id long, item_id long, rating double")
+    before = sorted(map(tuple, model.recommend(fitted, own, 5).collect()))
+    fitted.save(spark, str(tmp_path / "m"))
+    back = model.LatentModel.load(spark, str(tmp_path / "m"))
+    assert (back.norms == 1).all() and sorted(map(tuple, model.recommend(back, own, 5).collect())) == before and len(before) == 10
+
+
+def test_items_in_blocks_give_the_same(ratings):
+    fitted = fit(ratings, ModelSpec("cosine", 0.4, 3))
+    want = sorted((r["user_id"], r["rank"], r["item_id"], round(r["score"], 9)) for r in model.recommend(fitted, ratings, 3).collect())
+    got = sorted((r["user_id"], r["rank"], r["item_id"], round(r["score"], 9)) for r in model.recommend(fitted, ratings, 3, block_bytes=3 * 3 * 8).collect())
+    assert len(model.item_blocks(fitted, 72)) == 3 and got == want
+
+
+def test_partial_sums_meet_in_bounded_groups(ratings, spark, monkeypatch):
+    """Many tasks and small chunks: the tree of sums equals one sum, and no task reads more than FAN_IN values of a chunk."""
+    users, items, row, column, value = model.triplets(ratings)
+    rows = gram.pack_rows(ratings, model.item_index(spark, items)).repartition(13, "user_id")
+    x = np.random.default_rng(0).standard_normal((len(items), 3))
+    want = matrix().T @ (matrix() @ x)
+    monkeypatch.setattr(gram, "DRIVER_SUMS", 0)
+    monkeypatch.setattr(gram, "CHUNK_BYTES", 48)
+    op = gram.GramOperator(rows, len(items), np.ones(len(items)))
+    assert op.tasks == 13 and np.allclose(op.gram(x), want)
+    partial, _, chunk = op.partial(x)
+    assert chunk == 2 and partial.groupBy("chunk").count().agg({"count": "max"}).first()[0] == 13
+    plan = gram.summed(partial, 10_000)._jdf.queryExecution().toString()
+    assert plan.count("FlatMapGroupsInPandas") >= 3  # 10,000 tasks: three levels of 32
+    assert np.allclose(gram.GramOperator(rows, len(items), np.ones(len(items))).apply(x), want)
+
+
+def test_jaccard_pairs_stay_on_spark_beyond_the_driver(ratings, monkeypatch):
+    want = fit(ratings, ModelSpec("jaccard", 0.4, 3))
+    monkeypatch.setattr("proxrec.plans.planner.PAIR_ITEMS", 5)
+    monkeypatch.setattr("proxrec.plans.planner.DENSE_ITEMS", 5)
+    got = fit(ratings, ModelSpec("jaccard", 0.4, 3))
+    assert got.trace.path == "block-subspace" and np.abs(got.phi() - want.phi()).max() < 1e-6
+
+
+def test_relational_form_finds_several_factors(ratings):
+    want = fit(ratings, ModelSpec("cosine", 0.4, 3))
+    got = fit(ratings, ModelSpec("cosine", 0.4, 3, form="relational"))
+    assert np.allclose(got.values, want.values, rtol=1e-6) and np.abs(got.phi() - want.phi()).max() < 1e-4
+
+
+def test_given_pairs_and_other_scalings(ratings, spark):
+    """A similarity given as pairs, by raters and by a joined weight, against the matrices."""
+    r = matrix()
+    norms, k = np.linalg.norm(r, axis=0), (r > 0).sum(0)
+    cosine = (r.T @ r) / np.outer(norms, norms)
+    lead = lambda a: np.linalg.eigh(a)[1][:, -2:] @ np.linalg.eigh(a)[1][:, -2:].T
+    pairs = proximity.cosine_pairs(ratings)
+    for form in ("auto", "blocks"):
+        got = fit(ratings, ModelSpec("pairs", 0.4, 2, form=form), pairs=pairs)
+        assert np.abs(got.phi() - lead(np.outer(norms**0.4, norms**0.4) * cosine)).max() < 1e-6
+    weights = spark.createDataFrame([(i, 1.0 + i) for i in range(8)], "item_id long, w double")
+    for scaling, s, more in ((proximity.CountScaling(0.5), k**0.5, None), (proximity.PropensityScaling("w", -1.0), 1 / (1.0 + np.arange(8)), weights)):
+        for form in ("auto", "blocks"):
+            got = fit(ratings, ModelSpec("cosine", 9.0, 2, form=form), scaling=scaling, weights=more)
+            assert np.abs(got.phi() - lead(np.outer(s, s) * cosine)).max() < 1e-6
+    with pytest.raises(ValueError):
+        fit(ratings, ModelSpec("pairs", 0.4, 2))
+
+
+def test_content_pairs_are_symmetric(spark):
+    table = spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet")
+    rows = {(r["i"], r["j"]): r["v"] for r in proximity.neighbour_pairs(table, "vec_id", "embedding", 3).collect()}
+    assert all(abs(rows[j, i] - v) < 1e-12 for (i, j), v in rows.items()) and all(rows[i, i] == 1 for i, _ in rows)
+
+
+def test_core_goes_on_until_stable(spark):
+    """A chain that loses one item and one user a round takes more rounds than any fixed number."""
+    from proxrec.operators.ratings import core
+
+    rows = [(u, i, 1.0) for u in range(30) for i in (u, u + 1)]
+    chain = spark.createDataFrame(rows, "user_id long, item_id long, rating double")
+    assert core(chain, 2, 2).count() == 0
+
+
+@pytest.mark.parametrize("kind", list(kernels.GRID))
+def test_dense_graph_equals_the_solvers(ratings, kind):
+    """Every kernel and parameter by the decomposition equals the one by products with the graph; a second component and a lone item included."""
+    rows = [(u, i) for u, i, _ in ROWS] + [(20, 8), (21, 9), (20, 9)]
+    row, column = map(np.array, zip(*rows, strict=True))
+    g = kernels.Graph(row, column, np.ones(len(row)), 22, 11)
+    dense, who = kernels.DenseGraph(g), np.arange(22)
+    for how in kernels.GRID[kind]:
+        want, got = kernels.user_rows(g, kind, who, **how), dense.rows(kind, who, **how)
+        live = g.degree[22:] > 0
+        assert np.abs(want[:, live] - got[:, live]).max() < 1e-6 * max(1, np.abs(want).max()), how
+
+
+def test_ranks_of_the_harness_equal_ranked_lists(ratings):
+    """The packed ranks equal those of the plain lists, for latent, kernel and popularity scores."""
+    scenario = evaluation.Standard(0.3)
+    prepared = experiments.prepare(scenario, ratings, 3)
+    lists = experiments.lists_of(prepared)
+    train, cases = scenario.split(ratings)
+    assert lists.count() == evaluation.candidates(cases, ratings, 3).count() and cases.count() > 3
+    fitted = fit(prepared.train, ModelSpec("cosine", 0.4, 3))
+    got = {r["case_id"]: r["hit"] for r in experiments.latent_hits(prepared, "x", [("d=0.4", fitted)], [1, 3]).where("setting = 'd=0.4 f=3'").collect()}
+    want = {r["case_id"]: r["hit"] for r in experiments.scored_hits(model.score_pairs(fitted, prepared.train, lists), "x", "y").collect()}
+    assert got == want and len(got) == cases.count()
+    own = experiments.Proximities(prepared.train, "cosine").fit(0.4, 3)
+    assert np.abs(own.phi() - fitted.phi()).max() < 1e-8
+    grid = {"forest": [{}], "commute": [{"damping": 0.5}]}
+    key = lambda df: sorted((r["method"], r["setting"], r["case_id"], r["hit"]) for r in df.collect())
+    assert key(experiments.kernel_methods(prepared, grid)) == key(experiments._kernel_lists(prepared, grid))
+    table = {(r["measure"], r["k"]): r["value"] for r in experiments.measures(experiments.plain_methods(prepared).where("method = 'popularity'"), ("method",)).collect()}
+    plain = evaluation.ranked(kernels.popularity(prepared.train, lists.drop("tail")))
+    assert abs(table["mrr", 0] - evaluation.mrr(plain).first()["mrr"]) < 1e-6
+    assert all(abs(table["recall", r["k"]] - r["recall"]) < 1e-6 and abs(table["precision", r["k"]] - r["precision"]) < 1e-6 for r in evaluation.recall_at(plain).collect())
+    assert all(abs(table["ndcg", r["k"]] - r["ndcg"]) < 1e-6 for r in evaluation.ndcg_at(plain).collect())
+    assert all(abs(table["rscore", int(r["half_life"])] - r["rscore"]) < 1e-6 for r in evaluation.rscore(plain, [2.0, 20.0]).collect())
+    best = experiments.tuned(experiments.latent_methods(prepared, [0.2, 0.4], [1, 2], ("cosine",)))
+    assert best.select("setting").distinct().count() == 1
+
+
+def test_head_items_equal_the_running_sum(ratings):
+    counts = {}
+    for _, i, _ in ROWS:
+        counts[i] = counts.get(i, 0) + 1
+    for share in (0.1, 1 / 3, 0.9):
+        before, want = 0, {}
+        for i in sorted(counts, key=lambda i: (-counts[i], i)):
+            if before < len(ROWS) * share:
+                want[i] = (counts[i], before)
+            before += counts[i]
+        assert {r["item_id"]: (r["n"], r["before"]) for r in evaluation.head_items(ratings, share).collect()} == want
+
+
 def test_kernels_equal_inverses(ratings):
     users, items, row, column, value = model.triplets(ratings)
     g = kernels.Graph(row, column, np.ones(len(value)), len(users), len(items))
