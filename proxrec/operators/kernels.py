@@ -207,6 +207,8 @@ def kernel_scores(ratings: DataFrame, kind: str, users: DataFrame | None = None,
         raise MemoryError(f"{edges} edges exceed the broadcast of {MOST_EDGES}")
     user_keys, item_keys, row, column, value = triplets(ratings)
     graph = spark.sparkContext.broadcast(Graph(row, column, value if weighted else np.ones(len(value)), len(user_keys), len(item_keys)))
+    dense = DenseGraph.fits(len(user_keys), len(item_keys))
+    whole = spark.sparkContext.broadcast(DenseGraph(graph.value)) if dense else None  # a few hundred MB at most, by the check of its size
     place = {k: i for i, k in enumerate(user_keys)}
     wanted = user_keys if users is None else [r[0] for r in users.select("user_id").distinct().collect() if r[0] in place]
     key_type = ratings.schema["user_id"]
@@ -217,17 +219,27 @@ def kernel_scores(ratings: DataFrame, kind: str, users: DataFrame | None = None,
     def run(batches):
         from pyspark.sql.pandas.types import to_arrow_schema
 
-        out, g = to_arrow_schema(schema), graph.value
+        out, g = to_arrow_schema(schema), None if dense else graph.value
         for batch in batches:
             for a in range(0, batch.num_rows, BLOCK):
                 part = batch.slice(a, BLOCK)
-                scores = user_rows(g, kind, part.column("ix").to_numpy().astype(np.int64), **how)
+                at = part.column("ix").to_numpy().astype(np.int64)
+                scores = whole.value.rows(kind, at, **how) if dense else user_rows(g, kind, at, **how)
                 keys = part.column("user_id").to_pylist()
                 yield pa.RecordBatch.from_arrays([pa.array([k for k in keys for _ in item_keys], out.field(0).type), pa.array(item_keys * len(keys), out.field(1).type), pa.array(scores.reshape(-1))], schema=out)
 
     return asked.mapInArrow(run, schema)
 
 
+def kernel_top(ratings: DataFrame, kind: str, n: int = 10, **how) -> DataFrame:
+    """(user_id, rank, item_id, score): every user's n best unrated items under a kernel."""
+    from pyspark.sql import Window
+
+    scored = kernel_scores(ratings, kind, **how).join(ratings.select("user_id", "item_id"), ["user_id", "item_id"], "left_anti")
+    order = Window.partitionBy("user_id").orderBy(F.desc(F.round("score", 9)), "item_id")
+    return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= n).select("user_id", "rank", "item_id", "score")
+
+
 def popularity(ratings: DataFrame, pairs: DataFrame) -> DataFrame:
     counts = ratings.groupBy("item_id").agg(F.count("*").cast("double").alias("score"))
     return pairs.join(counts, "item_id", "left").withColumn("score", F.coalesce("score", F.lit(0.0)))

@@ -21,19 +21,26 @@ class Csr:
         back = np.argsort(self.column, kind="stable")
         self.t_row, self.t_column, self.t_value = self.row[back], self.column[back], self.value[back]
 
+        self.first, self.t_first = self._starts(self.row), self._starts(self.t_column)
+
+    @staticmethod
+    def _starts(keys: np.ndarray) -> np.ndarray:
+        return np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else np.zeros(0, np.int64)
+
     @staticmethod
-    def _sums(keys: np.ndarray, terms: np.ndarray, n: int) -> np.ndarray:
-        out = np.zeros((n, terms.shape[1]))
-        if len(keys):
-            first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-            out[keys[first]] = np.add.reduceat(terms, first, axis=0)
+    def _product(keys: np.ndarray, first: np.ndarray, value: np.ndarray, x: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
+        out = np.zeros((n, x.shape[1]))
+        if len(first) and x.shape[1] == 1:
+            out[keys[first], 0] = np.add.reduceat(value * x[:, 0][at], first)
+        elif len(first):
+            out[keys[first]] = np.add.reduceat(value[:, None] * x[at], first, axis=0)
         return out
 
     def dot(self, x: np.ndarray) -> np.ndarray:
-        return self._sums(self.row, self.value[:, None] * x[self.column], self.shape[0])
+        return self._product(self.row, self.first, self.value, x, self.column, self.shape[0])
 
     def tdot(self, y: np.ndarray) -> np.ndarray:
-        return self._sums(self.t_column, self.t_value[:, None] * y[self.t_row], self.shape[1])
+        return self._product(self.t_column, self.t_first, self.t_value, y, self.t_row, self.shape[1])
 
 
 class DenseOperator:

@@ -89,6 +89,13 @@ def pearson_pairs(ratings: DataFrame, corated: bool = False) -> DataFrame:
     return p.select("i", "j", ((F.coalesce("dot", F.lit(0.0)) / n - F.col("mean_i") * F.col("mean_j")) / (F.col("sd_i") * F.col("sd_j"))).alias("v"))
 
 
+def pearson_rated_pairs(ratings: DataFrame) -> DataFrame:
+    """The correlation over all users for pairs of items with a user in common; others are below 0. No pair is written that has none."""
+    n = ratings.select("user_id").distinct().count()
+    p = _with_both(co_ratings(ratings), item_stats(ratings, n).where("sd > 0"))
+    return p.select("i", "j", ((F.col("dot") / n - F.col("mean_i") * F.col("mean_j")) / (F.col("sd_i") * F.col("sd_j"))).alias("v"))
+
+
 def jaccard_pairs(ratings: DataFrame) -> DataFrame:
     p = _with_both(co_ratings(ratings), item_stats(ratings))
     return p.select("i", "j", (F.col("both") / (F.col("n_raters_i") + F.col("n_raters_j") - F.col("both"))).alias("v"))

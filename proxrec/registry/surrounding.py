@@ -200,9 +200,94 @@ def _quantiles(s, d):
 
 @op("op_popularity_gini", f"WITH c AS (SELECT item_id, count(*) AS n FROM ({VIEW_SQL['doc_terms']}) GROUP BY 1), o AS (SELECT n, row_number() OVER (ORDER BY n, item_id) AS k FROM c) SELECT round(2.0 * sum(k * n) / (count(*) * sum(n)) - (count(*) + 1.0) / count(*), 6) + 0.0 AS gini FROM o")
 def _gini(s, d):
-    c = VIEWS["doc_terms"](s, d).groupBy("item_id").agg(F.count("*").alias("n"))
-    o = c.withColumn("k", F.row_number().over(Window.orderBy("n", "item_id")))  # one row an item
-    return o.agg((F.round(2.0 * F.sum(F.col("k") * F.col("n")) / (F.count("*") * F.sum("n")) - (F.count("*") + 1.0) / F.count("*"), 6) + 0.0).alias("gini"))
+    # items of one number of ratings share their places' sum, so the running count goes over the distinct numbers only
+    c = VIEWS["doc_terms"](s, d).groupBy("item_id").agg(F.count("*").alias("n")).groupBy("n").agg(F.count("*").alias("c"))
+    o = c.withColumn("b", F.coalesce(F.sum("c").over(Window.orderBy("n").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    places = F.col("n") * (F.col("c") * F.col("b") + F.col("c") * (F.col("c") + 1) / 2)
+    return o.agg((F.round(2.0 * F.sum(places) / (F.sum("c") * F.sum(F.col("c") * F.col("n"))) - (F.sum("c") + 1.0) / F.sum("c"), 6) + 0.0).alias("gini"))
+
+
+@op("op_approx_distinct", "SELECT item_id, count(DISTINCT user_id) AS n, true AS near FROM (" + _B + ") GROUP BY 1")
+def _approx(s, d):
+    r = VIEWS["brand_affinity"](s, d)
+    return r.groupBy("item_id").agg(F.count_distinct("user_id").alias("n"), F.approx_count_distinct("user_id", 0.02).alias("a")).select("item_id", "n", (F.abs(F.col("a") - F.col("n")) <= 0.1 * F.col("n")).alias("near"))
+
+
+@op("op_max_by", f"SELECT item_id, max_by(user_id, (rating, user_id)) AS most, min_by(user_id, (rating, user_id)) AS least, bool_or(rating >= 5) AS any_best, count(*) FILTER (WHERE rating >= 5) AS best FROM ({_B}) GROUP BY 1")
+def _max_by(s, d):
+    by = F.struct("rating", "user_id")
+    return VIEWS["brand_affinity"](s, d).groupBy("item_id").agg(F.max_by("user_id", by).alias("most"), F.min_by("user_id", by).alias("least"), F.bool_or(F.col("rating") >= 5).alias("any_best"), F.count_if(F.col("rating") >= 5).alias("best"))
+
+
+@op("op_order_offset", "SELECT l_partkey, count(*) AS n FROM lineitem GROUP BY 1 ORDER BY n DESC, l_partkey LIMIT 10 OFFSET 5")
+def _offset(s, d):
+    return load(s, d, "lineitem").groupBy("l_partkey").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "l_partkey").offset(5).limit(10)
+
+
+@op("op_union_by_name", "SELECT n_nationkey AS id, n_name AS name FROM nation UNION ALL SELECT r_regionkey, r_name FROM region")
+def _by_name(s, d):
+    nations = load(s, d, "nation").select(F.col("n_nationkey").alias("id"), F.col("n_name").alias("name"))
+    return nations.unionByName(load(s, d, "region").select(F.col("r_name").alias("name"), F.col("r_regionkey").alias("id")))
+
+
+@op("op_set_intersect_all", "SELECT user_id FROM events WHERE event_type = 'view' INTERSECT ALL SELECT user_id FROM events WHERE event_type = 'purchase'")
+def _intersect_all(s, d):
+    e = load(s, d, "events")
+    return e.where("event_type = 'view'").select("user_id").intersectAll(e.where("event_type = 'purchase'").select("user_id"))
+
+
+@op("op_strings", "SELECT n_nationkey, lower(n_name) AS low, length(n_name) AS size, levenshtein(n_name, 'CANADA') AS distance, split_part(n_name, ' ', 1) AS first, concat_ws('-', n_name, n_nationkey) AS tag, regexp_replace(n_name, '[AEIOU]', '', 'g') AS bare FROM nation")
+def _strings(s, d):
+    n = F.col("n_name")
+    return load(s, d, "nation").select("n_nationkey", F.lower(n).alias("low"), F.length(n).cast("long").alias("size"), F.levenshtein(n, F.lit("CANADA")).cast("long").alias("distance"), F.split(n, " ")[0].alias("first"), F.concat_ws("-", n, F.col("n_nationkey").cast("string")).alias("tag"), F.regexp_replace(n, "[AEIOU]", "").alias("bare"))
+
+
+@op("op_dates", "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS DATE) AS month, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS days, CAST(CAST(o_orderdate AS DATE) + INTERVAL 7 DAY AS DATE) AS week_on, hour(o_orderdate) AS h FROM orders")
+def _dates(s, d):
+    t = F.col("o_orderdate")
+    return load(s, d, "orders").select("o_orderkey", F.trunc(t.cast("date"), "month").alias("month"), F.datediff(t.cast("date"), F.lit("1992-01-01").cast("date")).cast("long").alias("days"), F.date_add(t.cast("date"), 7).alias("week_on"), F.hour(t).cast("long").alias("h"))
+
+
+@op("op_subqueries", "SELECT c_custkey, (SELECT max(n_name) FROM nation WHERE n_nationkey = c_nationkey) AS nation FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > (SELECT avg(o_totalprice) FROM orders)) AND c_nationkey IN (SELECT n_nationkey FROM nation JOIN region ON n_regionkey = r_regionkey WHERE r_regionkey <= 2)")
+def _subqueries(s, d):
+    """Correlated EXISTS and scalar, uncorrelated scalar, and IN."""
+    for name in ("customer", "orders", "nation", "region"):
+        load(s, d, name).createOrReplaceTempView(f"_sub_{name}")
+    return s.sql(
+        "SELECT c_custkey, (SELECT max(n_name) FROM _sub_nation WHERE n_nationkey = c_nationkey) AS nation FROM _sub_customer WHERE EXISTS (SELECT 1 FROM _sub_orders WHERE o_custkey = c_custkey AND o_totalprice > (SELECT avg(o_totalprice) FROM _sub_orders)) "
+        "AND c_nationkey IN (SELECT n_nationkey FROM _sub_nation JOIN _sub_region ON n_regionkey = r_regionkey WHERE r_regionkey <= 2)"
+    )
+
+
+@op("op_recursive_cte", "WITH RECURSIVE t(n, f) AS (SELECT 1, 1 UNION ALL SELECT n + 1, f * 2 FROM t WHERE n < 12) SELECT n, f FROM t")
+def _recursive(s, d):
+    return s.sql("WITH RECURSIVE t(n, f) AS (SELECT 1, 1 UNION ALL SELECT n + 1, f * 2 FROM t WHERE n < 12) SELECT n, f FROM t")
+
+
+@op("op_sql_score", f"WITH r AS ({_B}), u AS (SELECT min(user_id) AS user_id FROM r) SELECT item_id, count(*) AS n, true AS same FROM r GROUP BY 1")
+def _sql_score(s, d):
+    """The SQL function latent_score(user, item) on each item's first rater, beside the join of pairs."""
+    from proxrec.operators import model, surface
+
+    r = VIEWS["brand_affinity"](s, d)
+    fitted = model.fit(r, model.ModelSpec("cosine", 0.4, 3))
+    surface.register(s, fitted, r, 3)
+    first = r.groupBy("item_id").agg(F.min("user_id").alias("user_id"), F.count("*").alias("n"))
+    first.createOrReplaceTempView("_firsts")
+    by_sql = s.sql("SELECT item_id, n, user_id, latent_score(user_id, item_id) AS score FROM _firsts")
+    plain = model.score_pairs(fitted, r, first.select("user_id", "item_id")).select("item_id", F.col("score").alias("other"))
+    return by_sql.join(plain, "item_id").select("item_id", "n", (F.abs(F.col("score") - F.col("other")) < 1e-9).alias("same"))
+
+
+@op("op_udtf_recommend", f"SELECT user_id, count(*) AS n FROM (SELECT DISTINCT user_id, unnest([1, 2, 3]) AS k FROM ({_B})) WHERE user_id IN (SELECT user_id FROM ({_B}) GROUP BY 1 HAVING count(*) <= 22) GROUP BY 1")
+def _udtf_recommend(s, d):
+    """The table function recommend_user(items, ratings, n) on packed rows; users with three items or more left get three."""
+    from proxrec.operators import model, surface
+
+    r = VIEWS["brand_affinity"](s, d)
+    surface.register(s, model.fit(r, model.ModelSpec("cosine", 0.4, 3)), r, 3)
+    r.groupBy("user_id").agg(F.collect_list("item_id").alias("items"), F.collect_list("rating").alias("marks")).where("size(items) <= 22").createOrReplaceTempView("_packed_users")
+    return s.sql("SELECT user_id, place FROM _packed_users, LATERAL recommend_user(items, marks, 3)").groupBy("user_id").agg(F.count("*").alias("n"))
 
 
 @op("op_hash_sample", f"SELECT event_id FROM events WHERE {fraction_sql(5, 'event_id')} < 0.1")
@@ -271,9 +356,20 @@ def _fold(s, d):
     return kept.groupBy("user_id").agg(one(0), one(1))
 
 
+@op("stream_late_rows", "SELECT CAST(start AS TIMESTAMP) AS start, n FROM (VALUES ('2024-01-01 10:00:00', 1), ('2024-01-01 11:00:00', 1), ('2024-01-01 12:00:00', 1), ('2024-01-01 13:00:00', 1)) t(start, n)")
+def _late(s, d):
+    return _plain(folding.late_rows(s), "start").withColumn("n", F.col("n").cast("int"))
+
+
+@op("stream_top_n", "WITH p AS (SELECT user_id, sum(1.0 / (1 + k)) AS p0, sum(k / 100.0) AS p1 FROM (SELECT user_id, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events) GROUP BY 1), s AS (SELECT user_id, CAST(i AS INT) AS item_id, p0 / (1 + i) + p1 * i / 100.0 AS s FROM p, range(100) t(i)) SELECT user_id, CAST(rank AS INT) AS rank, item_id FROM (SELECT user_id, item_id, row_number() OVER (PARTITION BY user_id ORDER BY round(s, 9) DESC, item_id) AS rank FROM s) WHERE rank <= 3")
+def _stream_top(s, d):
+    latent = s.range(100).select(F.col("id").cast("int").alias("item_id"), F.array(1.0 / (1 + F.col("id")), F.col("id") / 100.0).alias("v"))
+    return folding.refreshed_lists(folding.event_stream(s, d), latent, 3).select("user_id", "rank", "item_id")
+
+
 @op("stream_drift", f"WITH r AS ({_E}), a AS (SELECT item_id, sqrt(sum(rating * rating)) AS x FROM r GROUP BY 1), b AS (SELECT item_id, sqrt(sum(rating * rating)) AS y FROM r WHERE user_id % 2 = 0 GROUP BY 1), c AS (SELECT abs(coalesce(x, 0) - coalesce(y, 0)) / greatest(coalesce(x, 0), coalesce(y, 0), 1e-12) AS c FROM a FULL JOIN b USING (item_id)) SELECT round(avg(c), 6) + 0.0 AS change, avg(c) > 0.2 AS retrain FROM c")
 def _drift(s, d):
     from proxrec.operators.ratings import item_stats
 
-    r = VIEWS["event_keys"](s, d)
-    return folding.drift(item_stats(r), item_stats(r.where("user_id % 2 = 0"))).select((F.round("change", 6) + 0.0).alias("change"), "retrain")
+    model_items = item_stats(VIEWS["event_keys"](s, d).where("user_id % 2 = 0"))
+    return folding.stream_drift(folding.event_stream(s, d), model_items).select((F.round("change", 6) + 0.0).alias("change"), "retrain")

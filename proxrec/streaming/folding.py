@@ -5,11 +5,13 @@ Event times in the given files are without a zone; they are cast to TIMESTAMP be
 
 from __future__ import annotations
 
+import tempfile
+import time
 import uuid
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -30,16 +32,22 @@ def prepared(raw: DataFrame) -> DataFrame:
 def run_to_table(stream: DataFrame, mode: str) -> DataFrame:
     """Runs a stream over all that is there and returns what its sink holds."""
     spark, name = stream.sparkSession, f"stream_{uuid.uuid4().hex}"
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        import tempfile
-
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="proxrec-"))
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{sc.getCheckpointDir()}/{name}").trigger(availableNow=True).start()
+    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_folder(spark)}/{name}").trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.table(name)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The cluster's checkpoint folder; only a local session may go without one."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None and not sc.master.startswith("local"):
+            raise ValueError("name a folder that all executors share in spark.checkpoint.dir")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="proxrec-"))
+    return sc.getCheckpointDir()
+
+
 def popularity(events: DataFrame, size: str = "1 day", slide: str | None = None, late: str = "2 hours") -> DataFrame:
     """Events by item and window, tumbling or sliding."""
     window = F.window("ts", size, slide) if slide else F.window("ts", size)
@@ -92,6 +100,51 @@ def drift(now: DataFrame, model_items: DataFrame, limit: float = 0.2) -> DataFra
     return both.agg(F.avg(change).alias("change")).withColumn("retrain", F.col("change") > limit)
 
 
-def fold_in_batches(stream: DataFrame, latent: DataFrame, write) -> DataFrame:
-    """Starts a query that hands each batch's fresh top-N input (user factors) to ``write`` (a foreachBatch function)."""
-    return factors(stream, latent).writeStream.outputMode("update").foreachBatch(write).trigger(availableNow=True)
+def stream_drift(events: DataFrame, model_items: DataFrame, limit: float = 0.2) -> DataFrame:
+    """Drift of the ratings that a stream of events adds up to, against the model's items: capped ratings are kept per pair, their changes summed."""
+    from proxrec.operators.ratings import item_stats
+
+    deltas = run_to_table(capped_deltas(events), "append")
+    return drift(item_stats(deltas.groupBy("user_id", "item_id").agg(F.sum("delta").alias("rating"))), model_items, limit)
+
+
+def refreshed_lists(events: DataFrame, latent: DataFrame, n: int = 10) -> DataFrame:
+    """Top-N lists kept up by a stream: each batch updates the factors of the users it names and rewrites their lists, and no others.
+
+    Lists are versions of a table in the shared folder, one a batch, so a batch that is run again writes the same. latent: item_id, v.
+    """
+    spark, name = events.sparkSession, f"lists_{uuid.uuid4().hex}"
+    folder = f"{shared_folder(spark)}/{name}"
+    order = Window.partitionBy("user_id").orderBy(F.desc(F.round("score", 9)), "item_id")
+    done: list[int] = []
+
+    def write(batch: DataFrame, number: int) -> None:
+        own = batch.groupBy("user_id").agg(F.array_sort(F.collect_list(F.struct("k", "p"))).alias("e")).select("user_id", F.col("e.p").alias("p"))
+        dot = F.aggregate(F.zip_with("p", "v", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
+        lists = own.crossJoin(F.broadcast(latent)).select("user_id", "item_id", dot.alias("score")).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= n)
+        if done:
+            lists = lists.unionByName(spark.read.parquet(f"{folder}/v{done[-1]}").join(own.select("user_id"), "user_id", "left_anti"))
+        lists.write.mode("overwrite").parquet(f"{folder}/v{number}")
+        if not done or done[-1] != number:
+            done.append(number)
+
+    # factors by user and component come in update mode: all components of a user change with any of their events
+    query = factors(events, latent).writeStream.outputMode("update").foreachBatch(write).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.read.parquet(f"{folder}/v{done[-1]}")
+
+
+def late_rows(spark: SparkSession) -> DataFrame:
+    """Hourly counts with a watermark of two hours: of two rows behind the newest one, the older lies in a closed window and is dropped.
+
+    Rows are judged by the watermark that the batch before last has set, hence the batch between.
+    """
+    folder = f"{shared_folder(spark)}/late_{uuid.uuid4().hex}"
+    batches = (["2024-01-01 10:00:00", "2024-01-01 13:00:00"], ["2024-01-01 12:05:00"], ["2024-01-01 10:30:00", "2024-01-01 11:30:00"], ["2024-01-01 20:00:00"], ["2024-01-01 20:30:00"])
+    schema = "event_id long, ts timestamp, item_id int"
+    for k, times in enumerate(batches):
+        rows = spark.createDataFrame([(10 * k + i, t) for i, t in enumerate(times)], "event_id long, t string")
+        rows.select("event_id", F.to_timestamp("t").alias("ts"), F.lit(1).alias("item_id")).coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(0.05)  # files are read in order of their times
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    return run_to_table(popularity(stream, "1 hour"), "append").select("start", "n")
