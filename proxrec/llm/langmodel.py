@@ -25,15 +25,15 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import crc_bucket, load, slices
+from .common import crc_bucket, give_back, load, slices
 from .eliasfano import NgramTrie
 from .neardup import mix, words_of
 
 #: Weights of pairs and of single words against one triple; chosen by the probability of held-out texts.
 PAIR, SINGLE = 0.01, 10.0
-SHARDS, SHARD_TOKENS = 64, 2_400_000
+SHARDS, SHARD_TOKENS = 64, 1_200_000
 #: A word with more tokens than this, in training, is dealt to all shards.
-SPREAD = SHARD_TOKENS // 8
+SPREAD = SHARD_TOKENS // 4
 #: Documents, and characters of text, that are dealt as one batch.
 BATCH_ROWS, BATCH_CHARS = 16_000, 6_000_000
 HELD = 1 << 15  # bit of a document's number within its batch
@@ -44,7 +44,7 @@ END, BEGIN = np.uint64(1), np.uint64(2)
 class Words:
     """62-bit hashes of tokens, remembered up to a bound; 0 to 2 are left free for the marks."""
 
-    def __init__(self, remembered: int = 400_000):
+    def __init__(self, remembered: int = 200_000):
         self.known: dict[str, int] = {}
         self.remembered = remembered
 
@@ -179,6 +179,8 @@ def dealt(docs: DataFrame, shards: int, frequent: list[int]) -> DataFrame:
                 k, n, p, m = zip(*rows[at : at + 16], strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array(k, pa.int32()), pa.array(n, pa.int64()), pa.array(p, pa.binary()), pa.array(m, pa.binary())], names=["shard", "batch", "payload", "meta"])
             number += 1
+        del words
+        give_back()
 
     return docs.mapInArrow(run, "shard int, batch long, payload binary, meta binary")
 
@@ -201,6 +203,7 @@ def shard_scores(payloads: list[bytes], n: int, v: int, frequent: dict[int, int]
         thirds.append(far.view("<u4")[:, 0])
     distinct, inverse = np.unique(np.concatenate(words), return_inverse=True)
     word = np.repeat(inverse.astype(np.int32), np.concatenate(counts))
+    del words, counts, inverse, payloads
     doc = np.concatenate(docs)
     learnt = (doc & HELD) == 0
     c = np.bincount(word[learnt], minlength=len(distinct)).astype(np.float64)
@@ -214,6 +217,7 @@ def shard_scores(payloads: list[bytes], n: int, v: int, frequent: dict[int, int]
     pair_of = pair_of.astype(np.int32)
     triples, triple_of = np.unique((pair_of.astype(np.uint64) << np.uint64(24)) | np.concatenate(thirds), return_inverse=True)
     triple_of = triple_of.astype(np.int32)
+    del lows, thirds, docs
     c2, c3 = np.bincount(pair_of[learnt], minlength=len(pairs)), np.bincount(triple_of[learnt], minlength=len(triples))
     parent, parent3 = (pairs >> np.uint64(32)).astype(np.int64), (triples >> np.uint64(24)).astype(np.int64)
     # the trie of what training has seen
@@ -265,7 +269,9 @@ def score(docs: DataFrame, held, id_col: str = "doc_id", text_col: str = "text",
     shards = SHARDS * max(1, -(-stats["total"] // (SHARDS * SHARD_TOKENS)))
 
     def scored(pdf: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"batch": pdf["batch"], "sums": shard_scores(list(pdf["payload"]), n, v, frequent, pair, single), "meta": pdf["meta"]})
+        out = pd.DataFrame({"batch": pdf["batch"], "sums": shard_scores(list(pdf["payload"]), n, v, frequent, pair, single), "meta": pdf["meta"]})
+        give_back()
+        return out
 
     id_type = docs.schema[id_col].dataType.simpleString()
 
