@@ -215,7 +215,7 @@ def _popular_sql(rated: str, probe: str, best: float, train: str, tail: bool) ->
         "WHERE NOT EXISTS (SELECT 1 FROM r0 WHERE r0.user_id = u.user_id AND r0.item_id = i.item_id)), "
         "l AS (SELECT c.case_id, c.user_id, f.item_id, false AS is_target FROM c JOIN f USING (user_id) WHERE k <= 1000 UNION ALL SELECT case_id, user_id, item_id, true FROM c), "
         "n AS (SELECT item_id, count(*) AS n FROM tr GROUP BY 1), "
-        f"sc AS (SELECT 'popularity' AS method, l.*, CAST(coalesce(n, 0) AS DOUBLE) AS s FROM l LEFT JOIN n USING (item_id) UNION ALL SELECT 'random', l.*, {fraction_sql(42, 'user_id', 'item_id')} FROM l), "
+        f"sc AS (SELECT 'popularity' AS method, l.*, CAST(coalesce(n, 0) AS DOUBLE) AS s FROM l LEFT JOIN n USING (item_id) UNION ALL SELECT 'random', l.*, {fraction_sql(97, 'user_id', 'item_id')} FROM l), "
         "h AS (SELECT method, rank AS hit FROM (SELECT method, is_target, row_number() OVER (PARTITION BY method, case_id ORDER BY round(s, 9) DESC, item_id) AS rank FROM sc) WHERE is_target), "
         "ks AS (SELECT CAST(unnest(generate_series(1, 20)) AS INT) AS k), hl AS (SELECT CAST(unnest([2, 5, 10, 20]) AS INT) AS k) "
         "SELECT method, 'mrr' AS measure, CAST(0 AS INT) AS k, round(avg(1.0 / hit), 6) + 0.0 AS value, count(*) AS n_cases FROM h GROUP BY 1 UNION ALL "

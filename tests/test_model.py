@@ -174,6 +174,13 @@ def test_ranks_of_the_harness_equal_ranked_lists(ratings):
     assert best.select("setting").distinct().count() == 1
 
 
+def test_random_order_is_independent_of_the_split(ratings):
+    """Held-out items have small hashes under the split's seed; a random ranking must not see that."""
+    _, probe = evaluation.probe_split(ratings, 0.3)
+    mean = kernels.random_rank(probe.select("user_id", "item_id")).agg({"score": "avg"}).first()[0]
+    assert mean > 0.35
+
+
 def test_head_items_equal_the_running_sum(ratings):
     counts = {}
     for _, i, _ in ROWS:
