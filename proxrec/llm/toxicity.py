@@ -8,7 +8,7 @@ shares of toxic and of other rows judged rightly. The cut belongs to the model.
 Defined results: null and empty texts have no features and get the base rate; documents without a label, or labels without a
 document, are left out of the fit; repeated documents are scored row by row; null grades are ignored; an input column named like
 a result column is replaced; with no labelled rows, or one grade only, every probability is the smoothed share of the grades. Where the held-back
-rows are fewer than LEAST_HELD of either kind, the cut is DEFAULT_CUT.
+rows are fewer than LEAST_HELD of either kind, the cut is DEFAULT_CUT; a model without a word calls nothing toxic.
 """
 
 from __future__ import annotations
@@ -35,6 +35,8 @@ MIN_G2 = 24.0
 L2 = 1e-4
 #: Every fourth row of the sample is held back; fewer rows of a kind than LEAST_HELD set no cut.
 HELD_BACK, LEAST_HELD, DEFAULT_CUT = 4, 5, 0.5
+#: Above every probability.
+NEVER = 2.0
 
 
 @dataclass(frozen=True)
@@ -196,7 +198,7 @@ def train(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col:
     own, held = [r for i, r in enumerate(found) if i % HELD_BACK], found[::HELD_BACK]
     plain = OrdinalModel(*fit(graded(own) if max([g for g, _ in own], default=0) <= 1 else own))
     p_toxic = np.array([1 - plain.probabilities(plain.packed_score(p))[0] for _, p in held])
-    return OrdinalModel(plain.weights, plain.thresholds, best_cut(p_toxic, np.array([g > 0 for g, _ in held], bool)))
+    return OrdinalModel(plain.weights, plain.thresholds, best_cut(p_toxic, np.array([g > 0 for g, _ in held], bool)) if plain.weights else NEVER)
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -47,3 +47,20 @@ def test_near_copies_between_80_and_85_percent_go(spark, tmp_path):
     docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in texts], "doc_id long, text string, lang string, source string, n_chars long")
     left = {r["doc_id"] for r in corpus_pipeline.drop_near_duplicates(spark, docs, str(tmp_path)).collect()}
     assert left == set(range(24)) - {2 * k + 1 for k in range(8)}
+
+
+def test_pipeline_on_odd_rows(spark, tmp_path):
+    """Null, empty and very long texts, repeated rows, a null id, and columns that the stages' results are named like."""
+    rng = np.random.default_rng(9)
+    long = " ".join("".join(rng.choice(list("abcdefgh"), 6)) for _ in range(40_000))
+    texts = [(1, None), (2, ""), (3, long), (4, "one two three four five six"), (4, "one two three four five six"), (5, "a b c d e f g"), (None, "p q r s t u v"), (6, long + " end")]
+    extra = {"secrets": "string", "n_hit": "int", "toxic": "string", "P_toxic": "double", "kept": "boolean", "component_id": "long", "decoded": "string", "hit_items": "string"}
+    rows = [(i, t, "en", "s", "own", 7, "t", 0.5, False, 99, "d", "h") for i, t in texts]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, " + ", ".join(f"{k} {v}" for k, v in extra.items())).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    spark.createDataFrame([(None, None), (1, "")], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    done = corpus_pipeline.run(spark, str(tmp_path))
+    got = done.collect()
+    assert sorted((r["doc_id"] if r["doc_id"] is not None else -1) for r in got) == [-1, 1, 2, 3, 4, 4, 5]
+    assert all((r["secrets"], r["n_hit"], r["toxic"], r["P_toxic"], r["kept"], r["component_id"], r["decoded"], r["hit_items"]) == ("own", 7, "t", 0.5, False, 99, "d", "h") for r in got)
+    assert "n_chars" not in done.columns and {r["doc_id"]: r["n_tokens"] for r in got}[1] == 0
