@@ -84,18 +84,19 @@ def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 add("x2_scaling_sweep", _sweep)
 
 
-def _community(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Nested communities of 33 %, 66 % and all ratings: standard and long-tail halves, every method tuned on each."""
-    ratings, out = cut(VIEWS["doc_terms"](spark, sf_dir)), None
-    for share in (0.33, 0.66, 1.0):
-        hits = all_methods(experiments.prepare(NewCommunity(share, 0.05), ratings))
-        for half, part in (("standard", hits), ("tail", hits.where("tail"))):
-            one = experiments.tuned(part).where("measure = 'mrr'").select(F.lit(share).alias("share"), F.lit(half).alias("test"), "method", "setting", "value", "n_cases")
-            out = one if out is None else out.unionByName(one)
-    return out
+def _community(share: float) -> Callable[[SparkSession, str], DataFrame]:
+    """A community of so many of the ratings, nested in the larger ones: standard and long-tail halves, every method tuned on each."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        hits = cut(all_methods(experiments.prepare(NewCommunity(share, 0.05), cut(VIEWS["doc_terms"](spark, sf_dir)))))
+        halves = hits.withColumn("test", F.lit("standard")).unionByName(hits.where("tail").withColumn("test", F.lit("tail")))
+        return experiments.tuned(halves, ("test",))
+
+    return run
 
 
-add("x5_new_community", _community)
+for _share, _name in ((0.33, "33"), (0.66, "66"), (1.0, "100")):
+    add(f"x5_new_community_{_name}", _community(_share))
 add("x6_new_users", lambda s, d: experiments.tuned(all_methods(experiments.prepare(NewUsers(), cut(VIEWS["doc_terms"](s, d))))))
 
 
