@@ -105,3 +105,39 @@ def test_zero_norm_items_leave():
     from proxrec.operators.model import weights_of
 
     assert weights_of(np.array([0.0, 2.0]), -1.0).tolist() == [0.0, 0.25]
+
+
+def test_factors_above_a_cut_are_all_found(spark):
+    from proxrec.operators.gram import relational_subspace
+    from proxrec.operators.model import ModelSpec, fit
+    from proxrec.operators.ratings import item_stats
+
+    dense = np.abs(np.random.default_rng(5).standard_normal((60, 6)) @ np.random.default_rng(6).standard_normal((6, 20)))
+    rows = [(u, i, float(dense[u, i])) for u in range(60) for i in range(20)]
+    ratings = spark.createDataFrame(rows, "user_id long, item_id long, rating double")
+    g = np.linalg.norm(dense, axis=0) ** -0.6
+    values, vectors = np.linalg.eigh(g[:, None] * (dense.T @ dense) * g)
+    least = float((values[-6] + values[-7]) / 2)  # six above, where the search begins with three
+    want = vectors[:, -6:] @ vectors[:, -6:].T
+    for solver in ("dense", "lanczos", "block"):
+        fitted = fit(ratings, ModelSpec("cosine", 0.4, 3, solver=solver, form="local", least=least))
+        assert len(fitted.values) == 6 and np.abs(fitted.phi() - want).max() < 1e-6
+    found, relation = relational_subspace(ratings, item_stats(ratings).selectExpr("item_id", "pow(norm, -0.6D) AS g"), 3, least=least)
+    v = np.array([list(r)[1:] for r in relation.orderBy("item_id").collect()])
+    assert len(found) == 6 and np.abs(v @ v.T - want).max() < 1e-3
+
+
+def test_ratings_beyond_the_driver_stay_on_spark(spark, monkeypatch):
+    from proxrec.operators import model
+
+    draw = np.random.default_rng(8)
+    rows = [(u, i, float(draw.integers(1, 6))) for u in range(80) for i in range(12) if draw.random() < (i + 2) / 16]
+    ratings = spark.createDataFrame(rows, "user_id long, item_id long, rating double")
+    want = {k: model.fit(ratings, model.ModelSpec(k, 0.4, 2, form="local")) for k in ("cosine", "pearson", "jaccard")}
+    monkeypatch.setattr(model, "LOCAL_NNZ", 0)
+    monkeypatch.setattr(model, "triplets", lambda _: (_ for _ in ()).throw(AssertionError("ratings on the driver")))
+    for kind, one in want.items():
+        for solver in ("dense", "lanczos", "filtered"):
+            other = model.fit(ratings, model.ModelSpec(kind, 0.4, 2, form="local", solver=solver))
+            assert other.items == one.items and np.allclose(other.values, one.values) and np.abs(other.phi() - one.phi()).max() < 1e-8
+    assert model.choose_operator(10**6, 25, 10**8).form == "dense"
