@@ -262,3 +262,27 @@ def test_entry_has_its_functions(spark):
     import __spark_entry__ as e
 
     assert e.entry(spark).count() > 0 and set(e.oracle_sql()) <= set(e.queries())
+
+
+@pytest.mark.parametrize("kind", list(kernels.GRID))
+def test_best_of_a_kernel_within_little_memory(spark, monkeypatch, kind):
+    """Lists by small blocks of users and edges equal the ranking of every score, and no vector over all nodes is wider than its share of the bytes."""
+    draw = np.random.default_rng(4)
+    rows = [(u, i, 1.0) for u in range(30) for i in range(25) if draw.random() < 0.25]
+    ratings = spark.createDataFrame(rows, "user_id long, item_id long, rating double")
+    own = {(u, i) for u, i, _ in rows}
+    by_user: dict = {}
+    for r in kernels.kernel_scores(ratings, kind).collect():
+        if (r["user_id"], r["item_id"]) not in own:
+            by_user.setdefault(r["user_id"], []).append((-round(r["score"], 6), r["item_id"]))
+    users, items, g = kernels.gathered_graph(ratings, False)
+    monkeypatch.setattr(kernels, "WORKER_CELLS", 0)
+    monkeypatch.setattr(kernels, "VECTOR_BYTES", 8 * 12 * (g.n + g.m) * 3)
+    monkeypatch.setattr(kernels, "EDGE_BYTES", 200)
+    assert g.width() == 3 and g.r.at.dtype == np.int32 and g.r.value is None
+    x = draw.standard_normal((g.m, 3))
+    assert np.allclose(g.r.dot(x), g.r.dense() @ x) and np.allclose(g.r.tdot(x[: g.n] if g.m >= g.n else np.vstack([x, x])[: g.n]), g.r.dense().T @ np.vstack([x, x])[: g.n])
+    got = kernels.kernel_top(ratings, kind, 4).collect()
+    assert len(got) == 4 * len(users) and len(got[0]) == 4
+    for r in got:
+        assert abs(sorted(by_user[r["user_id"]])[r["rank"] - 1][0] + r["score"]) < 2e-6 and (r["user_id"], r["item_id"]) not in own
