@@ -141,3 +141,25 @@ def test_ratings_beyond_the_driver_stay_on_spark(spark, monkeypatch):
             other = model.fit(ratings, model.ModelSpec(kind, 0.4, 2, form="local", solver=solver))
             assert other.items == one.items and np.allclose(other.values, one.values) and np.abs(other.phi() - one.phi()).max() < 1e-8
     assert model.choose_operator(10**6, 25, 10**8).form == "dense"
+
+
+def test_block_solve_keeps_to_its_bytes(monkeypatch):
+    from proxrec.operators import linalg
+
+    m, f = 400, 5
+    r = np.random.default_rng(3).standard_normal((900, m)) * np.linspace(3, 1, m)
+    a = r.T @ r
+    widest, plain = [0], linalg.np.hstack
+
+    def watched(parts):
+        out = plain(parts)
+        widest[0] = max(widest[0], out.shape[1])
+        return out
+
+    monkeypatch.setattr(linalg, "BLOCK_BYTES", 8 * m * 8)
+    monkeypatch.setattr(linalg, "BASIS_BYTES", 16 * m * 30)
+    monkeypatch.setattr(linalg.np, "hstack", watched)
+    found = linalg.block_subspace(linalg.DenseOperator(a), f, tol=1e-8)
+    monkeypatch.undo()
+    want = np.linalg.eigvalsh(a)[::-1][:f]
+    assert np.allclose(found.values, want) and widest[0] <= 30 + 9 and max(found.trace.residuals) <= 1e-7 * want[0]
