@@ -163,3 +163,19 @@ def test_block_solve_keeps_to_its_bytes(monkeypatch):
     monkeypatch.undo()
     want = np.linalg.eigvalsh(a)[::-1][:f]
     assert np.allclose(found.values, want) and widest[0] <= 30 + 9 and max(found.trace.residuals) <= 1e-7 * want[0]
+
+def test_relational_form_parts_close_values_at_the_cut(spark):
+    from proxrec.operators.gram import relational_subspace
+
+    # groups of two items of their own users: every group has one value, 1 % above that of the next
+    rows = [(u, i, (100 * 1.005**group if u % 2 == i % 2 else 1.0)) for group in range(16) for u in (2 * group, 2 * group + 1) for i in (2 * group, 2 * group + 1)]
+    ratings = spark.createDataFrame(rows, "user_id int, item_id int, rating double")
+    r = np.zeros((32, 32))
+    for u, i, x in rows:
+        r[u, i] = x
+    at, xi = np.linalg.eigh(r.T @ r)
+    least = float(at[-9:-7].mean())
+    v = xi[:, at > least]
+    found, relation = relational_subspace(ratings, ratings.selectExpr("item_id", "1D AS g").distinct(), 3, rounds=40, least=least)
+    got = relation.toPandas().sort_values("item_id").drop(columns="item_id").to_numpy()
+    assert len(found) == v.shape[1] and np.abs(got @ got.T - v @ v.T).max() < 1e-8
