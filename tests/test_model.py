@@ -286,3 +286,24 @@ def test_best_of_a_kernel_within_little_memory(spark, monkeypatch, kind):
     assert len(got) == 4 * len(users) and len(got[0]) == 4
     for r in got:
         assert abs(sorted(by_user[r["user_id"]])[r["rank"] - 1][0] + r["score"]) < 2e-6 and (r["user_id"], r["item_id"]) not in own
+
+
+def test_a_fit_works_its_ratings_out_once(spark, monkeypatch):
+    monkeypatch.setattr(model, "LOCAL_NNZ", 10)
+    read = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    rows = [(u, i, float((u * i) % 5 + 1)) for u in range(20) for i in range(6) if (u + i) % 3]
+    table = spark.createDataFrame(rows, "user_id long, item_id long, rating double")
+    for kind in ("cosine", "jaccard"):
+        before = read.value
+        model.fit(table.mapInArrow(counted, table.schema), ModelSpec(kind, 0.4, 1, form="local"))
+        assert read.value - before == len(rows)
+    kept = table.persist()
+    model.fit(kept, ModelSpec("cosine", 0.4, 1, form="local"))
+    assert kept.storageLevel.useMemory  # the caller's own
+    kept.unpersist()
