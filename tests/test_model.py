@@ -307,3 +307,27 @@ def test_a_fit_works_its_ratings_out_once(spark, monkeypatch):
     model.fit(kept, ModelSpec("cosine", 0.4, 1, form="local"))
     assert kept.storageLevel.useMemory  # the caller's own
     kept.unpersist()
+
+
+def test_a_kernel_works_its_ratings_out_once(spark):
+    """The ratings are counted, indexed and packed for the graph, but read from their source once; nothing of them stays."""
+    read = spark.sparkContext.accumulator(0)
+
+    def noted(batches):
+        for batch in batches:
+            read.add(batch.num_rows)
+            yield batch
+
+    rows = spark.createDataFrame([(u, i, 1.0) for u in range(12) for i in range(u % 3, 9)], "user_id long, item_id long, rating double").mapInArrow(noted, "user_id long, item_id long, rating double")
+    assert kernels.kernel_top(rows, "forest", 3).count() and read.value == 96
+    assert not rows.storageLevel.useDisk
+
+
+def test_edges_out_of_order_are_those_in_order():
+    rng = np.random.default_rng(3)
+    at = rng.permutation(np.flatnonzero(rng.random(60) < 0.5))
+    row, column, value = at // 10, at % 10, rng.random(len(at))
+    dense = np.zeros((6, 10))
+    dense[row, column] = value
+    edges = kernels.Edges(row, column, value, (6, 10))
+    assert np.allclose(edges.dense(), dense) and np.allclose(edges.dot(np.eye(10)), dense) and np.allclose(edges.tdot(np.eye(6)), dense.T)
