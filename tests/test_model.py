@@ -331,3 +331,21 @@ def test_edges_out_of_order_are_those_in_order():
     dense[row, column] = value
     edges = kernels.Edges(row, column, value, (6, 10))
     assert np.allclose(edges.dense(), dense) and np.allclose(edges.dot(np.eye(10)), dense) and np.allclose(edges.tdot(np.eye(6)), dense.T)
+
+
+def test_entropy_rows_hold_few_copies(monkeypatch):
+    """Of the users' rows over all nodes and of their scores there are three arrays at a time, besides a step's vectors."""
+    import tracemalloc
+
+    rng = np.random.default_rng(5)
+    n, m = 3000, 400
+    monkeypatch.setattr(kernels, "EDGE_BYTES", 100_000)
+    at = np.flatnonzero(rng.random(n * m) < 0.01)
+    g = kernels.Graph(at // m, at % m, None, n, m)
+    users = np.arange(300)
+    g.width = lambda arrays=12: 8  # narrow steps
+    tracemalloc.start()
+    kernels.user_rows(g, "entropy", users, t=2)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 8 * len(users) * (2 * (n + m) + m) * 1.2
