@@ -31,6 +31,28 @@ def vocabulary():
     return bpe.public_vocabulary()
 
 
+def test_bpe_spells_ids_without_an_arrow_object_each(vocabulary):
+    import time
+
+    import pyarrow as pa
+
+    lists = [list(range(a, a + 20_000)) for a in (0, 1000, 2000)]
+    column = pa.array([*lists, None, []], pa.list_(pa.int32()))
+    assert bpe.spelled(column.slice(1), vocabulary.decoder) == [*(b"".join(vocabulary.decoder[i] for i in x) for x in lists[1:]), b"", b""]
+    with pytest.raises(ValueError, match="not in the vocabulary"):
+        bpe.spelled(pa.array([[1, 10**6]]), vocabulary.decoder)
+
+    def best(f):
+        took = []
+        for _ in range(5):
+            t = time.thread_time()
+            f()
+            took.append(time.thread_time() - t)
+        return min(took)
+
+    assert best(lambda: bpe.spelled(column, vocabulary.decoder)) < best(column.to_pylist)
+
+
 def test_bpe(spark, docs, none, vocabulary):
     import public_tokenizers
     import tiktoken
