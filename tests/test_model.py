@@ -349,3 +349,22 @@ def test_entropy_rows_hold_few_copies(monkeypatch):
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert peak < 8 * len(users) * (2 * (n + m) + m) * 1.2
+
+
+@pytest.mark.parametrize("value", [False, True])
+def test_sums_by_groups_of_rows(monkeypatch, value):
+    """Rows that go alone, full and part groups and empty rows give the matrix' products; a solve takes the users that its own vectors leave room for."""
+    rng = np.random.default_rng(6)
+    dense = (rng.random((40, 30)) < 0.3) * (rng.random((40, 30)) if value else 1.0)
+    dense[[3, 39]], dense[:, 7], dense[5] = 0, 0, 1
+    row, column = np.nonzero(dense)
+    for rows, long, bytes_ in ((4, 9, 200), (512, 2048, 1_000_000), (7, 0, 1)):
+        monkeypatch.setattr(kernels, "ROWS", rows)
+        monkeypatch.setattr(kernels, "LONG", long)
+        monkeypatch.setattr(kernels, "EDGE_BYTES", bytes_)
+        edges, x, y = kernels.Edges(row, column, dense[row, column], (40, 30)), rng.random((30, 5)), rng.random((40, 5))
+        assert np.allclose(edges.dot(x), dense @ x) and np.allclose(edges.tdot(y), dense.T @ y) and np.allclose(edges.dense(), dense)
+        assert edges.own(5).tolist() == list(np.flatnonzero(dense[5]))
+    g = kernels.Graph(row, column, None, 40, 30)
+    monkeypatch.setattr(kernels, "VECTOR_BYTES", 8 * 12 * 70 * 3)
+    assert g.width() == 3 and g.solved() == 5
