@@ -389,3 +389,21 @@ def test_leading_columns_shorten_the_solves(kind, how):
     products.clear()
     got = kernels.user_rows(g, kind, who, **how)
     assert np.abs(got - want).max() < 1e-11 and len(products) < 0.75 * long
+
+
+@pytest.mark.parametrize("apart", [False, True])
+def test_leading_columns_shorten_the_singular_solves(spark, monkeypatch, apart):
+    """The Laplacian's null vectors, one or several, are left to the centring; the query asks for the columns."""
+    g, who, products = slow_graph(apart=apart), np.arange(60), []
+    plain = g.r.dot
+    g.r.dot = lambda x: products.append(1) or plain(x)
+    want, long = kernels.user_rows(g, "lapinv", who), len(products)
+    g.near = kernels.leading(g, *kernels.system(g, "lapinv"), k=8)
+    products.clear()
+    assert np.abs(kernels.user_rows(g, "lapinv", who) - want).max() < 1e-10 and len(products) < long
+    asked = []
+    monkeypatch.setattr(kernels, "WORKER_CELLS", 0)
+    monkeypatch.setattr(kernels, "leading", lambda graph, *of, true=kernels.leading: asked.append(graph.n) or true(graph, *of))
+    rows = spark.createDataFrame([(u, int(i), 1.0) for u in range(60) for i in g.r.own(u)], "user_id long, item_id long, rating double")
+    got = {(r["user_id"], r["item_id"]): r["score"] for r in kernels.kernel_scores(rows, "lapinv").collect()}
+    assert len(asked) == 1 and max(abs(got[u, i] - want[u, i]) for u, i in got) < 1e-10
