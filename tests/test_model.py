@@ -407,3 +407,33 @@ def test_leading_columns_shorten_the_singular_solves(spark, monkeypatch, apart):
     rows = spark.createDataFrame([(u, int(i), 1.0) for u in range(60) for i in g.r.own(u)], "user_id long, item_id long, rating double")
     got = {(r["user_id"], r["item_id"]): r["score"] for r in kernels.kernel_scores(rows, "lapinv").collect()}
     assert len(asked) == 1 and max(abs(got[u, i] - want[u, i]) for u, i in got) < 1e-10
+
+
+@pytest.mark.parametrize("t", [1, 2])
+def test_entropy_of_few_steps_goes_by_edges(monkeypatch, t):
+    """No product takes a vector over all nodes for an item; the entries are those of the whole rows, whichever way an item's neighbours are found."""
+    rng = np.random.default_rng(9)
+    dense = rng.random((50, 40)) < 0.15
+    dense[:, 3], dense[:, 4], dense[np.arange(50), np.arange(50) % 40] = 0, 1, 1
+    n, m = dense.shape
+    g = kernels.Graph(*np.nonzero(dense), None, n, m)
+    z = kernels.averaged(g.backward, np.eye(n + m), t).T
+    logs = np.log(np.maximum(z, 1e-12))
+    want = (z @ logs.T + logs @ z.T)[:n, n:]
+    monkeypatch.setattr(kernels.Graph, "backward", lambda *_: pytest.fail("a product over all nodes"))
+    monkeypatch.setattr(kernels, "VECTOR_BYTES", 8 * 12 * (n + m) * 7)
+    for followed in (0, 16, 1e9):
+        monkeypatch.setattr(kernels, "FOLLOWED", followed)
+        for users in (np.arange(n), np.array([7, 2, 49])):
+            assert np.abs(kernels.user_rows(g, "entropy", users, t=t) - want[users]).max() < 1e-10
+
+
+def test_entropy_takes_the_users_whose_scores_it_holds(spark, monkeypatch):
+    rows = [(u, i, 1.0) for u in range(23) for i in range(9) if (u * i) % 4 != 1]
+    ratings, asked = spark.createDataFrame(rows, "user_id long, item_id long, rating double"), []
+    want = {(r["user_id"], r["item_id"]): r["score"] for r in kernels.kernel_scores(ratings, "entropy", t=2).collect()}
+    monkeypatch.setattr(kernels, "WORKER_CELLS", 0)
+    monkeypatch.setattr(kernels.Graph, "listed", lambda g: asked.append(g.m) or 5)
+    got = {(r["user_id"], r["item_id"]): r["score"] for r in kernels.kernel_scores(ratings, "entropy", t=2).collect()}
+    assert asked == [9] and got.keys() == want.keys() and max(abs(got[k] - want[k]) for k in want) < 1e-8
+    assert kernels.kernel_scores(ratings, "entropy", t=3).count() == 23 * 9 and len(asked) == 1
